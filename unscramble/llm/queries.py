@@ -2,10 +2,16 @@
 
 from __future__ import annotations
 
+from unscramble.llm.fingerprints import op1_order_minhash
+from unscramble.llm.neardup import op3_weighted_minhash
 from unscramble.llm.packing import op9_best_fit_packing
+from unscramble.llm.pieces import op6_piece_transducer
 from unscramble.llm.token_counts import op10_token_counts
 
 QUERIES = {
+    "op1_order_minhash": op1_order_minhash,
+    "op3_weighted_minhash": op3_weighted_minhash,
+    "op6_piece_transducer": op6_piece_transducer,
     "op9_best_fit_packing": op9_best_fit_packing,
     "op10_token_counts": op10_token_counts,
 }
