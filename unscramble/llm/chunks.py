@@ -7,8 +7,10 @@ The memo has a bounded number of entries and is emptied when full; long chunks a
 
 from __future__ import annotations
 
+import gc
 import os
 import re
+import struct
 from collections.abc import Callable, Iterable
 
 import numpy as np
@@ -31,28 +33,37 @@ class Memo:
         self.encode, self.limit, self.known = encode, limit, {}
 
     def lookup(self, lists: list[list[str]]) -> dict:
+        """A small dictionary for these chunks; the large one is asked once for each distinct chunk only."""
         known = self.known
-        missing = set()
-        for chunks in lists:
-            missing.update(chunks)
-        missing -= known.keys()
-        if not missing:
-            return known
-        if len(known) + len(missing) > self.limit:
-            known.clear()
-            missing = set().union(*lists)
-        todo = list(missing)
-        found = dict(zip(todo, self.encode(todo), strict=True))
-        if any(len(c) > KEEP_CHARS for c in todo):
-            known.update((c, v) for c, v in found.items() if len(c) <= KEEP_CHARS)
-            return known | {c: v for c, v in found.items() if len(c) > KEEP_CHARS}
-        known.update(found)
-        return known
+        chunks = list(set().union(*lists))
+        here = dict(zip(chunks, map(known.get, chunks), strict=True))
+        if todo := [c for c, v in here.items() if v is None]:
+            if len(known) + len(todo) > self.limit:
+                known.clear()
+            for c, v in zip(todo, self.encode(todo), strict=True):
+                here[c] = v
+                if len(c) <= KEEP_CHARS:
+                    known[c] = v
+        return here
+
 
+#: One word of letters that normalisers leave alone, for each kind of memo: the library's model can be asked directly.
+PLAIN = {"count": re.compile(r" ?[A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+"), "bytes": re.compile(r"[a-z\u00df-\u00f6\u00f8-\u00ff]+")}
 
 _TOOLS: dict = {}
 
 
+def _byte_letters() -> dict[int, str]:
+    """How byte-level tokenizers write the UTF-8 bytes of a code point below 256: visible bytes as themselves, others from U+0100 on."""
+    visible = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+    hidden = [b for b in range(256) if b not in visible]
+    letters = {b: chr(b) for b in visible} | {b: chr(256 + i) for i, b in enumerate(hidden)}
+    return {c: "".join(letters[b] for b in chr(c).encode()) for c in range(256)}
+
+
+BYTE_LETTERS = _byte_letters()
+
+
 def tokenizer(path: str):
     from tokenizers import Tokenizer
 
@@ -68,12 +79,25 @@ def memo(path: str, kind: str) -> Memo:
     """kind: 'count' or 'bytes' (little-endian unsigned 32-bit ids). One memo for each worker process."""
     if (path, kind) not in _TOOLS:
         t = tokenizer(path)
+        gc.set_threshold(200_000, 20, 50)  # the memo holds no cycles, and walking it often costs more than all else
+
+        plain, model = PLAIN[kind].fullmatch, t.model
+        number = struct.Struct("<I").pack
 
         def ask(texts: list[str]) -> list:
-            out = []
-            for at in range(0, len(texts), 4096):
-                got = t.encode_batch_fast(texts[at : at + 4096], add_special_tokens=False)
-                out += [len(e) if kind == "count" else np.asarray(e.ids, "<u4").tobytes() for e in got]
+            out: list = [None] * len(texts)
+            rest = []
+            for i, x in enumerate(texts):
+                if plain(x):
+                    got = model.tokenize(x.translate(BYTE_LETTERS))
+                    out[i] = len(got) if kind == "count" else b"".join([number(y.id) for y in got])
+                else:
+                    rest.append(i)
+            for at in range(0, len(rest), 4096):
+                part = rest[at : at + 4096]
+                got = t.encode_batch_fast([texts[i] for i in part], add_special_tokens=False)
+                for i, e in zip(part, got, strict=True):
+                    out[i] = len(e) if kind == "count" else np.asarray(e.ids, "<u4").tobytes()
             return out
 
         parts = Memo(ask)
@@ -87,7 +111,7 @@ def memo(path: str, kind: str) -> Memo:
     return _TOOLS[path, kind]
 
 
-def blocks(texts: list[str], chars: int = 1 << 20) -> Iterable[list[str]]:
+def blocks(texts: list[str], chars: int = 1 << 18) -> Iterable[list[str]]:
     """Consecutive texts, together of about so many characters."""
     block, size = [], 0
     for t in texts:
