@@ -49,7 +49,7 @@ def terms(text: str) -> tuple[np.ndarray, np.ndarray]:
     if not tokens:
         return np.zeros(0, np.int64), np.zeros(0, np.float32)
     distinct = set(tokens)
-    new = distinct - _known.keys()
+    new = [t for t in distinct if t not in _known]
     if new:
         if len(_known) + len(new) > 400_000:
             _known.clear()
