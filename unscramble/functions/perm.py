@@ -7,12 +7,19 @@ Sets of cycles are arrays sorted by first element, so they can be grouped and co
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
 CYCLES = "array<array<int>>"
 
 
+def let(value: Column, body: Callable[[Column], Column]) -> Column:
+    """body of a value that is computed once for each row, however often (and however deep in lambdas) body names it."""
+    return F.transform(F.array(value), body)[0]
+
+
 def follow(src: Column, dst: Column, sensor: Column) -> Column:
     """Where the reading recorded in sensor belongs; itself if it isn't in src."""
     at = F.array_position(src, sensor)
@@ -22,12 +29,17 @@ def follow(src: Column, dst: Column, sensor: Column) -> Column:
 def cycles(src: Column, dst: Column) -> Column:
     """The disjoint cycles of order two or more. Every orbit is walked from each member; the walk from its least one stays."""
 
-    def step(walk: Column, _: Column) -> Column:
-        nxt = follow(src, dst, F.element_at(walk, -1))
-        return F.when(nxt == walk[0], walk).otherwise(F.array_append(walk, nxt))
+    def of(pair: Column) -> Column:
+        a, b = pair["a"], pair["b"]
+
+        def step(walk: Column, _: Column) -> Column:
+            nxt = follow(a, b, F.element_at(walk, -1))
+            return F.when(nxt == walk[0], walk).otherwise(F.array_append(walk, nxt))
+
+        walks = F.transform(a, lambda u: F.aggregate(a, F.array(u), step))
+        return F.array_sort(F.filter(walks, lambda c: (F.size(c) > 1) & (c[0] == F.array_min(c))))
 
-    walks = F.transform(src, lambda u: F.aggregate(src, F.array(u), step))
-    return F.array_sort(F.filter(walks, lambda c: (F.size(c) > 1) & (c[0] == F.array_min(c))))
+    return let(F.struct(src.alias("a"), dst.alias("b")), of)
 
 
 def rotate_least_first(cycle: Column) -> Column:
@@ -59,19 +71,19 @@ def disjoint(a: Column, b: Column) -> Column:
 
 def gather(x: Column, take: Column) -> Column:
     """x read at the places that take lists, one for each sensor."""
-    return F.transform(take, lambda i: x[i])
+    return let(x, lambda v: F.transform(take, lambda i: v[i]))
 
 
 def undo_places(cs: Column, width: Column) -> Column:
     """For each sensor the column where its reading was recorded: y[v] = x[u] when u's reading belongs to v."""
-    src, dst = sources(cs), targets(cs)
-    return F.transform(F.sequence(F.lit(0), width - 1), lambda v: follow(dst, src, v))
+    pair = F.struct(sources(cs).alias("a"), targets(cs).alias("b"))
+    return let(pair, lambda p: F.transform(F.sequence(F.lit(0), width - 1), lambda v: follow(p["b"], p["a"], v)))
 
 
 def corrupt_places(cs: Column, width: Column) -> Column:
     """For each sensor whose value it gets when cycles are injected: member i gets the value of member i + 1."""
-    src, dst = sources(cs), targets(cs)
-    return F.transform(F.sequence(F.lit(0), width - 1), lambda u: follow(src, dst, u))
+    pair = F.struct(sources(cs).alias("a"), targets(cs).alias("b"))
+    return let(pair, lambda p: F.transform(F.sequence(F.lit(0), width - 1), lambda u: follow(p["a"], p["b"], u)))
 
 
 def apply_cycles(x: Column, cs: Column) -> Column:

@@ -47,8 +47,9 @@ def candidate_schemas(panel: DataFrame, models: DataFrame, cfg: RepairConfig, eq
     none = F.expr("cast(array() as array<array<double>>)")
     w = F.when((a >= 2) & ~early, matching.weights(cfg.family, cfg.objective)).otherwise(none)
     rows = flags.select("eq_id", "n", "ts", "abnormal", w.alias("w")).withColumn("to", matching.matched(F.col("w"), how, cfg.exact_limit))
-    dst = F.transform("to", lambda j: F.col("abnormal")[j])
-    rows = rows.select("eq_id", "n", "ts", "abnormal", F.when(F.size("to") > 0, F.col("abnormal")).otherwise(F.expr("cast(array() as array<int>)")).alias("src"), dst.alias("dst"))
+    none = F.expr("cast(array() as array<int>)")
+    placed = perm.let(F.struct("to", "abnormal"), lambda p: F.struct(F.when(F.size(p["to"]) > 0, p["abnormal"]).otherwise(none).alias("src"), F.transform(p["to"], lambda j: p["abnormal"][j]).alias("dst")))
+    rows = rows.select("eq_id", "n", "ts", "abnormal", placed.alias("placed")).select("eq_id", "n", "ts", "abnormal", "placed.src", "placed.dst")
     moved = F.size(F.filter(F.zip_with("src", "dst", lambda u, v: u != v), lambda b: b))
     size = F.size("abnormal") if cfg.size_mode == "matched" else moved
     status = F.when(F.size("abnormal") < 2, "single").when(size > cfg.epsilon, "escalated").otherwise("repaired")

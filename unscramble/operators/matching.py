@@ -15,6 +15,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from unscramble.functions.perm import let
 from unscramble.functions.support import FLOOR, support
 
 ENUM_LIMIT = 6
@@ -23,11 +24,14 @@ ENUM_LIMIT = 6
 def weights(family: str = "chebyshev", objective: str = "sum") -> Column:
     """W for rows with x, mu, sigma and abnormal: a by a, never all sensors by all sensors."""
 
-    def cell(u: Column, v: Column) -> Column:
-        p = support(F.col("x")[u], F.col("mu")[v], F.col("sigma")[v], family)
-        return F.log(F.greatest(p, F.lit(FLOOR))) if objective == "log" else p
+    def of(row: Column) -> Column:
+        def cell(u: Column, v: Column) -> Column:
+            p = support(row["x"][u], row["mu"][v], row["sigma"][v], family)
+            return F.log(F.greatest(p, F.lit(FLOOR))) if objective == "log" else p
 
-    return F.transform("abnormal", lambda u: F.transform("abnormal", lambda v: cell(u, v)))
+        return F.transform(row["abnormal"], lambda u: F.transform(row["abnormal"], lambda v: cell(u, v)))
+
+    return let(F.struct("x", "mu", "sigma", "abnormal"), of)
 
 
 def edges(df: DataFrame) -> DataFrame:
@@ -42,6 +46,10 @@ def edges(df: DataFrame) -> DataFrame:
 
 def greedy(w: Column) -> Column:
     """Largest remaining weight first; ties to the smaller reading, then the smaller model."""
+    return let(w, _greedy)
+
+
+def _greedy(w: Column) -> Column:
     flat = F.flatten(F.transform(w, lambda row, i: F.transform(row, lambda v, j: F.struct((-v).alias("cost"), i.alias("i"), j.alias("j")))))
 
     def take(acc: Column, e: Column) -> Column:
@@ -53,6 +61,10 @@ def greedy(w: Column) -> Column:
 
 def enumerated(w: Column, limit: int = ENUM_LIMIT) -> Column:
     """The best of all matchings, for at most limit readings (else NULL)."""
+    return let(w, lambda v: _enumerated(v, limit))
+
+
+def _enumerated(w: Column, limit: int) -> Column:
     out = F.lit(None).cast("array<int>")
     for a in range(limit, 0, -1):
         every = F.lit([list(p) for p in permutations(range(a))])
@@ -209,7 +221,8 @@ def matched(w: Column, how: str = "auto", exact_limit: int = 64) -> Column:
         return greedy(w)
     if how == "enum":
         return enumerated(w)
-    udf = F.pandas_udf(_batched("assign" if how == "auto" else how), "array<int>")
+    # declared nondeterministic only so that the plan never folds the call into later expressions and repeats it
+    udf = F.pandas_udf(_batched("assign" if how == "auto" else how), "array<int>").asNondeterministic()
     if how == "auto":
         return F.when(F.size(w) <= exact_limit, udf(F.when(F.size(w) <= exact_limit, w).otherwise(F.expr("cast(array() as array<array<double>>)")))).otherwise(greedy(w))
-    return udf(w)
+    return F.when(F.size(w) >= 0, udf(w))  # named twice, w stays a column of its own, as the call's arguments must be
