@@ -24,6 +24,9 @@ def ship_package(spark: SparkSession) -> None:
         _shipped.add(spark.sparkContext.applicationId)
 
 
+_local: dict[str, str] = {}
+
+
 def shared_dir(spark: SparkSession) -> str:
     """spark.checkpoint.dir of the session; a folder of this machine only in local mode without that setting."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
@@ -31,8 +34,10 @@ def shared_dir(spark: SparkSession) -> str:
         return named.rstrip("/")
     if not spark.sparkContext.master.startswith("local"):
         raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
-    spark.conf.set("spark.checkpoint.dir", path := f"file://{tempfile.mkdtemp(prefix='unscramble-')}")
-    return path
+    app = spark.sparkContext.applicationId
+    if app not in _local:
+        _local[app] = f"file://{tempfile.mkdtemp(prefix='unscramble-')}"
+    return _local[app]
 
 
 def scratch_path(spark: SparkSession, name: str) -> str:
