@@ -1,16 +1,17 @@
 """Near-duplicate classes by improved consistent weighted sampling over TF-IDF shingles.
 
-Weights. A shingle is five consecutive words (lower case; a shorter text is one shingle). Its weight is its count in
+Weights. A shingle is five consecutive words (what white space parts, in lower case, letters and digits only; a shorter
+text is one shingle). Its weight is its count in
 the text times the mean inverse document frequency of its words. Frequencies are counted over all documents in a table
 of 2^20 counters addressed by word hash, so what is broadcast has the same size for any corpus. Frequencies of whole
 shingles would need two shuffles of every shingle, and would make the words that near copies share (which are frequent
 because of the copies) weigh next to nothing against the few that differ.
 
 Candidates. Equal word sequences fall together first. Of the rest SAMPLES consistent weighted samples are taken and cut
-in BANDS; documents with an equal band are candidates. In each bucket the smallest id is the anchor and every other
-member is compared with it. Members that end outside the anchor's class become anchors too, in growing groups, and are
-compared with all members outside their class, until none is left: then every candidate pair has been verified or lies
-within one class, without all pairs of a bucket of copies ever being made.
+in BANDS; documents with an equal band are candidates. In each bucket the most central member is the anchor and every
+other member is compared with it. Members that end outside the anchor's class are then compared with the whole bucket
+in blocks, inside tasks, over inverted indexes. After that every candidate pair has been verified or lies within one
+class, and pairs were never rows: each member is sent once to each block of open members of its bucket.
 
 Verification is the exact weighted Jaccard similarity of the two whole texts (0.8 or more). Classes are the connected
 components of verified pairs and carry their smallest doc_id.
@@ -22,38 +23,47 @@ rows without doc_id get no class. An empty table gives no rows.
 from __future__ import annotations
 
 import re
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
+from unscramble.llm.chunks import blocks
 from unscramble.llm.common import materialize, partitions, table, whole_text
 
 SHINGLE, THRESHOLD = 5, 0.8
 SAMPLES, BANDS = 64, 16
 COUNTERS, PER_ROW = 1 << 20, 1 << 14
 WORDS = re.compile(r"\w+")
-_ROWS = 1 << 13  # rows of the tables of random numbers; shingles share a row by hash
+_ROWS = 1 << 11  # rows of the tables of random numbers; shingles share a row by hash
 
 _U = np.uint64
 _PRIME = [_U(x) for x in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5)]
 
-_word_hashes: dict[str, int] = {}
 
 
-def word_hashes(words: list[str]) -> np.ndarray:
-    known = _word_hashes
-    new = set(words) - known.keys()
-    if new:
-        if len(known) + len(new) > 600_000:
-            known.clear()
-            new = set(words)
-        known.update((w, xxhash.xxh3_64_intdigest(w)) for w in new)
-    return np.fromiter(map(known.__getitem__, words), _U, len(words))
+class _Hashes(dict):
+    """White-space token -> hash of the word in it; 0 for tokens without letters and digits. Emptied when full."""
+
+    def __missing__(self, token: str) -> int:
+        if len(self) >= 700_000:
+            self.clear()
+        word = "".join(WORDS.findall(token.lower()))
+        self[token] = h = xxhash.xxh3_64_intdigest(word) if word else 0
+        return h
+
+
+_hashes = _Hashes()
+
+
+def word_hashes(text: str) -> np.ndarray:
+    """Hashes of the words of a text, in order."""
+    tokens = text.split()
+    h = np.fromiter(map(_hashes.__getitem__, tokens), _U, len(tokens))
+    return h[h != 0]
 
 
 def _mixed(x: np.ndarray) -> np.ndarray:
@@ -71,7 +81,9 @@ class Weights:
 
     def shingles(self, text: str) -> tuple[np.ndarray, np.ndarray]:
         """Sorted distinct shingle hashes and their weights."""
-        h = word_hashes(WORDS.findall(text.lower()))
+        return self.of_words(word_hashes(text))
+
+    def of_words(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         if not len(h):
             return h, np.zeros(0, np.float32)
         idf = self.idf[(h >> _U(44)).astype(np.int64)].astype(np.float64)
@@ -119,10 +131,10 @@ def samples(shingles: np.ndarray, weights: np.ndarray) -> np.ndarray:
     best = np.full(SAMPLES, np.inf, np.float32)
     who, level = np.zeros(SAMPLES, np.int64), np.zeros(SAMPLES, np.int64)
     lanes = np.arange(SAMPLES)
-    for at in range(0, len(shingles), 2048):
-        s = shingles[at : at + 2048]
+    for at in range(0, len(shingles), 384):
+        s = shingles[at : at + 384]
         row = (s & _U(_ROWS - 1)).astype(np.int64)
-        t = np.log(weights[at : at + 2048])[:, None] * inverse[row]
+        t = np.log(weights[at : at + 384])[:, None] * inverse[row]
         t += beta[row]
         np.floor(t, out=t)
         a = base[row] - r[row] * t
@@ -148,8 +160,8 @@ def _texts(docs: DataFrame) -> DataFrame:
     return docs.filter(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text"))
 
 
-def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
-    """How many documents hold a word of each counter, and the number of documents.
+def counted(texts: DataFrame, cells_of: Callable[[str], np.ndarray]) -> tuple[np.ndarray, int]:
+    """How many texts have each of COUNTERS cells, and the number of texts. cells_of: a text's distinct cells.
 
     Tasks send their counters in rows of a fixed size, which are summed in two rounds; 8 MB reach the driver.
     """
@@ -157,11 +169,9 @@ def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
     def count(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total, n = np.zeros(COUNTERS, np.int64), 0
         for b in batches:
-            for text in b.column("text").to_pylist():
-                n += 1
-                if words := set(WORDS.findall(text.lower())):
-                    cells = (word_hashes(list(words)) >> _U(44)).astype(np.int64)
-                    total[np.unique(cells)] += 1
+            for block in blocks(b.column("text").to_pylist(), 1 << 20):
+                n += len(block)
+                total += np.bincount(np.concatenate([cells_of(text) for text in block]), minlength=COUNTERS)
         if n:
             yield blob(range(COUNTERS // PER_ROW), total.reshape(-1, PER_ROW), n)
 
@@ -181,27 +191,37 @@ def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
         for row, v in sums.items():
             yield blob([row], [v], seen[row])
 
-    kind = "row int, counts binary, n long"
-    lanes = _texts(docs).select("text").mapInArrow(count, kind).withColumn("lane", F.pmod(F.spark_partition_id(), F.lit(64)))
-    half = lanes.repartition(partitions(docs.sparkSession), "row", "lane").select("row", "counts", "n").mapInArrow(add, kind)
+    kind, many = "row int, counts binary, n long", partitions(texts.sparkSession)
+    lanes = texts.select("text").mapInArrow(count, kind).withColumn("lane", F.pmod(F.spark_partition_id(), F.lit(64)))
+    half = lanes.repartition(many, "row", "lane").select("row", "counts", "n").mapInArrow(add, kind)
     out = np.zeros((COUNTERS // PER_ROW, PER_ROW), np.int64)
     n = 0
-    for r in half.repartition(min(64, partitions(docs.sparkSession)), "row").mapInArrow(add, kind).collect():
+    for r in half.repartition(min(64, many), "row").mapInArrow(add, kind).collect():
         out[r["row"]] = np.frombuffer(r["counts"], "<i4" if len(r["counts"]) == 4 * PER_ROW else "<i8")
         n = r["n"]
     return out.ravel(), n
 
 
+def _word_cells(text: str) -> np.ndarray:
+    return np.unique((word_hashes(text) >> _U(44)).astype(np.int32))
+
+
+def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
+    """How many documents hold a word of each counter, and the number of documents."""
+    return counted(_texts(docs), _word_cells)
+
+
 def sketches(docs: DataFrame, weights) -> DataFrame:
     """doc_id, content (digest of the word sequence) and bands of every document. weights: broadcast of Weights."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             keys, cuts = [], []
-            for text in b.column("text").to_pylist():
-                words = " ".join(WORDS.findall(text.lower()))
-                keys.append(xxhash.xxh3_128_hexdigest(words) if words else "-" + xxhash.xxh3_128_hexdigest(text))
-                cuts.append(bands(samples(*weights.value.shingles(text))) if words else np.zeros(0, np.int64))
+            for block in blocks(b.column("text").to_pylist()):  # step by step, as each step has tables of its own to keep at hand
+                words = [word_hashes(text) for text in block]
+                keys += [xxhash.xxh3_128_hexdigest(w.tobytes()) if len(w) else "-" + xxhash.xxh3_128_hexdigest(text) for w, text in zip(words, block, strict=True)]
+                sets = [weights.value.of_words(w) for w in words]
+                cuts += [bands(samples(*x)) if len(x[0]) else np.zeros(0, np.int64) for x in sets]
             offsets = np.concatenate([[0], np.cumsum([len(c) for c in cuts])]).astype(np.int32)
             flat = np.concatenate(cuts) if cuts else np.zeros(0, np.int64)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(keys, pa.string()), pa.ListArray.from_arrays(offsets, flat)], ["doc_id", "content", "bands"])
@@ -231,11 +251,47 @@ def verified(pairs: DataFrame, texts: DataFrame, weights, threshold: float) -> D
     return pairs.join(left, "a").join(right, "b").select("a", "ta", "b", "tb").mapInArrow(run, "a long, b long")
 
 
-def components(edges: DataFrame) -> DataFrame:
+#: Up to so many links (of a spanning forest) components are finished by one task; beyond, by rounds over tables.
+ONE_TASK = 2_000_000
+
+
+def _forest(batches: Iterable[pa.RecordBatch], labels: bool) -> Iterator[pa.RecordBatch]:
+    """Links (a, b) made a spanning forest: each node with the least node it is connected with."""
+    up: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        root = x
+        while (y := up.setdefault(root, root)) != root:
+            root = y
+        while up[x] != root:
+            up[x], x = root, up[x]
+        return root
+
+    for batch in batches:
+        for a, b in zip(batch.column("a").to_pylist(), batch.column("b").to_pylist(), strict=True):
+            a, b = find(a), find(b)
+            if a != b:
+                up[max(a, b)] = min(a, b)
+    nodes = list(up)
+    for at in range(0, len(nodes), 50_000):
+        part = [(x, find(x)) for x in nodes[at : at + 50_000]]
+        part = part if labels else [(x, y) for x, y in part if x != y]
+        yield pa.RecordBatch.from_arrays([pa.array([p[k] for p in part], pa.int64()) for k in (0, 1)], ["node", "label"] if labels else ["a", "b"])
+
+
+def components(edges: DataFrame, one_task: int = ONE_TASK) -> DataFrame:
     """node, label (the smallest node that it is connected with) of all nodes of edges (a, b).
 
-    Each round takes the least label among neighbours, then the label's own label; written tables cut the lineage.
+    Every task first makes its links a forest. If all forests together are small, one task joins them.
     """
+    forest = materialize(edges.select("a", "b").mapInArrow(lambda it: _forest(it, False), "a long, b long"), "forest")
+    if forest.count() <= one_task:
+        return materialize(forest.coalesce(1).mapInArrow(lambda it: _forest(it, True), "node long, label long"), "labels")
+    return spread_components(forest)
+
+
+def spread_components(edges: DataFrame) -> DataFrame:
+    """Components by rounds: the least label among neighbours, then the label's own label, until nothing changes."""
     both = materialize(edges.select("a", "b").union(edges.select("b", "a")).distinct(), "edges")
     labels = materialize(both.groupBy(F.col("a").alias("node")).agg(F.least(F.min("b"), F.min("a")).alias("label")), "labels")
     total = None
@@ -257,57 +313,108 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     counts, n = document_frequencies(docs)
     weights = spark.sparkContext.broadcast(Weights(counts, n))
     signs = materialize(sketches(docs, weights), "sketches")
-    twins = signs.groupBy("content").agg(F.min("doc_id").alias("twin"))
-    copies = materialize(signs.join(twins, "content").select("doc_id", "twin"), "copies")
-    alone = signs.join(copies.filter("doc_id = twin").select("doc_id").distinct(), "doc_id", "left_semi")
-    keyed = alone.select("doc_id", F.explode("bands").alias("bucket")).distinct()
-    sizes = keyed.groupBy("bucket").agg(F.min("doc_id").alias("anchor"), F.count("*").alias("n")).filter("n > 1")
-    members = materialize(keyed.join(sizes, "bucket").select("bucket", "doc_id", "anchor"), "members")
+    reps = materialize(signs.groupBy("content").agg(F.min("doc_id").alias("twin"), F.first("bands").alias("bands")), "contents")
+    members = _with_anchors(reps.select(F.col("twin").alias("doc_id"), F.explode("bands").alias("bucket")))
 
     wanted = members.select("doc_id").distinct()
     texts = materialize(_texts(docs).join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
     star = members.filter("doc_id <> anchor").select(F.col("doc_id").alias("a"), F.col("anchor").alias("b")).distinct()
     edges = materialize(verified(star, texts, weights, threshold), "links")
     labels = components(edges)
+    more = left_over(members, texts, weights, threshold, labels)
+    if not more.isEmpty():
+        edges = edges.union(more)
+        labels = components(edges)
 
-    def labelled(rows: DataFrame, by: str, name: str) -> DataFrame:
-        found = labels.select(F.col("node").alias(by), F.col("label").alias(name))
-        return rows.join(found, by, "left").withColumn(name, F.coalesce(name, by))
+    linked = F.array(F.struct(F.col("a").alias("x"), F.col("b").alias("y")), F.struct(F.col("b").alias("x"), F.col("a").alias("y")))
+    degree = edges.select(F.explode(linked).alias("e")).distinct().groupBy(F.col("e.x").alias("twin")).agg(F.count("*").alias("n_links"))
+    classes = labels.select(F.col("node").alias("twin"), "label").join(degree, "twin", "left")
+    named = reps.select("content", "twin").join(classes, "twin", "left").select("content", F.coalesce("label", "twin").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    return signs.select("doc_id", "content").join(named, "content").select("doc_id", "class_id", "n_links")
 
-    rest, width = members.filter("doc_id <> anchor"), 32
-    while True:
-        rest = labelled(labelled(rest.select("bucket", "doc_id", "anchor"), "doc_id", "own"), "anchor", "main").filter("own <> main")
-        chosen = materialize(_lowest(rest, width), "anchors")
-        if chosen.isEmpty():
-            break
-        against = labelled(members.select("bucket", F.col("doc_id").alias("other")), "other", "theirs")
-        more = (
-            chosen.select("bucket", "doc_id", "own")
-            .join(against, "bucket")
-            .filter("own <> theirs")
-            .select(F.greatest("doc_id", "other").alias("a"), F.least("doc_id", "other").alias("b"))
-            .distinct()
-        )
-        fresh = materialize(verified(more, texts, weights, threshold), "links")
-        rest = materialize(rest.select("bucket", "doc_id", "anchor").join(chosen.select("bucket", "doc_id"), ["bucket", "doc_id"], "left_anti"), "rest")
-        if not fresh.isEmpty():
-            edges = edges.union(fresh).distinct()
-            labels = components(edges)
-        width *= 2
-
-    degree = edges.select("a", "b").union(edges.select("b", "a")).distinct().groupBy(F.col("a").alias("twin")).agg(F.count("*").alias("n_links"))
-    classes = labels.select(F.col("node").alias("twin"), "label")
-    return (
-        copies.join(classes, "twin", "left")
-        .join(degree, "twin", "left")
-        .select("doc_id", F.coalesce("label", "twin").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
-    )
-
-
-def _lowest(rest: DataFrame, width: int) -> DataFrame:
-    """For each bucket the rows with the width smallest ids."""
-    order = Window.partitionBy("bucket").orderBy("doc_id")
-    return rest.withColumn("nth", F.row_number().over(order)).filter(F.col("nth") <= width).drop("nth")
+
+def _with_anchors(keyed: DataFrame) -> DataFrame:
+    """bucket, doc_id, anchor of buckets with several members.
+
+    The anchor is the member whose buckets are the largest in sum, as the text that others are copies of has the
+    commonest bands; ties go to the smallest id.
+    """
+    sizes = keyed.groupBy("bucket").agg(F.count("*").alias("n")).filter("n > 1")
+    shared = keyed.join(sizes, "bucket").groupBy("doc_id").agg(F.sum("n").alias("c"), F.collect_list("bucket").alias("buckets"))
+    ranked = materialize(shared.select("doc_id", F.explode("buckets").alias("bucket"), "c"), "shared")
+    best = ranked.groupBy("bucket").agg(F.max(F.struct("c", (-F.col("doc_id")).alias("i"))).alias("k")).select("bucket", (-F.col("k.i")).alias("anchor"))
+    return materialize(ranked.join(best, "bucket").select("bucket", "doc_id", "anchor"), "members")
+
+
+BLOCK = 1024  # open members of a bucket that one task compares with the bucket
+
+
+def left_over(members: DataFrame, texts: DataFrame, weights, threshold: float, labels: DataFrame) -> DataFrame:
+    """Links (a, b) of the candidate pairs that the anchors leave open: one side is not in its anchor's class.
+
+    Such open members are cut in blocks; a block meets all members of its bucket in one task, as weighted shingles,
+    which is one row for each member and block. Common weights come from an inverted index of the block, so pairs
+    exist only as counters inside the task, and only links come out.
+    """
+    found = labels.select(F.col("node").alias("doc_id"), F.col("label").alias("own"))
+    main = labels.select(F.col("node").alias("anchor"), F.col("label").alias("main"))
+    named = members.join(found, "doc_id", "left").withColumn("own", F.coalesce("own", "doc_id")).join(main, "anchor", "left").withColumn("main", F.coalesce("main", "anchor"))
+    open_ = F.col("own") != F.col("main")
+    blocks = named.groupBy("bucket").agg(F.ceil(F.count_if(open_) / BLOCK).cast("int").alias("blocks")).filter("blocks > 0")
+    named = materialize(named.join(blocks, "bucket").select("bucket", "doc_id", "own", open_.alias("open"), "blocks"), "open")
+    if named.isEmpty():
+        return named.select(F.col("doc_id").alias("a"), F.col("doc_id").alias("b"))
+
+    def vectors(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            got = [weights.value.shingles(t) for t in b.column("text").to_pylist()]
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([s.tobytes() for s, _ in got], pa.binary()), pa.array([w.tobytes() for _, w in got], pa.binary())], ["doc_id", "s", "w"])
+
+    used = texts.join(named.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "text").mapInArrow(vectors, "doc_id long, s binary, w binary")
+    mine = F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")
+    places = F.array_union(F.when(F.col("open"), F.array(F.struct(mine.alias("block"), F.lit(0).alias("turn")))).otherwise(F.expr("array()")), F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.struct(k.alias("block"), F.lit(1).alias("turn"))))
+    rows = named.withColumn("p", F.explode(places)).select("doc_id", "bucket", "own", "p.block", "p.turn").join(used, "doc_id")
+    laid = rows.select("bucket", "block", "turn", "doc_id", "own", "s", "w").repartition(partitions(texts.sparkSession), "bucket", "block").sortWithinPartitions("bucket", "block", "turn")
+
+    def solve(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, asks, index = None, [], None
+        for rb in batches:
+            out = []
+            for bucket, block, turn, doc, own, s, w in zip(*(rb.column(c).to_pylist() for c in ("bucket", "block", "turn", "doc_id", "own", "s", "w")), strict=True):
+                if (bucket, block) != key:
+                    key, asks, index = (bucket, block), [], None
+                s, w = np.frombuffer(s, _U), np.frombuffer(w, np.float32)
+                if turn == 0:
+                    asks.append((doc, own, s, w))
+                    continue
+                if not asks:
+                    continue
+                index = index or _Index(asks)
+                out += [(max(doc, x), min(doc, x)) for x in index.like(doc, own, s, w, threshold)]
+            yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in out], pa.int64()) for k in (0, 1)], ["a", "b"])
+
+    return materialize(laid.mapInArrow(solve, "a long, b long").distinct(), "links")
+
+
+class _Index:
+    """Inverted index of some weighted sets (doc, class, shingles, weights)."""
+
+    def __init__(self, sets: list[tuple]):
+        self.docs, self.own = np.array([x[0] for x in sets], np.int64), np.array([x[1] for x in sets], np.int64)
+        self.total = np.array([x[3].sum(dtype=np.float64) for x in sets])
+        s = np.concatenate([x[2] for x in sets])
+        order = np.argsort(s, kind="stable")
+        self.s, self.w = s[order], np.concatenate([x[3] for x in sets])[order].astype(np.float64)
+        self.who = np.repeat(np.arange(len(sets)), [len(x[2]) for x in sets])[order]
+
+    def like(self, doc: int, own: int, s: np.ndarray, w: np.ndarray, threshold: float) -> list[int]:
+        """Docs of other classes whose weighted Jaccard similarity reaches the threshold, exactly."""
+        lo, hi = np.searchsorted(self.s, s, "left"), np.searchsorted(self.s, s, "right")
+        n = hi - lo
+        at = np.repeat(lo - np.concatenate([[0], np.cumsum(n)[:-1]]), n) + np.arange(n.sum())
+        both = np.bincount(self.who[at], np.minimum(self.w[at], np.repeat(w, n)), len(self.docs))
+        good = (both >= threshold * (self.total + w.sum(dtype=np.float64) - both)) & (self.own != own) & (self.docs != doc)
+        return self.docs[good].tolist()
 
 
 def one_of_each_class(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
