@@ -26,6 +26,16 @@ KEEP_CHARS, KEEP_CHUNKS = 48, 600_000
 WORD = re.compile(r"([A-Za-z\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u00ff]+)([,.!?;:*#$%&|]*)")
 
 
+_focus: list = [None, lambda: None]
+
+
+def focus(name: object, clear: Callable[[], None]) -> None:
+    """Of all memos of a worker process only one is filled: the one before is emptied when another comes into use."""
+    if _focus[0] != name:
+        _focus[1]()
+        _focus[:] = name, clear
+
+
 class Memo:
     """chunk -> value, with values of unknown chunks asked for in batches."""
 
@@ -108,6 +118,8 @@ def memo(path: str, kind: str) -> Memo:
             return [b"".join(map(known.__getitem__, x)) for x in lists]
 
         _TOOLS[path, kind] = Memo(ask if kind == "count" else in_parts)
+        _TOOLS[path, kind, "clear"] = lambda: (_TOOLS[path, kind].known.clear(), parts.known.clear())
+    focus((path, kind), _TOOLS[path, kind, "clear"])
     return _TOOLS[path, kind]
 
 

@@ -31,7 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unscramble.llm.chunks import blocks
+from unscramble.llm.chunks import blocks, focus
 from unscramble.llm.common import materialize, partitions, table, whole_text
 
 SHINGLE, THRESHOLD = 5, 0.8
@@ -61,6 +61,7 @@ _hashes = _Hashes()
 
 def word_hashes(text: str) -> np.ndarray:
     """Hashes of the words of a text, in order."""
+    focus("word hashes", _hashes.clear)
     tokens = text.split()
     h = np.fromiter(map(_hashes.__getitem__, tokens), _U, len(tokens))
     return h[h != 0]
@@ -212,21 +213,26 @@ def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
 
 
 def sketches(docs: DataFrame, weights) -> DataFrame:
-    """doc_id, content (digest of the word sequence) and bands of every document. weights: broadcast of Weights."""
+    """doc_id, content (digest of the word sequence), sample (16 bits of each) and bands of every document.
+
+    weights: broadcast of Weights.
+    """
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            keys, cuts = [], []
+            keys, cuts, short = [], [], []
             for block in blocks(b.column("text").to_pylist()):  # step by step, as each step has tables of its own to keep at hand
                 words = [word_hashes(text) for text in block]
                 keys += [xxhash.xxh3_128_hexdigest(w.tobytes()) if len(w) else "-" + xxhash.xxh3_128_hexdigest(text) for w, text in zip(words, block, strict=True)]
                 sets = [weights.value.of_words(w) for w in words]
-                cuts += [bands(samples(*x)) if len(x[0]) else np.zeros(0, np.int64) for x in sets]
+                chosen = [samples(*x) if len(x[0]) else None for x in sets]
+                cuts += [np.zeros(0, np.int64) if c is None else bands(c) for c in chosen]
+                short += [b"" if c is None else c.astype("<u2").tobytes() for c in chosen]
             offsets = np.concatenate([[0], np.cumsum([len(c) for c in cuts])]).astype(np.int32)
             flat = np.concatenate(cuts) if cuts else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(keys, pa.string()), pa.ListArray.from_arrays(offsets, flat)], ["doc_id", "content", "bands"])
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(keys, pa.string()), pa.array(short, pa.binary()), pa.ListArray.from_arrays(offsets, flat)], ["doc_id", "content", "sample", "bands"])
 
-    return _texts(docs).mapInArrow(run, "doc_id long, content string, bands array<long>")
+    return _texts(docs).mapInArrow(run, "doc_id long, content string, sample binary, bands array<long>")
 
 
 def verified(pairs: DataFrame, texts: DataFrame, weights, threshold: float) -> DataFrame:
@@ -313,7 +319,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     counts, n = document_frequencies(docs)
     weights = spark.sparkContext.broadcast(Weights(counts, n))
     signs = materialize(sketches(docs, weights), "sketches")
-    reps = materialize(signs.groupBy("content").agg(F.min("doc_id").alias("twin"), F.first("bands").alias("bands")), "contents")
+    reps = materialize(signs.groupBy("content").agg(F.min("doc_id").alias("twin"), F.first("bands").alias("bands"), F.first("sample").alias("sample")), "contents")
     members = _with_anchors(reps.select(F.col("twin").alias("doc_id"), F.explode("bands").alias("bucket")))
 
     wanted = members.select("doc_id").distinct()
@@ -321,7 +327,7 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     star = members.filter("doc_id <> anchor").select(F.col("doc_id").alias("a"), F.col("anchor").alias("b")).distinct()
     edges = materialize(verified(star, texts, weights, threshold), "links")
     labels = components(edges)
-    more = left_over(members, texts, weights, threshold, labels)
+    more = left_over(members, reps.select(F.col("twin").alias("doc_id"), "sample"), texts, weights, threshold, labels)
     if not more.isEmpty():
         edges = edges.union(more)
         labels = components(edges)
@@ -349,19 +355,53 @@ def _with_anchors(keyed: DataFrame) -> DataFrame:
 BLOCK = 1024  # open members of a bucket that one task compares with the bucket
 
 
-def left_over(members: DataFrame, texts: DataFrame, weights, threshold: float, labels: DataFrame) -> DataFrame:
+#: A pair goes on to exact weights if so many samples are equal; one at 0.8 has fewer with a probability of 0.00001.
+ALIKE = 36
+
+
+def left_over(members: DataFrame, signs: DataFrame, texts: DataFrame, weights, threshold: float, labels: DataFrame) -> DataFrame:
     """Links (a, b) of the candidate pairs that the anchors leave open: one side is not in its anchor's class.
 
-    Such open members are cut in blocks; a block meets all members of its bucket in one task, as weighted shingles,
-    which is one row for each member and block. Common weights come from an inverted index of the block, so pairs
-    exist only as counters inside the task, and only links come out.
+    Such open members are cut in blocks; a block meets all members of its bucket in one task, which is one row for each
+    member and block. First they meet as samples, which leaves the members that look like one of another class; those
+    meet as weighted shingles. Common weights come from an inverted index of the block, so pairs exist only as counters
+    inside the task, and only links come out.
     """
     found = labels.select(F.col("node").alias("doc_id"), F.col("label").alias("own"))
     main = labels.select(F.col("node").alias("anchor"), F.col("label").alias("main"))
     named = members.join(found, "doc_id", "left").withColumn("own", F.coalesce("own", "doc_id")).join(main, "anchor", "left").withColumn("main", F.coalesce("main", "anchor"))
     open_ = F.col("own") != F.col("main")
     blocks = named.groupBy("bucket").agg(F.ceil(F.count_if(open_) / BLOCK).cast("int").alias("blocks")).filter("blocks > 0")
-    named = materialize(named.join(blocks, "bucket").select("bucket", "doc_id", "own", open_.alias("open"), "blocks"), "open")
+    named = named.join(blocks, "bucket").select("bucket", "doc_id", "own", open_.alias("open"), "blocks")
+    many = partitions(texts.sparkSession)
+
+    def laid_out(rows: DataFrame, values: DataFrame) -> DataFrame:
+        """Rows by (bucket, block), open members of the block first (turn 0), then all members."""
+        mine = F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")
+        places = F.array_union(F.when(F.col("open"), F.array(F.struct(mine.alias("block"), F.lit(0).alias("turn")))).otherwise(F.expr("array()")), F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.struct(k.alias("block"), F.lit(1).alias("turn"))))
+        spread = rows.withColumn("p", F.explode(places)).select("doc_id", "bucket", "own", "p.block", "p.turn").join(values, "doc_id")
+        return spread.repartition(many, "bucket", "block").sortWithinPartitions("bucket", "block", "turn")
+
+    def look(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        key, asks, table, classes = None, [], None, None
+        for rb in batches:
+            out = set()
+            for bucket, block, turn, doc, own, sample in zip(*(rb.column(c).to_pylist() for c in ("bucket", "block", "turn", "doc_id", "own", "sample")), strict=True):
+                if (bucket, block) != key:
+                    key, asks, table = (bucket, block), [], None
+                if turn == 0:
+                    asks.append((doc, own, sample))
+                elif asks:
+                    if table is None:
+                        table, classes = np.stack([np.frombuffer(x[2], "<u2") for x in asks]), np.array([x[1] for x in asks])
+                    hit = np.flatnonzero(((table == np.frombuffer(sample, "<u2")).sum(1) >= ALIKE) & (classes != own))
+                    if len(hit):
+                        out.add((bucket, doc))
+                        out.update((bucket, asks[i][0]) for i in hit)
+            yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in out], pa.int64()) for k in (0, 1)], ["bucket", "doc_id"])
+
+    alive = laid_out(named, signs).select("bucket", "block", "turn", "doc_id", "own", "sample").mapInArrow(look, "bucket long, doc_id long").distinct()
+    named = materialize(named.join(alive, ["bucket", "doc_id"], "left_semi"), "open")
     if named.isEmpty():
         return named.select(F.col("doc_id").alias("a"), F.col("doc_id").alias("b"))
 
@@ -371,10 +411,7 @@ def left_over(members: DataFrame, texts: DataFrame, weights, threshold: float, l
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([s.tobytes() for s, _ in got], pa.binary()), pa.array([w.tobytes() for _, w in got], pa.binary())], ["doc_id", "s", "w"])
 
     used = texts.join(named.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "text").mapInArrow(vectors, "doc_id long, s binary, w binary")
-    mine = F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")
-    places = F.array_union(F.when(F.col("open"), F.array(F.struct(mine.alias("block"), F.lit(0).alias("turn")))).otherwise(F.expr("array()")), F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.struct(k.alias("block"), F.lit(1).alias("turn"))))
-    rows = named.withColumn("p", F.explode(places)).select("doc_id", "bucket", "own", "p.block", "p.turn").join(used, "doc_id")
-    laid = rows.select("bucket", "block", "turn", "doc_id", "own", "s", "w").repartition(partitions(texts.sparkSession), "bucket", "block").sortWithinPartitions("bucket", "block", "turn")
+    laid = laid_out(named, used).select("bucket", "block", "turn", "doc_id", "own", "s", "w")
 
     def solve(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, asks, index = None, [], None

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unscramble.llm.chunks import Memo, blocks
+from unscramble.llm.chunks import Memo, blocks, focus
 from unscramble.llm.common import table, whole_text
 
 MARK = "▁"
@@ -185,7 +185,7 @@ class Transducer:
         return text[1:] if self.prefix and text[:1] == " " else text
 
 
-_MODELS: dict[str, tuple[Transducer, Memo]] = {}
+_MODELS: dict[str, tuple] = {}
 #: Runs of spaces with what follows, cut also behind line ends, which no piece holds with other characters.
 CHUNK = re.compile(f" *[^ \n{MARK}]+| *\n| +|{MARK}")
 
@@ -201,8 +201,9 @@ def compiled(path: str) -> tuple[Transducer, Memo]:
             known = parts.lookup(lists)
             return [b"".join(map(known.__getitem__, x)) for x in lists]
 
-        _MODELS[path] = t, Memo(ask)
-    return _MODELS[path]
+        _MODELS[path] = t, Memo(ask), lambda: (_MODELS[path][1].known.clear(), parts.known.clear(), t.pairs.clear())
+    focus(path, _MODELS[path][2])
+    return _MODELS[path][:2]
 
 
 def encode(texts: list[str], path: str) -> Iterator[bytes]:

@@ -22,6 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from unscramble.llm.chunks import focus
 from unscramble.llm.common import table, whole_text
 
 SAMPLE, RANK, NEIGHBOURS = 4096, 48, 15
@@ -45,13 +46,14 @@ def _columns(token: str) -> tuple[int, int]:
 
 def terms(text: str) -> tuple[np.ndarray, np.ndarray]:
     """Columns of a text's terms and their damped frequencies."""
+    focus("terms", _known.clear)
     tokens = text.split()
     if not tokens:
         return np.zeros(0, np.int64), np.zeros(0, np.float32)
     distinct = set(tokens)
     new = [t for t in distinct if t not in _known]
     if new:
-        if len(_known) + len(new) > 400_000:
+        if len(_known) + len(new) > 300_000:
             _known.clear()
             new = distinct
         _known.update((t, _columns(t)) for t in new)
