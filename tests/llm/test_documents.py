@@ -156,7 +156,7 @@ def test_redaction_keeps_columns_and_updates_length(spark, odd, none):
     out = personal.redact(odd)
     assert out.columns == odd.columns and personal.redact(none).count() == 0
     r = out.filter("doc_id = 11").first()
-    assert r["text"] == "[EMAIL] [CARD] [PHONE] [IP]" and r["n_chars"] == len(r["text"])
+    assert r["text"] == "[EMAIL], [CARD], [PHONE], [IP]" and r["n_chars"] == len(r["text"])
     plan = personal.find_spans(odd)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Exchange" not in plan
 

@@ -325,9 +325,10 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     wanted = members.select("doc_id").distinct()
     texts = materialize(_texts(docs).join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
     star = members.filter("doc_id <> anchor").select(F.col("doc_id").alias("a"), F.col("anchor").alias("b")).distinct()
-    edges = materialize(verified(star, texts, weights, threshold), "links")
+    signs_of = reps.select(F.col("twin").alias("doc_id"), "sample")
+    edges = materialize(verified(alike(star, signs_of), texts, weights, threshold), "links")
     labels = components(edges)
-    more = left_over(members, reps.select(F.col("twin").alias("doc_id"), "sample"), texts, weights, threshold, labels)
+    more = left_over(members, signs_of, texts, weights, threshold, labels)
     if not more.isEmpty():
         edges = edges.union(more)
         labels = components(edges)
@@ -359,6 +360,21 @@ BLOCK = 1024  # open members of a bucket that one task compares with the bucket
 ALIKE = 36
 
 
+def alike(pairs: DataFrame, signs: DataFrame) -> DataFrame:
+    """The pairs (a, b) with at least ALIKE equal samples, so that no texts are moved for chance candidates."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if not b.num_rows:
+                continue
+            x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), "<u2").reshape(b.num_rows, -1) for c in ("sa", "sb"))
+            keep = pa.array((x == y).sum(1) >= ALIKE)
+            yield pa.RecordBatch.from_arrays([b.column("a").filter(keep), b.column("b").filter(keep)], ["a", "b"])
+
+    left, right = (signs.select(F.col("doc_id").alias(c), F.col("sample").alias(f"s{c}")) for c in "ab")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
+
+
 def left_over(members: DataFrame, signs: DataFrame, texts: DataFrame, weights, threshold: float, labels: DataFrame) -> DataFrame:
     """Links (a, b) of the candidate pairs that the anchors leave open: one side is not in its anchor's class.
 
