@@ -55,6 +55,25 @@ def test_sampling_estimates_the_similarity():
     assert abs((nd.samples(*a) == nd.samples(*b)).mean() - true) < 0.17 and (nd.samples(*a) == nd.samples(*a)).all()
 
 
+@pytest.mark.parametrize(("n", "pairs"), [(300, 60), (2_000, 40), (20_000, 40), (100_000, 10)])
+def test_sampling_of_long_texts_whose_edits_are_rare_words(n, pairs):
+    g = np.random.default_rng(n)
+    true, equal, band = [], [], 0
+    for _ in range(pairs):
+        rare = n // 53  # at weights of 2.5 and 16.5 on average the similarity is 0.8
+        s = g.integers(0, 1 << 63, n + 2 * rare, dtype=np.uint64)
+        w = np.where(np.arange(len(s)) < n, g.uniform(1, 4, len(s)), g.uniform(14, 19, len(s))).astype(np.float32)
+        a, b = (np.r_[0:n, n + k * rare : n + (k + 1) * rare] for k in (0, 1))
+        a, b = ((s[i[np.argsort(s[i])]], w[i[np.argsort(s[i])]]) for i in (a, b))
+        x, y = nd.samples(*a), nd.samples(*b)
+        true.append(nd.weighted_jaccard(a, b))
+        equal.append(int((x == y).sum()))
+        band += bool((nd.bands(x) == nd.bands(y)).any())
+    error = (0.16 / nd.SAMPLES / pairs) ** 0.5
+    assert 0.79 < np.mean(true) < 0.83 and abs(np.mean(equal) / nd.SAMPLES - np.mean(true)) < 4 * error
+    assert min(equal) >= nd.ALIKE and band == pairs
+
+
 def brute_classes(rows, weights):
     texts = {r["doc_id"]: r["text"] or "" for r in rows}
     v = {k: weights.shingles(t) for k, t in texts.items()}

@@ -38,8 +38,6 @@ SHINGLE, THRESHOLD = 5, 0.8
 SAMPLES, BANDS = 64, 16
 COUNTERS, PER_ROW = 1 << 20, 1 << 14
 WORDS = re.compile(r"\w+")
-_ROWS = 1 << 11  # rows of the tables of random numbers; shingles share a row by hash
-
 _U = np.uint64
 _PRIME = [_U(x) for x in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5)]
 
@@ -112,37 +110,93 @@ def weighted_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.n
     return both / (float(a[1].sum(dtype=np.float64)) + float(b[1].sum(dtype=np.float64)) - both)
 
 
+_rng = np.random.Generator(np.random.PCG64(3))
+_XOR, _ODD = (_rng.integers(0, 1 << 32, SAMPLES, dtype=np.uint32) for _ in range(2))
+_ODD |= np.uint32(1)
 _random: list[np.ndarray] = []
 
 
 def _tables() -> list[np.ndarray]:
-    """r, 1/r, beta and ln c - r (1 - beta) of each (row, sample); r and c are Gamma(2, 1), beta is uniform."""
+    """ln of Gamma(2, 1) by its lower share, the same by its upper share, and what ln c - r is at least in each class.
+
+    Shares are 32 bits wide, and tables are addressed by the leading 20 bits of a share as a float, so small shares are
+    as fine as large ones. A class is the 8 leading bits of the shares of c and r.
+    """
     if not _random:
-        g = np.random.Generator(np.random.PCG64(3))
-        r, c = (g.gamma(2.0, 1.0, (_ROWS, SAMPLES)).astype(np.float32) for _ in range(2))
-        beta = g.random((_ROWS, SAMPLES), np.float32)
-        r = np.maximum(r, np.float32(1e-4))
-        _random.extend((r, 1 / r, beta, np.log(c) - r * (1 - beta)))
+        at = np.linspace(-14, 4, 60_000)
+        x = np.exp(at)
+        low, high = -np.expm1(-x) - x * np.exp(-x), np.exp(-x) * (1 + x)
+        share = (np.arange((_LAST >> 12) - (_FIRST >> 12) + 2, dtype=np.uint32) + np.uint32(_FIRST >> 12) << np.uint32(12)).view(np.float32).astype(np.float64)
+        small = np.interp(np.log(share), np.log(low), at)
+        large = np.interp(-np.log(share), -np.log(high), at)
+        edge = np.maximum(np.arange(256) / 256, 2.0**-33).astype(np.float32)
+        least = small[_entry(edge)][:, None] - np.exp(large[_entry(edge)])[None, :]
+        _random.extend((small, np.exp(large), (least - 0.01).astype(np.float32).ravel()))
     return _random
 
 
+_FIRST, _LAST = (int(np.float32(x).view(np.uint32)) for x in (2.0**-33, 1.0))
+
+
+def _entry(share: np.ndarray) -> np.ndarray:
+    return (share.view(np.uint32) >> np.uint32(12)).astype(np.int64) - (_FIRST >> 12)
+
+
+def _chosen(shingle: np.ndarray, lane: np.ndarray, kind: np.ndarray, log_weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The value that is to be the least, and the level, of shingles in a sample; kind is the class of c and r there.
+
+    r and c are Gamma(2, 1) and beta is uniform, all of the shingle's own: no rows of random numbers are shared.
+    """
+    by_low, by_high, _ = _tables()
+    h = _mixed((shingle + lane.astype(_U) * _PRIME[4]) * _PRIME[3])
+    more = _mixed(h * _PRIME[2])
+    share = lambda bits, rest: ((bits << 24 | rest.view(np.int64)) + 0.5).astype(np.float32) * np.float32(2.0**-32)
+    log_c = by_low[_entry(share(kind >> 8, h >> _U(40)))]
+    r = by_high[_entry(share(kind & 255, h & _U(0xFFFFFF)))]
+    beta = (more >> _U(11)) * 2.0**-53
+    level = np.floor(log_weight / r + beta)
+    return log_c - r * (level - beta + 1), level.astype(np.int64)
+
+
+def _kinds(shingles: np.ndarray) -> np.ndarray:
+    """Class of each (shingle, sample), 16 bits."""
+    h = (shingles ^ (shingles >> _U(32))).astype(np.uint32)[:, None] ^ _XOR
+    h *= _ODD
+    h ^= h >> np.uint32(15)
+    h *= np.uint32(0x9E3779B1)
+    h >>= np.uint32(16)
+    return h.astype(np.int64)
+
+
 def samples(shingles: np.ndarray, weights: np.ndarray) -> np.ndarray:
-    """SAMPLES hashes, each of a chosen (shingle, level); equal with the probability of the weighted Jaccard similarity."""
-    r, inverse, beta, base = _tables()
-    best = np.full(SAMPLES, np.inf, np.float32)
+    """SAMPLES hashes, each of a chosen (shingle, level); equal with the probability of the weighted Jaccard similarity.
+
+    A value is at least ln c - r - ln weight, so only those whose class can hold the least one are worked out.
+    """
+    least = _tables()[2]
+    best = np.full(SAMPLES, np.inf)
     who, level = np.zeros(SAMPLES, np.int64), np.zeros(SAMPLES, np.int64)
     lanes = np.arange(SAMPLES)
-    for at in range(0, len(shingles), 384):
-        s = shingles[at : at + 384]
-        row = (s & _U(_ROWS - 1)).astype(np.int64)
-        t = np.log(weights[at : at + 384])[:, None] * inverse[row]
-        t += beta[row]
-        np.floor(t, out=t)
-        a = base[row] - r[row] * t
-        i = a.argmin(0)
-        low = a[i, lanes]
-        better = low < best
-        best[better], who[better], level[better] = low[better], i[better] + at, t[i, lanes][better].astype(np.int64)
+    logs = np.log(weights.astype(np.float64))
+    short = logs.astype(np.float32)[:, None]
+
+    def meet(i: np.ndarray, lane: np.ndarray, kind: np.ndarray) -> None:
+        value, t = _chosen(shingles[i], lane, kind, logs[i])
+        at = np.flatnonzero(value < best[lane])
+        at = at[np.argsort(-value[at], kind="stable")]  # the least value is written last
+        best[lane[at]], who[lane[at]], level[lane[at]] = value[at], i[at], t[at]
+
+    at, step = 0, 64
+    while at < len(shingles):
+        kind = _kinds(shingles[at : at + step])
+        low = least.take(kind)
+        low -= short[at : at + step]
+        if at == 0:
+            i = low.argmin(0)
+            meet(i, lanes, kind[i, lanes])
+        can = np.flatnonzero(low <= best.astype(np.float32))
+        meet(can // SAMPLES + at, can % SAMPLES, kind.ravel()[can])
+        at, step = at + step, 384
     return _mixed(shingles[who] * _PRIME[2] + level.astype(_U) * _PRIME[3] + lanes.astype(_U))
 
 
@@ -356,7 +410,8 @@ def _with_anchors(keyed: DataFrame) -> DataFrame:
 BLOCK = 1024  # open members of a bucket that one task compares with the bucket
 
 
-#: A pair goes on to exact weights if so many samples are equal; one at 0.8 has fewer with a probability of 0.00001.
+#: A pair goes on to exact weights if so many of its SAMPLES are equal. A pair at 0.8 has fewer with a probability of
+#: 0.000004 (binomial, as samples estimate the similarity at every length) and no equal band with one of 0.0002.
 ALIKE = 36
 
 
