@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 from unscramble import catalog
 from unscramble.config import RepairConfig, as_printed
 from unscramble.operators import candidates, detect, metrics, model
-from unscramble.plans import methods
+from unscramble.plans import methods, workloads
 from unscramble.plans.operator_queries import _drain
 from unscramble.plans.queries import Example, _hand
 from unscramble.plans.workloads import Workbench
@@ -170,5 +170,19 @@ def test_query_and_sql_agree(spark, sf, name):
     assert got == want
 
 
+@pytest.mark.parametrize(("name", "points"), [("w4_volume", (40, 50, 60, 70, 80, 90, 100)), ("w6_attributes", (3, 6, 9, 12, 15, 18))])
+def test_registered_sweeps_have_all_points(spark, sf, monkeypatch, name, points):
+    class Stub:
+        def __init__(self, *args, **options):
+            pass
+
+        def run(self, workload, method, x):
+            return (workload, method, float(x), 0, 0, 0, 0, *[0.0] * 7)
+
+    monkeypatch.setattr(workloads, "Workbench", Stub)
+    got = {(r["method"], r["x"]) for r in catalog.queries()[name](spark, sf).collect()}
+    assert got == {(m, float(x)) for m in methods.METHODS for x in points}
+
+
 def test_every_sql_text_has_its_query():
     assert set(catalog.oracle_sql()) <= set(catalog.queries())

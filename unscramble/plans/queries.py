@@ -669,12 +669,12 @@ def w3_overall(spark, sf_dir):
 
 @query("w4_volume")
 def w4_volume(spark, sf_dir):
-    return workloads.by_volume(spark, sf_dir, percents=(40, 100))
+    return workloads.by_volume(spark, sf_dir)
 
 
 @query("w6_attributes")
 def w6_attributes(spark, sf_dir):
-    return workloads.by_attributes(spark, sf_dir, counts=(3, 18))
+    return workloads.by_attributes(spark, sf_dir)
 
 
 @query("w9_block_length")
