@@ -30,6 +30,15 @@ def test_fingerprints_with_ties_and_one_row(spark):
     assert fp.edited_fingerprints(df.limit(1)).count() == 1
 
 
+def test_fingerprints_with_ids_that_doubles_do_not_hold(spark):
+    g = random.Random(7)
+    ids = [g.randrange(-(1 << 63), 1 << 63) for _ in range(300)] + [(1 << 62) + 1 + i for i in range(60)]
+    texts = {i: "".join(g.choice("abcd") for _ in range(20)) for i in ids}
+    got = {r["doc_id"]: r["edited_sha256"] for r in fp.edited_fingerprints(spark.createDataFrame(list(texts.items()), "doc_id long, text string")).collect()}
+    order = sorted(texts)
+    assert got == {a: hashlib.sha256((texts[a][:15] + texts[b][:5]).encode()).hexdigest() for a, b in zip(order, order[1:] + order[:1], strict=True)}
+
+
 def test_likeness_falls_with_edits_and_feels_order():
     g = random.Random(0)
     words = ["".join(g.choice("abcdefghij") for _ in range(6)) for _ in range(400)]

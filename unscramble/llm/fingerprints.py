@@ -150,13 +150,15 @@ def _place(bounds: list[int], key: Column) -> Column:
 def in_order_with_next(docs: DataFrame) -> DataFrame:
     """Rows (part, extra, doc_id, text): each part is a range of ids in order, then, as extra rows, the next part's first.
 
-    The last part ends with the very first row. Texts move once; the bounds come from the ids alone.
+    The last part ends with the very first row. Texts move once; the bounds come from the ids alone. Quantiles are
+    doubles, which are no ids of the table beyond 2^53, so each part is then bounded by the least id in it.
     """
     spark = docs.sparkSession
     ids = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63))).alias("k"))
     n = 4 * partitions(spark)
     found = ids.agg(F.min("k").alias("least"), F.percentile_approx("k", [i / n for i in range(1, n)] or [0.5], 10_000).alias("cuts")).first()
-    bounds = sorted({found["least"], *found["cuts"]}) if found["least"] is not None else [0]
+    rough = sorted({found["least"], *found["cuts"]}) if found["least"] is not None else [0]
+    bounds = sorted(r["k"] for r in ids.groupBy(_place(rough, F.col("k")).alias("own")).agg(F.min("k").alias("k")).collect()) or [0]
     key = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(1 << 63)))
     part = _place(bounds, key).cast("int")
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text"), part.alias("own"), key.isin(bounds[:1]).alias("very_first"), key.alias("k"))
@@ -182,10 +184,16 @@ def edited_fingerprints(docs: DataFrame) -> DataFrame:
 
     def walk(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, part = None, None
+
+        def left(one: _Text | None) -> None:
+            if one is not None:
+                raise ValueError(f"part {part} ends without the document that follows {one.doc_id}")
+
         for b in batches:
             out = []
             for at, extra, doc, text in zip(*(b.column(c).to_pylist() for c in ("part", "extra", "doc_id", "text")), strict=True):
                 if at != part:
+                    left(held)
                     held, part = None, at
                 if extra and held is None:
                     continue  # a second row with the id that the next part starts with
@@ -196,6 +204,7 @@ def edited_fingerprints(docs: DataFrame) -> DataFrame:
             kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64())
             cols = list(zip(*out, strict=True)) or [[]] * 7
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], [x.split()[0] for x in RESULT.split(", ")])
+        left(held)
 
     return in_order_with_next(docs).mapInArrow(walk, RESULT)
 
