@@ -138,6 +138,18 @@ def test_one_document_of_each_class_stays(spark, none):
     assert nd.near_duplicates(none).count() == 0 and nd.one_of_each_class(none).columns == none.columns
 
 
+def test_rows_that_share_a_doc_id_with_different_texts(spark):
+    g = random.Random(8)
+    base = [[f"{k}w{g.randrange(10**6)}" for _ in range(150)] for k in range(5)]
+    near = [b[:149] + ["other"] for b in base]
+    rows = [(0, near[0]), (1, base[0]), (1, base[1]), (2, near[1]), (9, base[2]), (9, base[3]), (9, base[3]), (12, near[3]), (12, base[4])]
+    df = spark.createDataFrame([(i, " ".join(t)) for i, t in rows], "doc_id long, text string")
+    got = sorted((r["doc_id"], r["class_id"]) for r in nd.near_duplicates(df).collect())
+    assert got == [(0, 0), (1, 0), (1, 1), (2, 1), (9, 9), (9, 9), (9, 9), (12, 9), (12, 12)]
+    kept = sorted((r["doc_id"], r["text"]) for r in nd.one_of_each_class(df).collect())
+    assert kept == sorted((i, " ".join(t)) for i, t in [(0, near[0]), (1, base[1]), (9, base[2]), (9, base[3]), (12, base[4])])
+
+
 def test_components_both_ways(spark):
     g = random.Random(4)
     rows = [(g.randrange(300), g.randrange(300)) for _ in range(220)] + [(1000 + i, 1001 + i) for i in range(40)]

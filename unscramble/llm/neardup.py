@@ -16,8 +16,9 @@ class, and pairs were never rows: each member is sent once to each block of open
 Verification is the exact weighted Jaccard similarity of the two whole texts (0.8 or more). Classes are the connected
 components of verified pairs and carry their smallest doc_id.
 
-Null text is empty. Texts without words are equal only to the same text. Rows that repeat a doc_id belong together;
-rows without doc_id get no class. An empty table gives no rows.
+Null text is empty. Texts without words are equal only to the same text. Rows that repeat a doc_id are told apart by
+their texts, each of which is in the class it is like (classes of different texts have one name if the same doc_id is
+the smallest of both); rows without doc_id get no class. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -28,7 +29,7 @@ from collections.abc import Callable, Iterable, Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from unscramble.llm.chunks import blocks, focus
@@ -212,7 +213,12 @@ def bands(chosen: np.ndarray) -> np.ndarray:
 
 
 def _texts(docs: DataFrame) -> DataFrame:
-    return docs.filter(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text"))
+    """doc_id, digest of the text, text. A row is named by doc_id and digest, as a doc_id may have several texts."""
+    return docs.filter(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), _digest().alias("digest"), whole_text().alias("text"))
+
+
+def _digest() -> Column:
+    return F.xxhash64(whole_text())
 
 
 def counted(texts: DataFrame, cells_of: Callable[[str], np.ndarray]) -> tuple[np.ndarray, int]:
@@ -267,7 +273,7 @@ def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
 
 
 def sketches(docs: DataFrame, weights) -> DataFrame:
-    """doc_id, content (digest of the word sequence), sample (16 bits of each) and bands of every document.
+    """doc_id, digest, content (digest of the word sequence), sample (16 bits of each) and bands of every document.
 
     weights: broadcast of Weights.
     """
@@ -284,9 +290,9 @@ def sketches(docs: DataFrame, weights) -> DataFrame:
                 short += [b"" if c is None else c.astype("<u2").tobytes() for c in chosen]
             offsets = np.concatenate([[0], np.cumsum([len(c) for c in cuts])]).astype(np.int32)
             flat = np.concatenate(cuts) if cuts else np.zeros(0, np.int64)
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(keys, pa.string()), pa.array(short, pa.binary()), pa.ListArray.from_arrays(offsets, flat)], ["doc_id", "content", "sample", "bands"])
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("digest"), pa.array(keys, pa.string()), pa.array(short, pa.binary()), pa.ListArray.from_arrays(offsets, flat)], ["doc_id", "digest", "content", "sample", "bands"])
 
-    return _texts(docs).mapInArrow(run, "doc_id long, content string, sample binary, bands array<long>")
+    return _texts(docs).mapInArrow(run, "doc_id long, digest long, content string, sample binary, bands array<long>")
 
 
 def verified(pairs: DataFrame, texts: DataFrame, weights, threshold: float) -> DataFrame:
@@ -369,17 +375,27 @@ def spread_components(edges: DataFrame) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
     """doc_id, class_id, n_links (verified links of its text to other texts) of every document that has an id."""
+    return _classed(docs, threshold).select("doc_id", F.col("head.doc_id").alias("class_id"), "n_links")
+
+
+def _classed(docs: DataFrame, threshold: float) -> DataFrame:
+    """doc_id, digest, head (doc_id and digest of the class's first row), n_links of every row that has an id.
+
+    Inside, each content is a node with a number of its own; the columns doc_id of members and texts hold that number.
+    """
     spark = docs.sparkSession
     counts, n = document_frequencies(docs)
     weights = spark.sparkContext.broadcast(Weights(counts, n))
     signs = materialize(sketches(docs, weights), "sketches")
-    reps = materialize(signs.groupBy("content").agg(F.min("doc_id").alias("twin"), F.first("bands").alias("bands"), F.first("sample").alias("sample")), "contents")
-    members = _with_anchors(reps.select(F.col("twin").alias("doc_id"), F.explode("bands").alias("bucket")))
+    contents = signs.groupBy("content").agg(F.min(F.struct("doc_id", "digest")).alias("row"), F.first("bands").alias("bands"), F.first("sample").alias("sample"))
+    reps = materialize(contents.withColumn("node", F.monotonically_increasing_id()), "contents")
+    members = _with_anchors(reps.select(F.col("node").alias("doc_id"), F.explode("bands").alias("bucket")))
 
-    wanted = members.select("doc_id").distinct()
-    texts = materialize(_texts(docs).join(wanted, "doc_id", "left_semi").dropDuplicates(["doc_id"]), "texts")
+    wanted = reps.join(members.select(F.col("doc_id").alias("node")).distinct(), "node", "left_semi").select("row.doc_id", "row.digest", "node")
+    found = _texts(docs).join(wanted, ["doc_id", "digest"]).dropDuplicates(["doc_id", "digest"])
+    texts = materialize(found.select(F.col("node").alias("doc_id"), "text"), "texts")
     star = members.filter("doc_id <> anchor").select(F.col("doc_id").alias("a"), F.col("anchor").alias("b")).distinct()
-    signs_of = reps.select(F.col("twin").alias("doc_id"), "sample")
+    signs_of = reps.select(F.col("node").alias("doc_id"), "sample")
     edges = materialize(verified(alike(star, signs_of), texts, weights, threshold), "links")
     labels = components(edges)
     more = left_over(members, signs_of, texts, weights, threshold, labels)
@@ -388,10 +404,11 @@ def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
         labels = components(edges)
 
     linked = F.array(F.struct(F.col("a").alias("x"), F.col("b").alias("y")), F.struct(F.col("b").alias("x"), F.col("a").alias("y")))
-    degree = edges.select(F.explode(linked).alias("e")).distinct().groupBy(F.col("e.x").alias("twin")).agg(F.count("*").alias("n_links"))
-    classes = labels.select(F.col("node").alias("twin"), "label").join(degree, "twin", "left")
-    named = reps.select("content", "twin").join(classes, "twin", "left").select("content", F.coalesce("label", "twin").alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
-    return signs.select("doc_id", "content").join(named, "content").select("doc_id", "class_id", "n_links")
+    degree = edges.select(F.explode(linked).alias("e")).distinct().groupBy(F.col("e.x").alias("node")).agg(F.count("*").alias("n_links"))
+    heads = labels.join(reps.select("node", "row"), "node").groupBy("label").agg(F.min("row").alias("head"))
+    classes = labels.join(heads, "label").select("node", "head").join(degree, "node", "left")
+    named = reps.select("content", "node", "row").join(classes, "node", "left").select("content", F.coalesce("head", "row").alias("head"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"))
+    return signs.select("doc_id", "digest", "content").join(named, "content").select("doc_id", "digest", "head", "n_links")
 
 
 def _with_anchors(keyed: DataFrame) -> DataFrame:
@@ -526,13 +543,14 @@ class _Index:
 
 
 def one_of_each_class(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The rows of docs whose doc_id is its class's smallest, once each, and rows without doc_id."""
-    classes = materialize(near_duplicates(docs, threshold), "classes")
-    keep = classes.filter("doc_id = class_id")
-    repeated = keep.groupBy("doc_id").agg(F.count("*").alias("n")).filter("n > 1").limit(1).count() > 0
-    first = docs.join(keep.select("doc_id").distinct(), "doc_id", "left_semi")
+    """The first row of each class (smallest doc_id, then digest), once, and rows without doc_id."""
+    classes = materialize(_classed(docs, threshold), "classes")
+    keep = classes.filter("doc_id = head.doc_id AND digest = head.digest").select("doc_id", "digest")
+    repeated = keep.groupBy("doc_id", "digest").agg(F.count("*").alias("n")).filter("n > 1").limit(1).count() > 0
+    named = docs.withColumn("_digest", _digest())
+    first = named.join(keep.select("doc_id", F.col("digest").alias("_digest")).distinct(), ["doc_id", "_digest"], "left_semi")
     if repeated:
-        first = first.dropDuplicates(["doc_id"])
+        first = first.dropDuplicates(["doc_id", "_digest"])
     return first.select(*docs.columns).unionByName(docs.filter("doc_id IS NULL"))
 
 
