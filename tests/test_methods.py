@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from unscramble import catalog
 from unscramble.config import RepairConfig, as_printed
-from unscramble.operators import candidates, detect, metrics, model
+from unscramble.operators import candidates, detect, matching, metrics, model
 from unscramble.plans import methods, workloads
 from unscramble.plans.operator_queries import _drain
 from unscramble.plans.queries import Example, _hand
@@ -170,6 +170,16 @@ def test_query_and_sql_agree(spark, sf, name):
     assert got == want
 
 
+def test_auto_matches_exactly_beyond_64_sensors(spark):
+    w = np.random.default_rng(5).random((70, 70))
+    df = spark.createDataFrame([(w.tolist(),)], "w array<array<double>>")
+    to = np.array(df.select(matching.matched(F.col("w")).alias("to")).first()["to"])
+    assert (to == matching.assign(w)).all() and matching.total(w, to) > matching.total(w, matching.greedy_numpy(w))
+    x = np.random.default_rng(6).normal(5, 40, 70)
+    _, dst, _ = candidates.Feedback(np.zeros(70), np.ones(70), RepairConfig(size_mode="moved", theta_m=1.1), np.zeros((0, 70))).step(x)
+    assert (dst == matching.assign(candidates._support(np.tile(x[:, None], 70), "chebyshev"))).all()
+
+
 @pytest.mark.parametrize(("name", "points"), [("w4_volume", (40, 50, 60, 70, 80, 90, 100)), ("w6_attributes", (3, 6, 9, 12, 15, 18))])
 def test_registered_sweeps_have_all_points(spark, sf, monkeypatch, name, points):
     class Stub:

@@ -19,7 +19,6 @@ class RepairConfig:
     size_mode: str = "matched"  # matched, moved
     objective: str = "sum"  # sum, log
     match: str = "auto"  # auto, flow, assign, enum, greedy
-    exact_limit: int = 64
     update: str = "sliding"  # sliding, cumulative
     update_policy: str = "paper"  # paper, guarded
     len1: int = 20

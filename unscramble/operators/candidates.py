@@ -46,7 +46,7 @@ def candidate_schemas(panel: DataFrame, models: DataFrame, cfg: RepairConfig, eq
     early = F.lit(False) if cfg.size_mode == "moved" else a > cfg.epsilon  # the size is known before matching
     none = F.expr("cast(array() as array<array<double>>)")
     w = F.when((a >= 2) & ~early, matching.weights(cfg.family, cfg.objective)).otherwise(none)
-    rows = flags.select("eq_id", "n", "ts", "abnormal", w.alias("w")).withColumn("to", matching.matched(F.col("w"), how, cfg.exact_limit))
+    rows = flags.select("eq_id", "n", "ts", "abnormal", w.alias("w")).withColumn("to", matching.matched(F.col("w"), how))
     none = F.expr("cast(array() as array<int>)")
     placed = perm.let(F.struct("to", "abnormal"), lambda p: F.struct(F.when(F.size(p["to"]) > 0, p["abnormal"]).otherwise(none).alias("src"), F.transform(p["to"], lambda j: p["abnormal"][j]).alias("dst")))
     rows = rows.select("eq_id", "n", "ts", "abnormal", placed.alias("placed")).select("eq_id", "n", "ts", "abnormal", "placed.src", "placed.dst")
@@ -115,7 +115,7 @@ class Feedback:
             if cfg.size_mode == "moved" or len(ab) <= cfg.epsilon:
                 w = _support((x[ab][:, None] - mu[ab][None, :]) / sd[ab][None, :], cfg.family)
                 w = np.log(np.maximum(w, FLOOR)) if cfg.objective == "log" else w
-                exact = cfg.method != "greedy" and cfg.match != "greedy" and len(ab) <= cfg.exact_limit
+                exact = cfg.method != "greedy" and cfg.match != "greedy"
                 to = (matching.assign if exact else matching.greedy_numpy)(w)
                 dst = ab[to]
                 if cfg.size_mode == "matched" or (dst != ab).sum() <= cfg.epsilon:

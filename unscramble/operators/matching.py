@@ -215,14 +215,12 @@ def _batched(name: str) -> Callable[[pd.Series], pd.Series]:
     return run
 
 
-def matched(w: Column, how: str = "auto", exact_limit: int = 64) -> Column:
-    """Matching of W by name. auto is exact up to exact_limit readings and greedy beyond."""
+def matched(w: Column, how: str = "auto") -> Column:
+    """Matching of W by name. auto is exact at every size; its cost is cubic in at most the number of sensors."""
     if how == "greedy":
         return greedy(w)
     if how == "enum":
         return enumerated(w)
     # declared nondeterministic only so that the plan never folds the call into later expressions and repeats it
     udf = F.pandas_udf(_batched("assign" if how == "auto" else how), "array<int>").asNondeterministic()
-    if how == "auto":
-        return F.when(F.size(w) <= exact_limit, udf(F.when(F.size(w) <= exact_limit, w).otherwise(F.expr("cast(array() as array<array<double>>)")))).otherwise(greedy(w))
     return F.when(F.size(w) >= 0, udf(w))  # named twice, w stays a column of its own, as the call's arguments must be
