@@ -5,6 +5,7 @@ from pyspark.sql import functions as F
 
 from unscramble import catalog
 from unscramble.config import RepairConfig, as_printed
+from unscramble.functions import support
 from unscramble.operators import candidates, detect, matching, metrics, model
 from unscramble.plans import methods, workloads
 from unscramble.plans.operator_queries import _drain
@@ -170,6 +171,16 @@ def test_query_and_sql_agree(spark, sf, name):
     assert got == want
 
 
+def test_feedback_has_the_families_it_takes(spark):
+    z = np.linspace(-9, 9, 37)
+    df = spark.createDataFrame([(float(v),) for v in z], "z double")
+    for name, f in support.FAMILIES.items():
+        want = [r["p"] for r in df.select(f(F.col("z")).alias("p")).collect()]
+        assert np.allclose(sorted(candidates._support(z, name)), sorted(want), rtol=1e-9, atol=0)
+    with pytest.raises(ValueError, match="empirical"):
+        candidates._support(z, "empirical")
+
+
 def test_auto_matches_exactly_beyond_64_sensors(spark):
     w = np.random.default_rng(5).random((70, 70))
     df = spark.createDataFrame([(w.tolist(),)], "w array<array<double>>")

@@ -25,14 +25,16 @@ def kernel(z: Column) -> Column:
     return F.greatest(F.exp(-z * z / 2), F.lit(FLOOR))
 
 
+# fixed values: coefficients of a published approximation with error below 1.2e-7
+TAIL = (-1.26551223, 1.00002368, 0.37409196, 0.09678418, -0.18628806, 0.27886807, -1.13520398, 1.48851587, -0.82215223, 0.17087277)
+
+
 def tail(z: Column) -> Column:
     """Two-sided tail of the normal distribution, by a rational approximation of the complementary error function."""
     a = F.abs(z) / math.sqrt(2)
     t = 1 / (1 + a / 2)
-    # fixed values: coefficients of a published approximation with error below 1.2e-7
-    c = (-1.26551223, 1.00002368, 0.37409196, 0.09678418, -0.18628806, 0.27886807, -1.13520398, 1.48851587, -0.82215223, 0.17087277)
-    poly = F.lit(c[-1])
-    for k in reversed(c[:-1]):
+    poly = F.lit(TAIL[-1])
+    for k in reversed(TAIL[:-1]):
         poly = poly * t + k
     return F.least(F.greatest(t * F.exp(-a * a + poly), F.lit(FLOOR)), F.lit(1.0))
 

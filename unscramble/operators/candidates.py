@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from unscramble.config import RepairConfig
 from unscramble.functions import perm
-from unscramble.functions.support import FLOOR
+from unscramble.functions.support import FLOOR, TAIL
 from unscramble.operators import detect, matching
 from unscramble.operators.model import packed
 from unscramble.scratch import stored
@@ -86,6 +86,12 @@ def _support(z: np.ndarray, family: str) -> np.ndarray:
     z = np.abs(z)
     if family == "kernel":
         return np.maximum(np.exp(-z * z / 2), FLOOR)
+    if family == "tail":
+        a = z / np.sqrt(2)
+        t = 1 / (1 + a / 2)
+        return np.clip(t * np.exp(-a * a + np.polyval(TAIL[::-1], t)), FLOOR, 1.0)
+    if family != "chebyshev":
+        raise ValueError(f"feedback and streams have no family {family}: their models are moments")
     with np.errstate(divide="ignore"):
         return np.where(z <= 1, 1.0, 1 / (z * z))
 
