@@ -30,28 +30,31 @@ def test_counts_and_ids_are_the_libraries_own():
 
 
 def test_memo_is_bounded_and_stays_right():
-    m = chunks.Memo(lambda xs: [x.upper() for x in xs], limit=3)
+    m = chunks.Memo(str.upper, limit=3)
+    narrow = chunks.Memo(str.upper, room=8 * chunks.ENTRY)
     for k in range(20):
-        words = [f"w{k}", "w0", "x" * 100]
-        assert {w: m.lookup([words])[w] for w in words} == {w: w.upper() for w in words}
-        assert len(m.known) <= 5 and "x" * 100 not in m.known
+        for w in (f"w{k}", "w0", "x" * 100):
+            assert m[w] == narrow[w] == w.upper()
+        assert len(m) <= 5 and "x" * 100 not in m and len(narrow) + len(narrow.old) <= 10
 
 
 def test_pieces_are_the_librarys_and_come_back():
     path = P.path("piece_bpe_32k.model")
     lib = sentencepiece.SentencePieceProcessor(model_file=path)
-    texts = [x for x in ODD + random_texts() if "▁" not in x]
+    texts = ODD + random_texts() + ["▁", "a▁b ▁c▁ d", " ▁ ", "▁▁x", "\x00a\x00", "🙂🙂 日本\n\n 語"]
     got = [np.frombuffer(b, "<u4").tolist() for b in pieces.encode(texts, path)]
     assert got == [lib.encode(x) for x in texts]
     model = pieces.compiled(path)[0]
-    assert [model.decode(ids) for ids in got] == texts
+    assert [model.decode(ids) for ids in got] == [x.replace("▁", " ") for x in texts]
+    for ids, ends, block in pieces.encode_blocks(texts, path):
+        assert [b.decode() for b in pieces.decode_blocks(model, ids, ends)] == [x.replace("▁", " ") for x in block.to_pylist()]
 
 
 def test_shortest_path_of_a_unigram_model():
     t = pieces.Transducer.__new__(pieces.Transducer)
     t.kind, t.bytes, t.unknown, t.prefix = 1, {}, 0, False
     t.ids, t.scores = {"a": 1, "b": 2, "ab": 3, "aba": 4}, [0.0, -1.0, -1.0, -1.5, -1.9]
-    t.longest, t.heads = 3, {p[:i] for p in t.ids for i in range(1, len(p) + 1)}
+    t.longest, t.heads = 3, pieces._states(t.ids)
     assert t.shortest_path("abab") == ["aba", "b"]
 
 
@@ -117,6 +120,11 @@ def test_supersteps_are_sequential_best_fit(spark, none):
     rows = spark.createDataFrame([(i % 50, i, g.randint(1, 40), 0) for i in range(500)], "doc_id long, piece int, length long, start long")
     got = packing.pack(rows, 40).collect()
     assert len(got) == 500 and check_sequences(got, 40) == len(best_fit_decreasing([r["length"] for r in rows.collect()], 40))
+    clash = rows.selectExpr("*", "'a' AS lane", "2 AS rank", "3 AS offset", "4 AS n", "5 AS row", "6 AS first_rank").unionByName(rows.limit(1).selectExpr("*", "'a' AS lane", "2 AS rank", "3 AS offset", "4 AS n", "5 AS row", "6 AS first_rank"))
+    odd = packing.pack(clash, 40)  # names that pack has too, and a row that occurs twice
+    assert odd.columns == [c for c in clash.columns if c != "offset"] + ["sequence_id", "offset"]
+    odd = odd.collect()
+    assert len(odd) == 501 and all((r["lane"], r["rank"], r["n"], r["row"], r["first_rank"]) == ("a", 2, 4, 5, 6) for r in odd) and check_sequences(odd, 40)
     assert packing.pack_documents(none, P.path("word_bpe_49k.json")).count() == 0
 
 
@@ -130,9 +138,15 @@ def test_cache_is_used_and_grows(spark, odd, none):
     assert stored.count() == odd.select(F.coalesce("text", F.lit(""))).distinct().count()
     token_counts.count_tokens(odd, tok, path).collect()
     assert spark.read.parquet(path).count() == stored.count()  # nothing was encoded twice
+    before = stored.count()
+    more = odd.unionByName(spark.createDataFrame([(90, "one more text", "en", "s", 13), (91, "one", "en", "s", 3)], odd.schema))
+    got = {r["doc_id"]: r["n_tokens"] for r in token_counts.count_tokens(more, tok, path).collect()}
+    assert spark.read.parquet(path).count() == before + 1 and len(got) == 15  # 14 hits, one miss
+    assert got[90] == len(t.encode("one more text", add_special_tokens=False).ids) and got[91] == got[3]
     assert token_counts.count_tokens(none, tok, path).count() == 0
 
 
 @pytest.mark.parametrize("text", ["abab", "a b", "x"])
 def test_chunks_join_to_the_text(text):
-    assert "".join(chunks.SPACED.findall(text)) == text and "".join(pieces.CHUNK.findall(" " + text)) == " " + text
+    for cut in (chunks.before_spaces, chunks.before_spaces_and_stops, pieces.compiled(P.path("piece_bpe_32k.model"))[0].cut):
+        assert "".join(x for block, _, _ in chunks.parts_of([text, "", text], cut) for x in block.to_pylist()) == text * 2
