@@ -2,30 +2,16 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-import zipfile
-from pathlib import Path
-
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: At most so many bytes may be shipped to executors as a broadcast table.
-BROADCAST_LIMIT = 64 << 20
-
+from unscramble.scratch import scratch_path, ship_package
 
-_shipped: set[str] = set()
+__all__ = ["drop_scratch", "materialize", "may_hold", "partitions", "scratch_path", "ship_package", "table", "whole_text"]
 
-
-def ship_package(spark: SparkSession) -> None:
-    """Send this package to the executors, once for each application, so that their Python can import it."""
-    if spark.sparkContext.applicationId not in _shipped:
-        top = Path(__file__).resolve().parents[2]
-        with zipfile.ZipFile(name := f"{tempfile.mkdtemp()}/unscramble.zip", "w") as z:
-            for p in sorted((top / "unscramble").rglob("*.py")):
-                z.write(p, p.relative_to(top))
-        spark.sparkContext.addPyFile(name)
-        _shipped.add(spark.sparkContext.applicationId)
+#: At most so many bits are shipped to executors as a bit map: 64 MB.
+FILTER_BITS = 1 << 29
+_ROW_BITS = 1 << 15  # of a row of the bit map, as Spark's bitmap functions have them
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -33,46 +19,45 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-_local: dict[str, str] = {}
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: ``spark.checkpoint.dir``.
+def materialize(df: DataFrame, name: str) -> DataFrame:
+    """Cut the lineage: write to the shared folder as Parquet and read back."""
+    spark, path = df.sparkSession, scratch_path(df.sparkSession, name)
+    ship_package(spark)
+    df.write.parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
 
-    Only where the session names none (tests, local mode) a folder of this machine is used.
-    """
-    named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if named:
-        return named.rstrip("/")
-    if not spark.sparkContext.master.startswith("local"):
-        raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
-    app = spark.sparkContext.applicationId
-    if app not in _local:
-        _local[app] = f"file://{tempfile.mkdtemp(prefix='unscramble-')}"
-    return _local[app]
 
+def drop_scratch(*tables: DataFrame) -> None:
+    """Delete tables that materialize wrote and nothing reads any more, through Spark's own file systems."""
+    for df in tables:
+        if path := getattr(df, "_scratch", None):
+            spark = df.sparkSession
+            p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+            p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
-def scratch_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/unscramble/{name}-{uuid.uuid4().hex}"
 
+def may_hold(keys: DataFrame, key: str, rows: DataFrame, row_key: Column, most: int = FILTER_BITS) -> DataFrame:
+    """rows with a column _may: true wherever row_key is among keys, and seldom elsewhere. rows are not shuffled.
 
-def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage: write to the shared folder as Parquet and read back."""
-    path = scratch_path(df.sparkSession, name)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    A bit map with 32 bits or more for each key is broadcast, of most bits at the most; with more keys than fit more
+    rows have true, down to all of them, so what uses it stays right at any size.
+    """
+    n = keys.count()
+    bits = min(most, max(_ROW_BITS, 1 << (32 * n).bit_length()))
+    at = keys.select(F.pmod(F.col(key), F.lit(bits)).alias("p"))
+    maps = at.groupBy(F.expr(f"p div {_ROW_BITS}").alias("_row")).agg(F.bitmap_construct_agg(F.col("p") % _ROW_BITS).alias("_bits"))
+    asked = rows.withColumn("_p", F.pmod(row_key, F.lit(bits))).withColumn("_row", F.expr(f"_p div {_ROW_BITS}"))
+    byte = F.conv(F.hex(F.expr(f"substring(_bits, cast((_p % {_ROW_BITS}) div 8 as int) + 1, 1)")), 16, 10).cast("int")
+    bit = F.expr("cast(shiftleft(1, cast(_p % 8 as int)) as int)")
+    found = asked.join(F.broadcast(maps), "_row", "left").withColumn("_may", F.coalesce(byte.bitwiseAND(bit) > 0, F.lit(False)))
+    return found.select(*rows.columns, "_may")
 
 
 def partitions(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
-def drop_path(spark: SparkSession, path: str) -> None:
-    """Delete a scratch folder through Spark's own file systems."""
-    jvm = spark.sparkContext._jvm
-    p = jvm.org.apache.hadoop.fs.Path(path)
-    p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
-
-
 def whole_text(col: str = "text"):
     return F.coalesce(F.col(col).cast("string"), F.lit(""))

@@ -23,20 +23,20 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from unscramble.llm import chunks
-from unscramble.llm.common import materialize, partitions, table, whole_text
+from unscramble.llm.common import materialize, partitions, ship_package, table, whole_text
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
 def token_pieces(docs: DataFrame, tokenizer_path: str, limit: int = 4096, end_id: int = 1) -> DataFrame:
     """Each document's ids and an end id, cut at every limit ids. The ids themselves stay where they were made."""
+    ship_package(docs.sparkSession)
     end = np.uint32(end_id).astype("<u4").tobytes()
 
     def cut(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             rows: list[tuple] = []
-            texts = batch.column("text").to_pylist()
-            for doc, ids in zip(batch.column("doc_id").to_pylist(), chunks.id_bytes(texts, tokenizer_path), strict=True):
+            for doc, ids in zip(batch.column("doc_id").to_pylist(), chunks.id_bytes(batch.column("text"), tokenizer_path), strict=True):
                 ids += end
                 n = len(ids) // 4
                 rows += [(doc, k, at, min(limit, n - at), zlib.crc32(ids[4 * at : 4 * (at + limit)])) for k, at in enumerate(range(0, n, limit))]
@@ -100,12 +100,19 @@ def place_classes(counts: dict[int, int], limit: int) -> list[tuple[int, int, in
 
 
 def pack(pieces: DataFrame, limit: int = 4096) -> DataFrame:
-    """Adds sequence_id and offset to pieces (doc_id, piece, length, ...). Lengths are 1 to limit.
+    """Adds sequence_id and offset to pieces (doc_id, piece, start, length, ...). Lengths are 1 to limit.
 
+    All columns of pieces stay, whatever their names, but for sequence_id and offset, which are replaced.
     The pieces are read three times: give a table that is stored, not a costly plan.
     """
     spark = pieces.sparkSession
-    keyed = pieces.withColumn("lane", F.pmod(F.xxhash64("doc_id", "piece", "start"), F.lit(4 * partitions(spark))))
+    kept = [c for c in pieces.columns if c not in ("sequence_id", "offset")]
+    order = ["doc_id", "piece", *[c for c in ("ids_crc32",) if c in kept]]
+    keyed = pieces.select(
+        F.struct(*kept).alias("row"),
+        F.col("length").cast("long").alias("length"),
+        F.pmod(F.xxhash64("doc_id", "piece", "start"), F.lit(4 * partitions(spark))).alias("lane"),
+    )
     per_lane = keyed.groupBy("length", "lane").agg(F.count("*").alias("n"))
     totals = {r["length"]: r["n"] for r in keyed.groupBy("length").agg(F.count("*").alias("n")).collect()}
     if totals and not 1 <= min(totals) <= max(totals) <= limit:
@@ -114,18 +121,14 @@ def pack(pieces: DataFrame, limit: int = 4096) -> DataFrame:
     matches = spark.createDataFrame(rows, "length long, first_rank long, ranks long, first_sequence long, fit long, base long")
     before = Window.partitionBy("length").orderBy("lane").rowsBetween(Window.unboundedPreceding, -1)
     offsets = per_lane.select("length", "lane", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("ahead"))
-    inside = Window.partitionBy("length", "lane").orderBy("doc_id", "piece", *[c for c in ("ids_crc32",) if c in pieces.columns])
-    ranked = (
-        keyed.withColumn("in_lane", F.row_number().over(inside) - 1)
-        .join(offsets, ["length", "lane"])
-        .withColumn("rank", F.col("in_lane") + F.col("ahead"))
-        .drop("lane", "in_lane", "ahead")
-    )
+    inside = Window.partitionBy("length", "lane").orderBy(*[f"row.{c}" for c in order])
+    ranked = keyed.withColumn("in_lane", F.row_number().over(inside) - 1).join(offsets, ["length", "lane"])
+    ranked = ranked.select("row", "length", (F.col("in_lane") + F.col("ahead")).alias("rank"))
     step = F.col("rank") - F.col("first_rank")
     here = (ranked["length"] == matches["length"]) & step.between(F.lit(0), F.col("ranks") - 1)
     placed = ranked.join(F.broadcast(matches) if len(rows) <= 1_000_000 else matches, here)
     return placed.select(
-        *[ranked[c] for c in pieces.columns],
+        *[F.col("row")[c].alias(c) for c in kept],
         (F.col("first_sequence") + F.floor(step / F.col("fit"))).cast("long").alias("sequence_id"),
         (F.col("base") + F.pmod(step, F.col("fit")) * ranked["length"]).cast("long").alias("offset"),
     )
