@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame
@@ -110,8 +111,12 @@ def detect_hampel(panel: DataFrame, history: DataFrame, half: int = 7, k: float
 
 
 @register_detector("ewma")
-def detect_ewma(panel: DataFrame, history: DataFrame, alpha: float = 0.2, k: float = 2.5, memory: int = 40) -> DataFrame:
-    """Distance to the exponential mean of the memory readings before; what is older weighs less than (1 - alpha)^memory."""
+def detect_ewma(panel: DataFrame, history: DataFrame, alpha: float = 0.2, k: float = 2.5, memory: int | None = None) -> DataFrame:
+    """Distance to the exponential mean of the readings before.
+
+    Of these the last memory are looked at; by default so many that what is older weighs less than a double can show.
+    """
+    memory = memory or math.ceil(math.log(2.0**-53) / math.log(1 - alpha))
     w = Window.partitionBy(*KEYS).orderBy("n").rowsBetween(-memory, -1)
     rows = _beside(panel, models_.fit_moments(history)).withColumn("past", F.collect_list("x").over(w))
     rows = rows.withColumn("ewma", F.aggregate("past", F.col("mu"), lambda acc, v: acc + alpha * (v - acc)))

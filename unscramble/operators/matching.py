@@ -60,7 +60,7 @@ def _greedy(w: Column) -> Column:
 
 
 def enumerated(w: Column, limit: int = ENUM_LIMIT) -> Column:
-    """The best of all matchings, for at most limit readings (else NULL)."""
+    """The best of all matchings, for at most limit readings (else NULL; matched() hands those to the exact matcher)."""
     return let(w, lambda v: _enumerated(v, limit))
 
 
@@ -215,12 +215,22 @@ def _batched(name: str) -> Callable[[pd.Series], pd.Series]:
     return run
 
 
+EASY = 4  # so many readings auto matches by enumeration, in expressions
+
+
 def matched(w: Column, how: str = "auto") -> Column:
-    """Matching of W by name. auto is exact at every size; its cost is cubic in at most the number of sensors."""
+    """Matching of W by name. auto is exact at every size; its cost is cubic in at most the number of sensors.
+
+    Matchings of few readings are enumerated in expressions; larger ones (and with enum those beyond ENUM_LIMIT) go to
+    the exact matcher on Arrow batches, which sees only these.
+    """
     if how == "greedy":
         return greedy(w)
-    if how == "enum":
-        return enumerated(w)
+    limit = {"enum": ENUM_LIMIT, "auto": EASY}.get(how, -1)
     # declared nondeterministic only so that the plan never folds the call into later expressions and repeats it
-    udf = F.pandas_udf(_batched("assign" if how == "auto" else how), "array<int>").asNondeterministic()
-    return F.when(F.size(w) >= 0, udf(w))  # named twice, w stays a column of its own, as the call's arguments must be
+    udf = F.pandas_udf(_batched("assign" if how in ("auto", "enum") else how), "array<int>").asNondeterministic()
+    if limit < 0:
+        return F.when(F.size(w) >= 0, udf(w))  # named twice, w stays a column of its own, as the call's arguments must be
+    none = F.expr("cast(array() as array<array<double>>)")
+    large = udf(F.when(F.size(w) > limit, w).otherwise(none))
+    return F.when(F.size(w) > limit, large).when(F.size(w) > 0, enumerated(w, limit)).otherwise(F.expr("cast(array() as array<int>)"))

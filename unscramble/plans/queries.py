@@ -76,7 +76,7 @@ def panel_wide_stats(spark, sf_dir):
     return long.groupBy("m").agg(F.count("*").alias("cnt"), F.round(F.min("x"), 6).alias("lo"), F.round(F.max("x"), 6).alias("hi"), F.round(F.avg("x"), 6).alias("mean"))
 
 
-@query("panel_drift_stats")
+@query("panel_drift_stats", oracle.with_(oracle.panel("p", 2.0, drift=0.001), "SELECT m, round(avg(x), 6) AS mean, round(stddev_samp(x), 6) AS sd FROM p GROUP BY m"))
 def panel_drift_stats(spark, sf_dir):
     long = panels.to_long(panels.calibrated_panel(spark, sf_dir, 2.0, drift=0.001))
     return long.groupBy("m").agg(F.round(F.avg("x"), 6).alias("mean"), F.round(F.stddev_samp("x"), 6).alias("sd"))
@@ -248,7 +248,13 @@ for _family in ("chebyshev", "kernel", "tail"):
     _flags_frozen(_family)
 
 
-@query("flags_frozen_empirical")
+_EMPIRICAL = f"""{_HIST}, {oracle.panel("p", 2.0)}, {oracle.models()},
+bins AS (SELECT m, bin, count(*) / any_value(cnt) AS share FROM (SELECT m, cnt, least(CAST(floor((x - lo) / (hi - lo) * 20) AS INTEGER), 19) AS bin FROM hist JOIN models USING (m)) GROUP BY m, bin),
+mass AS (SELECT a.m, a.bin, (SELECT sum(b.share) FROM bins b WHERE b.m = a.m AND b.share <= a.share) AS mass FROM bins a),
+cells AS (SELECT n, p.m, CASE WHEN x < lo OR x > hi THEN 0 ELSE coalesce(mass, 0) END AS p FROM (SELECT n, p.m, x, lo, hi, least(CAST(floor((x - lo) / (hi - lo) * 20) AS INTEGER), 19) AS bin FROM p JOIN models USING (m)) p LEFT JOIN mass USING (m, bin))"""
+
+
+@query("flags_frozen_empirical", oracle.with_(_EMPIRICAL, "SELECT n, CAST(count(*) AS INTEGER) AS abnormal FROM cells WHERE p < 0.02 GROUP BY n"))
 def flags_frozen_empirical(spark, sf_dir):
     models = model.fit_hist(panels.calibrated_panel(spark, sf_dir, history=True))
     got = detect.flag(panels.calibrated_panel(spark, sf_dir), models, 0.02, "empirical", 1)
@@ -290,10 +296,17 @@ _DETECTOR_SQL = {
         "SELECT n, m FROM mad WHERE abs(x - md) > 3.0 * mad",
     ),
     "ewma": (
-        ", past AS (SELECT n, m, x, mu, sigma, list(x) OVER (PARTITION BY m ORDER BY n ROWS BETWEEN 40 PRECEDING AND 1 PRECEDING) AS past FROM bad JOIN models USING (m)), e AS (SELECT *, list_reduce(list_prepend(mu, coalesce(past, [])), lambda acc, v: acc + 0.2 * (v - acc)) AS ewma FROM past)",
+        ", past AS (SELECT n, m, x, mu, sigma, list(x) OVER (PARTITION BY m ORDER BY n ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS past FROM bad JOIN models USING (m)), e AS (SELECT *, list_reduce(list_prepend(mu, coalesce(past, [])), lambda acc, v: acc + 0.2 * (v - acc)) AS ewma FROM past)",
         "SELECT n, m FROM e WHERE abs(x - ewma) > 2.5 * sigma",
     ),
-    "features": None,
+    "features": (
+        ", " + ", ".join(
+            f"""{t} AS (SELECT m, n, avg(x) OVER w AS f_mean, stddev_samp(x) OVER w AS f_sd, min(x) OVER w AS f_lo, max(x) OVER w AS f_hi, regr_slope(x, n) OVER w AS f_slope, count(*) OVER w AS c
+  FROM {source} WINDOW w AS (PARTITION BY m ORDER BY n ROWS BETWEEN 9 PRECEDING AND CURRENT ROW))"""
+            for t, source in (("fh", "hist"), ("fb", "bad"))
+        ) + ", fm AS (SELECT m, " + ", ".join(f"avg({c}) AS {c}_mu, stddev_samp({c}) AS {c}_sigma" for c in model.FEATURES) + " FROM fh WHERE c = 10 GROUP BY m)",
+        "SELECT n, m FROM fb JOIN fm USING (m) WHERE c = 10 AND (" + " OR ".join(f"abs({c} - {c}_mu) > 4.0 * {c}_sigma" for c in model.FEATURES) + ")",
+    ),
     "distance": (
         ", g AS (SELECT m, sqrt(avg((x - mu) * (x - mu)) OVER (PARTITION BY m ORDER BY n ROWS BETWEEN 9 PRECEDING AND CURRENT ROW)) AS gap FROM hist JOIN models USING (m)), pr AS (SELECT m, avg(gap) AS gm, stddev_samp(gap) AS gs FROM g GROUP BY m), b AS (SELECT n, m, sqrt(avg((x - mu) * (x - mu)) OVER (PARTITION BY m ORDER BY n ROWS BETWEEN 9 PRECEDING AND CURRENT ROW)) AS gap FROM bad JOIN models USING (m))",
         "SELECT n, m FROM b JOIN pr USING (m) WHERE gap > gm + 4.0 * gs",
@@ -347,21 +360,16 @@ _match(
     "match_greedy",
     "greedy",
     oracle.with_(
-        f"""{_TO_WEIGHTS},
-pick AS (
-  SELECT n, 0 AS k, [] :: INTEGER[] AS us, [] :: INTEGER[] AS vs, 0.0 :: DOUBLE AS total, a FROM sets WHERE a >= 2
-  UNION ALL
-  SELECT n, k + 1, list_append(us, u), list_append(vs, v), total + w, a FROM (
-    SELECT p.*, e.u, e.v, e.w, row_number() OVER (PARTITION BY p.n ORDER BY e.w DESC, e.u, e.v) AS nth
-    FROM pick p JOIN edges e ON e.n = p.n WHERE p.k < p.a AND NOT list_contains(p.us, e.u) AND NOT list_contains(p.vs, e.v)) WHERE nth = 1
-),
-done AS (SELECT n, total, unnest(us) AS u, unnest(vs) AS v FROM pick WHERE k = a)""",
+        f"{_TO_WEIGHTS},\n{oracle.GREEDY_PICK}",
         "SELECT n, string_agg(u, '>' ORDER BY u) AS src, string_agg(v, '>' ORDER BY u) AS dst, round(any_value(total), 6) AS total FROM done GROUP BY n",
     ),
 )
 
 
-@query("match_log_objective")
+_LOG = f"{oracle.example()}, {oracle.FLAGS}, {oracle.WEIGHTS.replace('edges AS', 'plain AS')}, edges AS (SELECT n, u, v, ln(greatest(w, 1e-300)) AS w FROM plain), {oracle.MATCH}"
+
+
+@query("match_log_objective", oracle.with_(_LOG, "SELECT n, array_to_string(dst, '>') AS dst FROM matched"))
 def match_log_objective(spark, sf_dir):
     rows = candidates.gate(Example(spark, sf_dir).flags()).withColumn("w", matching.weights(objective="log")).withColumn("to", matching.matched(F.col("w"), "assign"))
     return rows.select("n", perm.cycle_key(F.transform("to", lambda j: F.col("abnormal")[j])).alias("dst"))
@@ -531,11 +539,7 @@ def intervals_full(spark, sf_dir):
     return determine.determine(found, e.last, e.cfg).intervals.select("sigma", "l", "r")
 
 
-_OVERLAY = f"""{oracle.FULL},
-cuts AS (SELECT DISTINCT unnest([l, r + 1]) AS l FROM intervals), pieces AS (SELECT l, lead(l) OVER (ORDER BY l) - 1 AS r FROM cuts),
-cover AS (SELECT p.l, p.r, string_agg(sigma, '|' ORDER BY CAST(string_split(sigma, '>') AS INTEGER[])) AS phi FROM pieces p JOIN intervals i ON i.l <= p.r AND p.l <= i.r GROUP BY p.l, p.r),
-grp AS (SELECT *, sum(CASE WHEN pr + 1 = l AND pp = phi THEN 0 ELSE 1 END) OVER (ORDER BY l ROWS UNBOUNDED PRECEDING) AS g FROM (SELECT *, lag(r) OVER (ORDER BY l) AS pr, lag(phi) OVER (ORDER BY l) AS pp FROM cover)),
-final AS (SELECT min(l) AS l, max(r) AS r, any_value(phi) AS phi FROM grp GROUP BY g)"""
+_OVERLAY = oracle.METHODS["full"]
 
 
 @query("overlay_final", oracle.with_(_OVERLAY, "SELECT l, r, phi FROM final"))
@@ -572,6 +576,32 @@ for _name, _cfg in {
     _method(_name, _cfg)
 
 
+def _example_method(name: str, cfg: RepairConfig) -> None:
+    @query(f"example_{name}", oracle.with_(oracle.METHODS[name], "SELECT l, r, phi FROM final"))
+    def method(spark, sf_dir):
+        e = Example(spark, sf_dir)
+        return methods.repair(e.bad, e.models, cfg, 1).schemas.select("l", "r", perm.cycles_key(F.col("phi")).alias("phi"))
+
+
+_EXAMPLE = {
+    "full": RepairConfig(), "greedy": RepairConfig(method="greedy"), "candidate": RepairConfig(method="candidate"),
+    "block": RepairConfig(method="block"), "block_median": RepairConfig(method="block", block_stat="median"),
+}
+for _name, _cfg in _EXAMPLE.items():
+    _example_method(_name, _cfg)
+
+
+@query("example_scores", " UNION ALL ".join(f"SELECT * FROM {oracle.scores(m)}" for m in _EXAMPLE))
+def example_scores(spark, sf_dir):
+    """W10 without its seconds: the measures of every method on the example."""
+    e = Example(spark, sf_dir)
+    out = None
+    for name, cfg in _EXAMPLE.items():
+        row = methods.evaluated(methods.repair(e.bad, e.models, cfg, 1), e.truth, cfg).select(F.lit(name).alias("method"), "*")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query("method_pointwise", oracle.with_(f"{oracle.example()}, {oracle.FLAGS}", "SELECT n, flags.m, round(mu, 6) AS x FROM flags JOIN models USING (m)"))
 def method_pointwise(spark, sf_dir):
     e = Example(spark, sf_dir)
@@ -651,10 +681,19 @@ def escalation_rate(spark, sf_dir):
     return metrics.escalation_rate(candidates.candidate_schemas(e.bad, e.models, e.cfg.with_(epsilon=3), 1), e.last)
 
 
-@query("cell_scores")
+_MOVED = f"{oracle.FULL}, pairs AS (SELECT l, r, CAST(string_split(sigma, '>') AS INTEGER[]) AS c FROM intervals), moves AS (SELECT l, r, unnest(c) AS u, unnest(list_append(c[2:], c[1])) AS v FROM pairs)"
+_CELLS = f"""{_MOVED}, fixed AS (SELECT n, v AS m, x AS y FROM moves JOIN bad ON n BETWEEN l AND r AND m = u),
+cells AS (SELECT c.x AS t, b.x AS d, coalesce(f.y, b.x) AS y FROM clean c JOIN bad b USING (n, m) LEFT JOIN fixed f USING (n, m))"""
+
+
+@query(
+    "cell_scores",
+    oracle.with_(_CELLS, "SELECT CAST(count(*) FILTER (WHERE t <> d) AS BIGINT) AS n_misplaced, count(*) FILTER (WHERE t <> d AND t = y) AS n_restored, count(*) FILTER (WHERE t = d AND t <> y) AS n_damaged, round(count(*) FILTER (WHERE t <> d AND t = y) / count(*) FILTER (WHERE t <> d), 9) AS restored_share, round(sqrt(sum((t - y) * (t - y)) / count(*)), 9) AS rmse FROM cells"),
+)
 def cell_scores(spark, sf_dir):
     e = Example(spark, sf_dir)
-    return metrics.cell_scores(e.clean, e.bad, methods.repair(e.bad, e.models, e.cfg, 1).repaired)
+    got = metrics.cell_scores(e.clean, e.bad, methods.repair(e.bad, e.models, e.cfg, 1).repaired)
+    return got.select("n_misplaced", "n_restored", "n_damaged", *[F.round(c, 9).alias(c) for c in ("restored_share", "rmse")])
 
 
 @query("measures_full")

@@ -1,4 +1,8 @@
-"""The repair of live readings: candidates at once, intervals when no later run can change them.
+"""The repair of live readings: candidates at once, intervals when later runs can't change them any more.
+
+A gap is filled when it is short beside the runs on both sides, and how long the next run will be is not known while
+readings arrive. So without max_run an interval comes out when its equipment is finished; with max_run it comes out
+sooner, under the promise that no run of a cycle is longer, and differs from the batch result where one is.
 
 State of an equipment: readings that wait for the watermark (so that they are scored in order of time), the window of
 the last repaired tuples, and the open runs of every cycle. Readings behind the watermark are dropped and counted.
@@ -38,7 +42,7 @@ def _cycles(ab: list[int], dst: list[int]) -> list[str]:
 class Online:
     """One equipment's recursion with the open runs of its cycles."""
 
-    def __init__(self, mu: list[float], sigma: list[float], cfg: RepairConfig, max_run: int = 200):
+    def __init__(self, mu: list[float], sigma: list[float], cfg: RepairConfig, max_run: int | None = None):
         self.cfg, self.max_run = cfg, max_run
         self.feedback = Feedback(np.asarray(mu, float), np.asarray(sigma, float), cfg, np.zeros((0, len(mu))))
         self.waiting: list[tuple[int, list[float]]] = []
@@ -69,7 +73,7 @@ class Online:
                     else:
                         out += self.close(c)
                         self.open[c] = [self.n, self.n]
-            for c, (first, last) in list(self.open.items()):
+            for c, (first, last) in list(self.open.items()) if self.max_run else ():
                 if self.n - last >= self.cfg.theta_tau * (last - first + 1 + self.max_run):
                     out += self.close(c)
         return out
@@ -84,15 +88,16 @@ class Online:
         return self.advance(1 << 62) + [row for c in list(self.open) for row in self.close(c)]
 
 
-def stream_repair(panel: DataFrame, mu: list[float], sigma: list[float], cfg: RepairConfig, late: str = "1 day", idle: str | None = None) -> DataFrame:
+def stream_repair(panel: DataFrame, mu: list[float], sigma: list[float], cfg: RepairConfig, late: str = "1 day", idle: str | None = None, max_run: int | None = 200) -> DataFrame:
     """Candidates and intervals of a stream of tuples (eq_id, ts, x). All tuples are scored in order of ts.
 
-    An equipment is finished when the watermark passes its last reading by the time idle, in milliseconds.
+    An equipment is finished when the watermark passes its last reading by the time idle, in milliseconds. max_run: the
+    longest run that intervals may wait for (see above); None waits for the end.
     """
     wait = int(idle or 86_400_000)
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        live: Online = pickle.loads(state.get[0]) if state.exists else Online(mu, sigma, cfg)
+        live: Online = pickle.loads(state.get[0]) if state.exists else Online(mu, sigma, cfg, max_run)
         if state.hasTimedOut:
             out = live.finish()
             state.remove()
