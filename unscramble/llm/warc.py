@@ -26,7 +26,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unscramble.llm.common import partitions, scratch_path, table
+from unscramble.llm.common import partitions, scratch_path, ship_package, table
 
 LEAST = 100
 RANGE = 4 << 20  # bytes of an archive that a task reads by default
@@ -92,31 +92,38 @@ def with_kinds(pages: DataFrame, least: int = LEAST) -> DataFrame:
         F.encode(F.coalesce("html", F.lit("")), "UTF-8").alias("payload"),
     )
     known = known.withColumn("payload_bytes", F.octet_length("payload").cast("long")).withColumn("payload_digest", F.sha2("payload", 256))
-    small = known.select("page_id", "payload_digest", "payload_bytes")
-    firsts = small.filter(F.col("payload_bytes") >= least).groupBy("payload_digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n"))
+    small = known.select("page_id", "payload_digest", "payload_bytes").filter(F.col("payload_bytes") >= least)
+    firsts = small.groupBy("payload_digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n"))
     firsts = firsts.filter("n > 1 AND first IS NOT NULL").drop("n")
-    joined = known.join(firsts, "payload_digest", "left")
-    again = F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
+    # only digests meet by digest; payloads are dealt by page and digest, so that copies of one payload stay apart
+    again = small.join(firsts, "payload_digest").filter(~F.col("page_id").eqNullSafe(F.col("first")))
+    again = again.groupBy(F.col("page_id").alias("_page"), F.col("payload_digest").alias("_digest")).agg(F.min("first").alias("first"))
+    joined = known.join(again, F.col("page_id").eqNullSafe(F.col("_page")) & (F.col("payload_digest") == F.col("_digest")), "left")
     return joined.select(
         "page_id", "url", "payload", "payload_bytes", "payload_digest",
-        F.when(again, "revisit").otherwise("response").alias("record_type"),
-        F.when(again, F.col("first")).alias("refers_to"),
+        F.when(F.col("first").isNotNull(), "revisit").otherwise("response").alias("record_type"),
+        F.col("first").alias("refers_to"),
     )
 
 
 def write(pages: DataFrame, path: str, least: int = LEAST) -> list[str]:
     """Write archives below path; the names of the files. Attempts write files of their own, and only reported files count."""
 
+    ship_package(pages.sparkSession)
+
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, base = _at(path)
         out, name, size = None, "", 0
         for b in batches:
-            for row in zip(*(b.column(c).to_pylist() for c in ("record_type", "url", "page_id", "payload", "payload_digest", "payload_bytes", "refers_to")), strict=True):
-                if out is None:
-                    fs.create_dir(base, recursive=True)
-                    name = f"part-{TaskContext.get().partitionId():06d}-{uuid.uuid4().hex}.warc.gz"
-                    out = fs.open_output_stream(f"{base}/{name}", compression=None)
-                size += out.write(data := record(*row)) or len(data)
+            if b.num_rows and out is None:
+                fs.create_dir(base, recursive=True)
+                name = f"part-{TaskContext.get().partitionId():06d}-{uuid.uuid4().hex}.warc.gz"
+                out = fs.open_output_stream(f"{base}/{name}", compression=None)
+            columns = [b.column(c) for c in ("record_type", "url", "page_id", "payload", "payload_digest", "payload_bytes", "refers_to")]
+            for row in zip(*columns, strict=True):  # one payload at a time becomes a Python object
+                data = record(*(x.as_py() for x in row))
+                out.write(data)
+                size += len(data)
         if out is not None:
             out.close()
             yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([size], pa.int64())], ["name", "bytes"])
@@ -184,45 +191,68 @@ def _member(f, at: int, head: bytes) -> tuple[int, dict[str, str], bytes] | None
 RECORD = "file string, offset long, page_id long, url string, record_type string, payload binary, payload_bytes long, payload_digest string, refers_to long, intact boolean"
 
 
-def read(spark: SparkSession, path: str, names: list[str] | None = None, span: int = RANGE) -> DataFrame:
-    """All records of the archives below path (or of the files named). intact: the payload has the digest of its header."""
+def byte_ranges(spark: SparkSession, path: str, names: list[str] | None, span: int) -> DataFrame:
+    """name, start, stop, size: a row for each range. The driver lists files; executors count the ranges out."""
     fs, base = _at(path)
     infos = fs.get_file_info([f"{base}/{n}" for n in names]) if names is not None else fs.get_file_info(pafs.FileSelector(base, allow_not_found=True))
-    ranges = [(i.base_name, at, min(at + span, i.size), i.size) for i in infos if i.is_file and i.base_name.endswith(".warc.gz") for at in range(0, i.size, span)]
-    tasks = spark.createDataFrame(ranges, "name string, start long, stop long, size long").repartition(max(1, min(len(ranges), 4 * partitions(spark))), "name", "start")
+    files = [(i.base_name, i.size) for i in infos if i.is_file and i.size and i.base_name.endswith(".warc.gz")]
+    total = sum(-(-size // span) for _, size in files)
+    starts = F.explode(F.sequence(F.lit(0).cast("long"), F.col("size") - 1, F.lit(span).cast("long")))
+    ranges = spark.createDataFrame(files, "name string, size long").select("name", starts.alias("start"), "size")
+    ranges = ranges.select("name", "start", F.least(F.col("start") + span, "size").alias("stop"), "size")
+    return ranges.repartition(max(1, min(total, 4 * partitions(spark))), "name", "start")
+
+
+def read(spark: SparkSession, path: str, names: list[str] | None = None, span: int = RANGE, payloads: bool = True) -> DataFrame:
+    """All records of the archives below path (or of the files named). intact: the payload has the digest of its header.
+
+    Without payloads every record is still read and checked whole, but its payload is not handed on.
+    """
+    ship_package(spark)
+    tasks = byte_ranges(spark, path, names, span)
+    kept = [x.split() for x in RECORD.split(", ") if payloads or x != "payload binary"]
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fs, base = _at(path)
-        kinds = (pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.binary(), pa.int64(), pa.string(), pa.int64(), pa.bool_())
-        names = [x.split()[0] for x in RECORD.split(", ")]
+        kinds = {"string": pa.string(), "long": pa.int64(), "binary": pa.binary(), "boolean": pa.bool_()}
         number = lambda s: int(s) if s else None
-        for b in batches:
-            for name, start, stop, size in zip(*(b.column(c).to_pylist() for c in ("name", "start", "stop", "size")), strict=True):
-                rows, held = [], 0
+        rows: dict[str, list] = {name: [] for name, _ in kept}
+        held = 0
 
-                def out() -> pa.RecordBatch:
-                    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(list(zip(*rows, strict=True)) or [[]] * len(kinds), kinds, strict=True)], names)  # noqa: B023
+        def out() -> pa.RecordBatch:
+            batch = pa.RecordBatch.from_arrays([pa.array(rows[name], kinds[kind]) for name, kind in kept], [name for name, _ in kept])
+            for column in rows.values():
+                column.clear()
+            return batch
 
+        for b in batches:
+            for name, start, stop, size in zip(*(b.column(c).to_pylist() for c in ("name", "start", "stop", "size")), strict=True):
                 with fs.open_input_file(f"{base}/{name}") as f:
                     for at, h, block in members(f, start, stop, size):
                         digest = h.get("warc-payload-digest", "").removeprefix("sha256:")
                         kind = h.get("warc-type", "")
                         intact = kind == "revisit" or hashlib.sha256(block).hexdigest() == digest
                         n = len(block) if kind == "response" else number(h.get("x-payload-bytes", ""))
-                        rows.append((name, at, number(h.get("x-page-id", "")), h.get("warc-target-uri", ""), kind, block, n, digest, number(h.get("x-refers-to-page-id", "")), intact))
-                        held += len(block)
-                        if held > 8 << 20:
+                        record = (name, at, number(h.get("x-page-id", "")), h.get("warc-target-uri", ""), kind, block, n, digest, number(h.get("x-refers-to-page-id", "")), intact)
+                        for (field, _), value in zip(RECORD_FIELDS, record, strict=True):
+                            if field in rows:
+                                rows[field].append(value)
+                        held += 256 + len(block) * payloads
+                        if held > 4 << 20:
                             yield out()
-                            rows, held = [], 0
-                yield out()
+                            held = 0
+        yield out()
+
+    return tasks.mapInArrow(run, ", ".join(" ".join(x) for x in kept))
+
 
-    return tasks.mapInArrow(run, RECORD)
+RECORD_FIELDS = [tuple(x.split()) for x in RECORD.split(", ")]
 
 
 def op8_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = scratch_path(spark, "warc")
     names = write(table(spark, sf_dir, "pages").select("page_id", "url", "html"), path)
-    got = read(spark, path, names)
+    got = read(spark, path, names, payloads=False)
     return got.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "intact")
 
 
