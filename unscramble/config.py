@@ -12,6 +12,8 @@ class RepairConfig:
     method: str = "full"  # full, greedy, candidate, block, none, pointwise
     mode: str = "frozen"  # frozen, rolling, feedback
     family: str = "chebyshev"  # chebyshev, kernel, tail, empirical
+    regime: bool = False  # models and panel have a working condition each, and models hold in theirs
+    detector: str | None = None  # name of a registered detector that decides what is abnormal, in the place of theta_m
     theta_m: float = 0.12  # a reading is abnormal below this support
     window: int = 100
     prior_weight: float = 100.0  # how many points the learned model counts for beside the window

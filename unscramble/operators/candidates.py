@@ -19,14 +19,24 @@ from unscramble.functions import perm
 from unscramble.functions.support import FLOOR, TAIL
 from unscramble.operators import detect, matching
 from unscramble.operators.model import packed
-from unscramble.scratch import stored
+from unscramble.scratch import few, stored
 
 CANDIDATE = "eq_id long, n long, ts timestamp, abnormal array<int>, src array<int>, dst array<int>, size int, status string"
 
 
-def flagged(panel: DataFrame, models: DataFrame, cfg: RepairConfig, equipments: int | None = None) -> DataFrame:
+def flagged(panel: DataFrame, models: DataFrame, cfg: RepairConfig, equipments: int | None = None, history: DataFrame | None = None) -> DataFrame:
+    """Points with their models and their abnormal sensors; with a detector only points that have some."""
+    if cfg.detector:
+        if cfg.mode != "frozen" or history is None:
+            raise ValueError("a detector takes frozen models for the matching, and the history that it learns from")
+        found = detect.flagged_panel(detect.DETECTORS[cfg.detector](panel, history))
+        columns = ("mu", "sigma", "lo", "hi", "hist") if cfg.family == "empirical" else ("mu", "sigma")
+        keys = ("eq_id", "regime") if cfg.regime else ("eq_id",)
+        return detect.with_models(panel, packed(models, columns, keys), equipments, keys).join(found, ["eq_id", "n"])
     if cfg.mode == "frozen":
-        return detect.flag(panel, models, cfg.theta_m, cfg.family, equipments)
+        return detect.flag(panel, models, cfg.theta_m, cfg.family, equipments, cfg.regime)
+    if cfg.regime:
+        raise ValueError("working conditions need frozen models")
     if cfg.mode == "rolling":
         return detect.rolling(panel, models, cfg.window, cfg.prior_weight, cfg.theta_m, cfg.family)
     raise ValueError(f"mode {cfg.mode} has no flags apart from its candidates")
@@ -37,10 +47,12 @@ def gate(flags: DataFrame, least: int = 2) -> DataFrame:
     return flags.filter(F.size("abnormal") >= least)
 
 
-def candidate_schemas(panel: DataFrame, models: DataFrame, cfg: RepairConfig, equipments: int | None = None) -> DataFrame:
+def candidate_schemas(panel: DataFrame, models: DataFrame, cfg: RepairConfig, equipments: int | None = None, history: DataFrame | None = None) -> DataFrame:
     if cfg.mode == "feedback":
+        if cfg.detector or cfg.regime:
+            raise ValueError("feedback has neither detectors nor working conditions")
         return with_cycles(feedback_candidates(panel, models, cfg))
-    flags = gate(flagged(panel, models, cfg, equipments), 1)
+    flags = gate(flagged(panel, models, cfg, equipments, history), 1)
     how = "greedy" if cfg.method == "greedy" else cfg.match
     a = F.size("abnormal")
     early = F.lit(False) if cfg.size_mode == "moved" else a > cfg.epsilon  # the size is known before matching
@@ -163,12 +175,12 @@ def feedback_candidates(panel: DataFrame, models: DataFrame, cfg: RepairConfig,
     run_in = 2 * cfg.window if run_in is None else run_in
     if cfg.update == "cumulative":
         chunk, run_in = 1 << 40, 0
-    gamma = packed(models)
+    gamma = few(packed(models), "gamma")
     keyed = panel.select("eq_id", "n", "x").withColumn("own", F.floor((F.col("n") - 1) / chunk))
     ahead = F.floor((F.col("n") - 1 + run_in) / chunk)
     spread = keyed.withColumn("chunk", F.explode(F.sequence("own", ahead))).withColumn("lead", F.col("chunk") > F.col("own"))
     spread = spread.filter((F.col("chunk") == F.col("own")) | (F.col("chunk") == F.col("own") + 1))
-    rows = stored(spread.join(F.broadcast(gamma), "eq_id").select("eq_id", "chunk", "lead", "n", "x", "mu", "sigma"), "chunks")
+    rows = stored(spread.join(gamma, "eq_id").select("eq_id", "chunk", "lead", "n", "x", "mu", "sigma"), "chunks")
 
     def run(pdf: pd.DataFrame, entry: bytes | None) -> pd.DataFrame:
         pdf = pdf.sort_values("n")
@@ -199,8 +211,10 @@ def feedback_candidates(panel: DataFrame, models: DataFrame, cfg: RepairConfig,
         wrong = stored(wrong, "entries")
         if wrong.isEmpty():
             break
-        fixed = rows.groupBy("eq_id", "chunk").cogroup(wrong.groupBy("eq_id", "chunk")).applyInPandas(again, CHUNK)
-        done = stored(done.join(wrong.select("eq_id", "chunk"), ["eq_id", "chunk"], "left_anti").unionByName(fixed), "feedback")
+        at_fault = rows.join(wrong.select("eq_id", "chunk"), ["eq_id", "chunk"], "left_semi")
+        fixed = at_fault.groupBy("eq_id", "chunk").cogroup(wrong.groupBy("eq_id", "chunk")).applyInPandas(again, CHUNK)
+        # only chunks that were wrong are written again; each pass makes the next chunk of every equipment right for good
+        done = done.join(wrong.select("eq_id", "chunk"), ["eq_id", "chunk"], "left_anti").unionByName(stored(fixed, "feedback"))
     found = done.select("eq_id", F.explode("found").alias("f")).select("eq_id", "f.*")
     return found.join(panel.select("eq_id", "n", "ts"), ["eq_id", "n"]).select("eq_id", "n", "ts", "abnormal", "src", "dst", "size", "status")
 

@@ -11,8 +11,10 @@ from pyspark.sql.window import Window
 
 from unscramble.functions.support import empirical, support
 from unscramble.operators import model as models_
-from unscramble.operators.model import KEYS, packed
-from unscramble.sources.panels import to_long
+from unscramble.operators.model import KEYS, SERIES, packed
+from unscramble.operators.model import _whole as whole
+from unscramble.scratch import few
+from unscramble.sources.panels import stretches, to_long
 
 BROADCAST_ROWS = 20_000  # equipments whose packed models may be broadcast; beyond, models and panel are joined by shuffle
 
@@ -40,7 +42,7 @@ def abnormal(p: Column, theta: float) -> Column:
 def flag(panel: DataFrame, models: DataFrame, theta: float = 0.12, family: str = "chebyshev", equipments: int | None = None, regime: bool = False) -> DataFrame:
     """Frozen models: each point on its own. Adds mu, sigma and abnormal; no shuffle of the panel."""
     keys = ("eq_id", "regime") if regime else ("eq_id",)
-    columns = ("lo", "hi", "hist") if family == "empirical" else ("mu", "sigma")
+    columns = ("mu", "sigma", "lo", "hi", "hist") if family == "empirical" else ("mu", "sigma")
     joined = with_models(panel, packed(models, columns, keys), equipments, keys)
     if family == "empirical":
         p = F.transform("x", lambda v, m: empirical(v, F.col("lo")[m], F.col("hi")[m], F.col("hist")[m]))
@@ -51,13 +53,15 @@ def flag(panel: DataFrame, models: DataFrame, theta: float = 0.12, family: str =
 
 def rolling(panel: DataFrame, models: DataFrame, window: int = 100, prior_weight: float = 100.0, theta: float = 0.12, family: str = "chebyshev") -> DataFrame:
     """Models of the last readings as recorded, joined with the learned model, which counts for prior_weight points."""
-    w = Window.partitionBy(*KEYS).orderBy("n").rowsBetween(-window, -1)
+    if family == "empirical":
+        raise ValueError("rolling models are moments; the family empirical has none")
+    w = Window.partitionBy(*SERIES).orderBy("n").rowsBetween(-window, -1)
     x = F.col("x")
     k, s, ss = F.count(x).over(w), F.coalesce(F.sum(x).over(w), F.lit(0.0)), F.coalesce(F.sum(x * x).over(w), F.lit(0.0))
-    long = to_long(panel).join(F.broadcast(models.select(*KEYS, F.col("mu").alias("mu0"), F.col("sigma").alias("sigma0"))), list(KEYS))
-    rows = long.withColumns({"_k": k, "_s": s, "_ss": ss})
+    long = to_long(panel).join(few(models.select(*KEYS, F.col("mu").alias("mu0"), F.col("sigma").alias("sigma0")), "models"), list(KEYS))
+    rows = whole(stretches(long, window).withColumns({"_k": k, "_sum": s, "_ss": ss}))
     total = F.col("_k") + prior_weight
-    mu = (F.col("_s") + prior_weight * F.col("mu0")) / total
+    mu = (F.col("_sum") + prior_weight * F.col("mu0")) / total
     second = (F.col("_ss") + prior_weight * (F.col("sigma0") ** 2 + F.col("mu0") ** 2)) / total
     rows = rows.withColumn("mu", mu).withColumn("sigma", F.sqrt(F.greatest(second - F.col("mu") ** 2, F.lit(0.0))))
     one = F.struct("m", "x", "mu", "sigma")
@@ -80,7 +84,7 @@ def register_detector(name: str) -> Callable:
 
 
 def _beside(panel: DataFrame, models: DataFrame) -> DataFrame:
-    return to_long(panel).join(F.broadcast(models), list(KEYS))
+    return to_long(panel).join(few(models, "models"), list(KEYS))
 
 
 @register_detector("ksigma")
@@ -102,8 +106,8 @@ def detect_range(panel: DataFrame, history: DataFrame) -> DataFrame:
 @register_detector("hampel")
 def detect_hampel(panel: DataFrame, history: DataFrame, half: int = 7, k: float = 3.0) -> DataFrame:
     """Distance to the median of a centred window in scaled median absolute deviations of that window."""
-    w = Window.partitionBy(*KEYS).orderBy("n").rowsBetween(-half, half)
-    rows = to_long(panel).withColumn("near", F.collect_list("x").over(w))
+    w = Window.partitionBy(*SERIES).orderBy("n").rowsBetween(-half, half)
+    rows = whole(stretches(to_long(panel), half, half).withColumn("near", F.collect_list("x").over(w)))
     middle = lambda a: (F.element_at(F.array_sort(a), F.floor((F.size(a) + 1) / 2).cast("int")) + F.element_at(F.array_sort(a), F.floor(F.size(a) / 2).cast("int") + 1)) / 2
     rows = rows.withColumn("mid", middle(F.col("near")))
     rows = rows.withColumn("mad", middle(F.transform("near", lambda v: F.abs(v - F.col("mid")))) * 1.4826)
@@ -117,8 +121,8 @@ def detect_ewma(panel: DataFrame, history: DataFrame, alpha: float = 0.2, k: flo
     Of these the last memory are looked at; by default so many that what is older weighs less than a double can show.
     """
     memory = memory or math.ceil(math.log(2.0**-53) / math.log(1 - alpha))
-    w = Window.partitionBy(*KEYS).orderBy("n").rowsBetween(-memory, -1)
-    rows = _beside(panel, models_.fit_moments(history)).withColumn("past", F.collect_list("x").over(w))
+    w = Window.partitionBy(*SERIES).orderBy("n").rowsBetween(-memory, -1)
+    rows = whole(stretches(_beside(panel, models_.fit_moments(history)), memory).withColumn("past", F.collect_list("x").over(w)))
     rows = rows.withColumn("ewma", F.aggregate("past", F.col("mu"), lambda acc, v: acc + alpha * (v - acc)))
     return rows.withColumn("flag", F.abs(F.col("x") - F.col("ewma")) > k * F.col("sigma"))
 
@@ -126,15 +130,16 @@ def detect_ewma(panel: DataFrame, history: DataFrame, alpha: float = 0.2, k: flo
 @register_detector("jump")
 def detect_jump(panel: DataFrame, history: DataFrame, k: float = 2.5) -> DataFrame:
     """Step from the reading before in standard deviations of the history's steps."""
-    w = Window.partitionBy(*KEYS).orderBy("n")
-    steps = to_long(history).withColumn("d", F.col("x") - F.lag("x").over(w)).groupBy(*KEYS).agg(F.stddev_samp("d").alias("sd"))
-    return to_long(panel).withColumn("d", F.col("x") - F.lag("x").over(w)).join(F.broadcast(steps), list(KEYS)).withColumn("flag", F.coalesce(F.abs("d") > k * F.col("sd"), F.lit(False)))
+    w = Window.partitionBy(*SERIES).orderBy("n")
+    stepped = lambda p: whole(stretches(to_long(p), 1).withColumn("d", F.col("x") - F.lag("x").over(w)))
+    steps = stepped(history).groupBy(*KEYS).agg(F.stddev_samp("d").alias("sd"))
+    return stepped(panel).join(few(steps, "steps"), list(KEYS)).withColumn("flag", F.coalesce(F.abs("d") > k * F.col("sd"), F.lit(False)))
 
 
 @register_detector("ar1")
 def detect_ar1(panel: DataFrame, history: DataFrame, k: float = 2.5) -> DataFrame:
-    w = Window.partitionBy(*KEYS).orderBy("n")
-    rows = to_long(panel).withColumn("p", F.lag("x").over(w)).join(F.broadcast(models_.fit_ar1(history)), list(KEYS))
+    w = Window.partitionBy(*SERIES).orderBy("n")
+    rows = whole(stretches(to_long(panel), 1).withColumn("p", F.lag("x").over(w))).join(few(models_.fit_ar1(history), "lines"), list(KEYS))
     return rows.withColumn("flag", F.coalesce(F.abs(F.col("x") - F.col("slope") * F.col("p") - F.col("intercept")) > k * F.col("sigma"), F.lit(False)))
 
 
@@ -146,7 +151,7 @@ def detect_robust(panel: DataFrame, history: DataFrame, k: float = 2.5) -> DataF
 @register_detector("features")
 def detect_features(panel: DataFrame, history: DataFrame, q: int = 10, k: float = 4.0) -> DataFrame:
     """Any feature of the last q readings more than k deviations from its mean."""
-    feats = models_.window_features(to_long(panel), q).join(F.broadcast(models_.fit_features(history, q)), list(KEYS))
+    feats = models_.window_features(to_long(panel), q).join(few(models_.fit_features(history, q), "features"), list(KEYS))
     far = [F.coalesce(F.abs(F.col(c) - F.col(f"{c}_mu")) > k * F.col(f"{c}_sigma"), F.lit(False)) for c in models_.FEATURES]
     out = far[0]
     for f in far[1:]:
@@ -157,13 +162,14 @@ def detect_features(panel: DataFrame, history: DataFrame, q: int = 10, k: float
 @register_detector("distance")
 def detect_distance(panel: DataFrame, history: DataFrame, q: int = 10, k: float = 4.0) -> DataFrame:
     """Root mean square gap of the last q readings to the reference, against its usual size."""
-    w = Window.partitionBy(*KEYS).orderBy("n").rowsBetween(1 - q, 0)
-    rows = to_long(panel).join(F.broadcast(models_.fit_profile(history, q)), list(KEYS)).withColumn("gap", F.sqrt(F.avg(F.pow(F.col("x") - F.col("mu"), 2)).over(w)))
+    w = Window.partitionBy(*SERIES).orderBy("n").rowsBetween(1 - q, 0)
+    rows = to_long(panel).join(few(models_.fit_profile(history, q), "profiles"), list(KEYS))
+    rows = whole(stretches(rows, q - 1).withColumn("gap", F.sqrt(F.avg(F.pow(F.col("x") - F.col("mu"), 2)).over(w))))
     return rows.withColumn("flag", F.col("gap") > F.col("gap_mu") + k * F.col("gap_sigma"))
 
 
 def flagged_panel(long_flags: DataFrame) -> DataFrame:
-    """Flags of any detector as the abnormal set of each point, for the matching steps (which need mu and sigma beside)."""
-    return long_flags.groupBy("eq_id", "n").agg(F.array_sort(F.collect_list(F.when(F.col("flag"), F.col("m")))).alias("abnormal"))
+    """Flags of any detector as the abnormal set (eq_id, n, abnormal) of each point that has one."""
+    return long_flags.filter("flag").groupBy("eq_id", "n").agg(F.array_sort(F.collect_list(F.when(F.col("flag"), F.col("m")))).alias("abnormal"))
 
 

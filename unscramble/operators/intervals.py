@@ -9,6 +9,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from unscramble.operators.ordinal import carried, in_ranges
+
 BUCKET = 256
 
 
@@ -40,14 +42,15 @@ def overlap_join(a: DataFrame, b: DataFrame, extra: Column | None = None, bucket
 
 
 def asof_join(ticks: DataFrame, readings: DataFrame, value: str, by: str | None = None) -> DataFrame:
-    """For each tick (ts) the latest reading at or before it, as column value. One pass over the union of both."""
-    from pyspark.sql.window import Window
+    """For each tick (ts) the latest reading at or before it that isn't null, as column value.
 
+    The union of both is dealt to ranges of time; the last value of the ranges before is handed on from range to range.
+    """
     group = [by] if by else []
     a = ticks.select(*group, "ts", F.lit(1).alias("_tick"), F.lit(None).cast(dict(readings.dtypes)[value]).alias(value))
     b = readings.select(*group, "ts", F.lit(0).alias("_tick"), value)
-    w = Window.partitionBy(*group).orderBy("ts", "_tick").rowsBetween(Window.unboundedPreceding, 0)
-    return a.unionByName(b).withColumn(value, F.last(value, ignorenulls=True).over(w)).filter("_tick = 1").drop("_tick")
+    laid = in_ranges(a.unionByName(b), [F.col(c) for c in (*group, "ts", "_tick")])
+    return carried(laid, {value: F.col(value)}, group).filter("_tick = 1").select(*group, "ts", value)
 
 
 def regularise(df: DataFrame, tick: str, values: list[str], fill: str = "forward") -> DataFrame:
@@ -55,21 +58,19 @@ def regularise(df: DataFrame, tick: str, values: list[str], fill: str = "forward
 
     fill: forward (the last known value), linear (between the neighbours), none.
     """
-    from pyspark.sql.window import Window
-
     ends = df.agg(F.min("ts").alias("lo"), F.max("ts").alias("hi"))
     grid = ends.select(F.explode(F.expr(f"sequence(lo, hi, interval {tick})")).alias("ts"))
     out = grid.join(df, "ts", "left").withColumn("filled", F.coalesce(*[F.col(v).isNull() for v in values[:1]]))
-    back = Window.orderBy("ts").rowsBetween(Window.unboundedPreceding, 0)
-    ahead = Window.orderBy("ts").rowsBetween(0, Window.unboundedFollowing)
+    if fill == "none":
+        return out
+    laid, columns = in_ranges(out, [F.col("ts")]), out.columns
+    if fill == "forward":
+        return carried(laid, {v: F.col(v) for v in values}, []).select(*columns)
     t = F.unix_micros("ts").cast("double")
+    known = {v: F.when(F.col(v).isNotNull(), F.struct(t.alias("t"), F.col(v).cast("double").alias("v"))) for v in values}
+    both = carried(carried(laid, {f"_back_{v}": c for v, c in known.items()}, []), {f"_ahead_{v}": c for v, c in known.items()}, [], ahead=True)
     for v in values:
-        if fill == "forward":
-            out = out.withColumn(v, F.last(v, ignorenulls=True).over(back))
-        elif fill == "linear":
-            known = F.when(F.col(v).isNotNull(), t)
-            t0, t1 = F.last(known, ignorenulls=True).over(back), F.first(known, ignorenulls=True).over(ahead)
-            v0, v1 = F.last(v, ignorenulls=True).over(back), F.first(v, ignorenulls=True).over(ahead)
-            share = F.when(t1 > t0, (t - t0) / (t1 - t0)).otherwise(0.0)
-            out = out.withColumn(v, F.coalesce(F.col(v), v0 + (v1 - v0) * share))
-    return out
+        back, ahead = F.col(f"_back_{v}"), F.col(f"_ahead_{v}")
+        share = F.when(ahead["t"] > back["t"], (t - back["t"]) / (ahead["t"] - back["t"])).otherwise(0.0)
+        both = both.withColumn(v, F.coalesce(F.col(v), back["v"] + (ahead["v"] - back["v"]) * share))
+    return both.select(*columns)

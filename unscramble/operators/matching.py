@@ -16,22 +16,25 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from unscramble.functions.perm import let
-from unscramble.functions.support import FLOOR, support
+from unscramble.functions.support import FLOOR, empirical, support
 
 ENUM_LIMIT = 6
 
 
 def weights(family: str = "chebyshev", objective: str = "sum") -> Column:
-    """W for rows with x, mu, sigma and abnormal: a by a, never all sensors by all sensors."""
+    """W for rows with x, abnormal and the models (mu, sigma; empirical: lo, hi, hist): a by a, never all by all sensors."""
+
+    fields = ("lo", "hi", "hist") if family == "empirical" else ("mu", "sigma")
 
     def of(row: Column) -> Column:
         def cell(u: Column, v: Column) -> Column:
-            p = support(row["x"][u], row["mu"][v], row["sigma"][v], family)
+            model = [row[f][v] for f in fields]
+            p = empirical(row["x"][u], *model) if family == "empirical" else support(row["x"][u], *model, family)
             return F.log(F.greatest(p, F.lit(FLOOR))) if objective == "log" else p
 
         return F.transform(row["abnormal"], lambda u: F.transform(row["abnormal"], lambda v: cell(u, v)))
 
-    return let(F.struct("x", "mu", "sigma", "abnormal"), of)
+    return let(F.struct("x", *fields, "abnormal"), of)
 
 
 def edges(df: DataFrame) -> DataFrame:

@@ -11,9 +11,11 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from unscramble.operators.intervals import interval_join
-from unscramble.sources.panels import to_long
+from unscramble.scratch import few
+from unscramble.sources.panels import stretches, to_long
 
 KEYS = ("eq_id", "m")
+SERIES = (*KEYS, "_s")  # of rows of stretches()
 
 
 def _known(panel: DataFrame) -> DataFrame:
@@ -36,15 +38,16 @@ def fit_robust(panel: DataFrame, approximate: bool = False) -> DataFrame:
     q = (lambda c, p: F.percentile_approx(c, p, 10_000)) if approximate else (lambda c, p: F.percentile(c, p))
     long = _known(panel)
     mid = long.groupBy(*KEYS).agg(q("x", 0.5).alias("mu"), q("x", 0.25).alias("q1"), q("x", 0.75).alias("q3"), F.count("*").alias("cnt"), F.min("x").alias("lo"), F.max("x").alias("hi"))
-    off = long.join(F.broadcast(mid.select(*KEYS, "mu")), list(KEYS)).groupBy(*KEYS).agg((q(F.abs(F.col("x") - F.col("mu")), 0.5) * 1.4826).alias("sigma"))
+    mid = few(mid, "medians")
+    off = long.join(mid.select(*KEYS, "mu"), list(KEYS)).groupBy(*KEYS).agg((q(F.abs(F.col("x") - F.col("mu")), 0.5) * 1.4826).alias("sigma"))
     return mid.join(off, list(KEYS)).select(*KEYS, "cnt", "mu", "sigma", "lo", "hi", "q1", "q3")
 
 
 def fit_hist(panel: DataFrame, bins: int = 20) -> DataFrame:
     """Shares of equal-width bins between least and greatest value, beside the moments."""
-    base = fit_moments(panel)
+    base = few(fit_moments(panel), "moments")
     cell = F.least(F.floor((F.col("x") - F.col("lo")) / F.when(F.col("hi") > F.col("lo"), F.col("hi") - F.col("lo")).otherwise(1.0) * bins).cast("int"), F.lit(bins - 1))
-    counted = _known(panel).join(F.broadcast(base.select(*KEYS, "lo", "hi")), list(KEYS)).groupBy(*KEYS, cell.alias("bin")).agg(F.count("*").alias("c"))
+    counted = _known(panel).join(base.select(*KEYS, "lo", "hi"), list(KEYS)).groupBy(*KEYS, cell.alias("bin")).agg(F.count("*").alias("c"))
     full = counted.groupBy(*KEYS).agg(F.map_from_entries(F.collect_list(F.struct("bin", "c"))).alias("by_bin"))
     share = F.transform(F.sequence(F.lit(0), F.lit(bins - 1)), lambda b: F.coalesce(F.try_element_at("by_bin", b), F.lit(0)).cast("double") / F.col("cnt"))
     return base.join(full, list(KEYS)).select(*base.columns, share.alias("hist"))
@@ -52,19 +55,24 @@ def fit_hist(panel: DataFrame, bins: int = 20) -> DataFrame:
 
 def fit_ar1(panel: DataFrame) -> DataFrame:
     """Slope and intercept of a reading on the one before, and the deviation of what is left."""
-    w = Window.partitionBy(*KEYS).orderBy("n")
-    pairs = _known(panel).withColumn("p", F.lag("x").over(w)).filter("p IS NOT NULL")
+    w = Window.partitionBy(*SERIES).orderBy("n")
+    pairs = _whole(stretches(to_long(panel), 1).withColumn("p", F.lag("x").over(w))).filter("p IS NOT NULL AND x IS NOT NULL AND NOT isnan(x) AND NOT isnan(p)")
     fit = pairs.groupBy(*KEYS).agg(F.coalesce(F.regr_slope("x", "p"), F.lit(0.0)).alias("slope"), F.avg("x").alias("mx"), F.avg("p").alias("mp"), F.count("*").alias("cnt"))
-    fit = fit.select(*KEYS, "cnt", "slope", (F.col("mx") - F.col("slope") * F.col("mp")).alias("intercept"))
-    rest = pairs.join(F.broadcast(fit), list(KEYS)).groupBy(*KEYS).agg(F.stddev_samp(F.col("x") - F.col("slope") * F.col("p") - F.col("intercept")).alias("sigma"))
+    fit = few(fit.select(*KEYS, "cnt", "slope", (F.col("mx") - F.col("slope") * F.col("mp")).alias("intercept")), "lines")
+    rest = pairs.join(fit, list(KEYS)).groupBy(*KEYS).agg(F.stddev_samp(F.col("x") - F.col("slope") * F.col("p") - F.col("intercept")).alias("sigma"))
     return fit.join(rest, list(KEYS))
 
 
+def _whole(rows: DataFrame) -> DataFrame:
+    """Rows of stretches() without those that only lead in."""
+    return rows.filter("NOT _lead").drop("_s", "_lead")
+
+
 def window_features(long: DataFrame, q: int) -> DataFrame:
-    """Mean, deviation, slope, least and greatest of the last q readings of a sensor, where there are q."""
-    w = Window.partitionBy(*KEYS).orderBy("n").rowsBetween(1 - q, 0)
-    t = F.col("n").cast("double")
-    out = long.withColumns(
+    """Mean, deviation, slope, least and greatest of the last q readings of a sensor, where all q are known."""
+    w = Window.partitionBy(*SERIES).orderBy("n").rowsBetween(1 - q, 0)
+    t = F.when(F.col("x").isNotNull(), F.col("n").cast("double"))
+    out = stretches(long.withColumn("x", F.when(~F.isnan("x"), F.col("x"))), q - 1).withColumns(
         {
             "f_mean": F.avg("x").over(w), "f_sd": F.stddev_samp("x").over(w), "f_lo": F.min("x").over(w), "f_hi": F.max("x").over(w),
             "_n": F.count("x").over(w), "_st": F.sum(t).over(w), "_stt": F.sum(t * t).over(w), "_sx": F.sum("x").over(w), "_stx": F.sum(t * F.col("x")).over(w),
@@ -72,7 +80,7 @@ def window_features(long: DataFrame, q: int) -> DataFrame:
     )
     bottom = F.col("_n") * F.col("_stt") - F.col("_st") * F.col("_st")
     slope = F.try_divide(F.col("_n") * F.col("_stx") - F.col("_st") * F.col("_sx"), bottom)
-    return out.withColumn("f_slope", slope).filter(F.col("_n") == q).drop("_n", "_st", "_stt", "_sx", "_stx")
+    return _whole(out.withColumn("f_slope", slope).filter(F.col("_n") == q)).drop("_n", "_st", "_stt", "_sx", "_stx")
 
 
 FEATURES = ("f_mean", "f_sd", "f_slope", "f_lo", "f_hi")
@@ -80,15 +88,16 @@ FEATURES = ("f_mean", "f_sd", "f_slope", "f_lo", "f_hi")
 
 def fit_features(panel: DataFrame, q: int = 10) -> DataFrame:
     """Mean and deviation of each window feature over the history."""
-    feats = window_features(_known(panel), q)
+    feats = window_features(to_long(panel), q)
     return feats.groupBy(*KEYS).agg(*[f(c).alias(f"{c}_{s}") for c in FEATURES for f, s in ((F.avg, "mu"), (F.stddev_samp, "sigma"))])
 
 
 def fit_profile(panel: DataFrame, q: int = 10) -> DataFrame:
     """Reference for subsequence distances: the mean level, and the usual root mean square gap of q readings to it."""
-    base = fit_moments(panel).select(*KEYS, "mu")
-    w = Window.partitionBy(*KEYS).orderBy("n").rowsBetween(1 - q, 0)
-    gaps = _known(panel).join(F.broadcast(base), list(KEYS)).withColumn("gap", F.sqrt(F.avg(F.pow(F.col("x") - F.col("mu"), 2)).over(w)))
+    base = few(fit_moments(panel).select(*KEYS, "mu"), "levels")
+    w = Window.partitionBy(*SERIES).orderBy("n").rowsBetween(1 - q, 0)
+    known = to_long(panel).withColumn("x", F.when(~F.isnan("x"), F.col("x")))
+    gaps = _whole(stretches(known.join(base, list(KEYS)), q - 1).withColumn("gap", F.sqrt(F.avg(F.pow(F.col("x") - F.col("mu"), 2)).over(w)))).filter("x IS NOT NULL")
     return gaps.groupBy(*KEYS).agg(F.first("mu").alias("mu"), F.avg("gap").alias("gap_mu"), F.stddev_samp("gap").alias("gap_sigma"))
 
 

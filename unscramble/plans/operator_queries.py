@@ -90,7 +90,7 @@ def score_panel(spark, sf_dir):
     from unscramble.operators.detect import supports, with_models
 
     e = Example(spark, sf_dir)
-    return with_models(e.bad, model.packed(e.models), 1).select("n", F.posexplode(supports("chebyshev")).alias("m", "p")).select("n", "m", r6("p"))
+    return with_models(e.bad, model.packed(e.models)).select("n", F.posexplode(supports("chebyshev")).alias("m", "p")).select("n", "m", r6("p"))
 
 
 @query(
@@ -157,25 +157,15 @@ def fit_moments(spark, sf_dir):
     return model.fit_moments(panels.native_panel(spark, sf_dir)).filter("m = 0").select("cnt", r6("mu"), r6("sigma"))
 
 
-@query("fit_robust", "SELECT round(median(value), 6) AS mid, round(quantile_cont(value, 0.25), 6) AS q1 FROM events")
+@query("fit_robust", "WITH mid AS (SELECT median(l_quantity) AS mu FROM lineitem) SELECT round(any_value(mu), 6) AS mid, round(quantile_cont(l_quantity, 0.25), 6) AS q1, round(median(abs(l_quantity - mu)) * 1.4826, 6) AS sigma FROM lineitem, mid")
 def fit_robust(spark, sf_dir):
-    return read_table(spark, sf_dir, "events", ["value"]).agg(F.round(F.median("value"), 6).alias("mid"), F.round(F.percentile("value", 0.25), 6).alias("q1"))
+    return model.fit_robust(panels.native_panel(spark, sf_dir)).filter("m = 0").select(r6("mu", "mid"), r6("q1"), r6("sigma"))
 
 
-@query("fit_hist", "SELECT CAST(least(floor((l_quantity - 1) / 49.0 * 10), 9) AS INTEGER) AS bin, count(*) AS c FROM lineitem GROUP BY 1")
+@query("fit_hist", "WITH e AS (SELECT min(l_quantity) AS lo, max(l_quantity) AS hi FROM lineitem) SELECT CAST(least(floor((l_quantity - lo) / (hi - lo) * 10), 9) AS INTEGER) AS bin, count(*) AS c FROM lineitem, e GROUP BY 1")
 def fit_hist(spark, sf_dir):
-    rows = read_table(spark, sf_dir, "lineitem", ["l_quantity"])
-    return rows.groupBy(F.least(F.floor((F.col("l_quantity") - 1) / 49.0 * 10), F.lit(9)).cast("int").alias("bin")).agg(F.count("*").alias("c"))
-
-
-_REPORT = "WITH s AS (SELECT l_suppkey, l_returnflag, l_linestatus, n_name, r_name FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey)"
-
-
-def _hierarchy(spark, sf_dir) -> DataFrame:
-    items = read_table(spark, sf_dir, "lineitem", ["l_suppkey", "l_returnflag", "l_linestatus"])
-    supplier = read_table(spark, sf_dir, "supplier", ["s_suppkey", "s_nationkey"])
-    nation, region = read_table(spark, sf_dir, "nation"), read_table(spark, sf_dir, "region")
-    return items.join(supplier, items.l_suppkey == supplier.s_suppkey).join(F.broadcast(nation), F.col("s_nationkey") == F.col("n_nationkey")).join(F.broadcast(region), F.col("n_regionkey") == F.col("r_regionkey"))
+    fit = model.fit_hist(panels.native_panel(spark, sf_dir), 10).filter("m = 0")
+    return fit.select("cnt", F.posexplode("hist").alias("bin", "share")).filter("share > 0").select("bin", F.round(F.col("share") * F.col("cnt")).cast("long").alias("c"))
 
 
 @query("report_rollup", f"{_REPORT} SELECT r_name, n_name, count(*) AS cnt FROM s GROUP BY ROLLUP (r_name, n_name)")
@@ -200,7 +190,7 @@ def repair_report(spark, sf_dir):
     b = workloads.Workbench(spark, sf_dir, g=3.0)
     from unscramble.plans.methods import repair
 
-    units = repair(b.panel, b.models, RepairConfig(), 1).units
+    units = repair(b.panel, b.models, RepairConfig()).units
     return units.rollup("eq_id", "order").agg(F.count("*").alias("n_units"), F.sum("points").alias("points"))
 
 
@@ -324,7 +314,7 @@ def greedy_below_exact(spark, sf_dir):
     b = workloads.Workbench(spark, sf_dir)
     from unscramble.operators import detect
 
-    rows = candidates.gate(detect.flag(b.panel, b.models, equipments=1)).select("n", matching.weights().alias("w"))
+    rows = candidates.gate(detect.flag(b.panel, b.models)).select("n", matching.weights().alias("w"))
     rows = rows.withColumn("e", matching.matched(F.col("w"), "assign")).withColumn("g", matching.greedy(F.col("w")))
     total = lambda to: F.aggregate(F.zip_with("w", to, lambda row, j: row[j]), F.lit(0.0), lambda a, v: a + v)
     return rows.filter(total("g") > total("e") + 1e-9).select(perm.cycle_key(F.col("g")).alias("unused"))

@@ -11,9 +11,9 @@ from unscramble.config import RepairConfig, as_printed
 from unscramble.functions import perm
 from unscramble.operators import candidates, detect, determine, matching, metrics, model, runs, units
 from unscramble.plans import methods, oracle, workloads
-from unscramble.scratch import stored
+from unscramble.scratch import scratch_path, stored
 from unscramble.sources import inject, panels
-from unscramble.sources.tables import read_table
+from unscramble.sources.tables import read_table, write_escalations
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
@@ -42,17 +42,17 @@ class Example:
         self.last = inject.extent(self.clean)
         self.truth = inject.example_plan(self.last)
         self.bad = stored(inject.inject(self.clean, self.truth), "bad")
-        self.models = model.fit_moments(self.history)
+        self.models = stored(model.fit_moments(self.history), "models")
         self.cfg = RepairConfig(match="enum")
 
     def flags(self) -> DataFrame:
-        return detect.flag(self.bad, self.models, equipments=1)
+        return detect.flag(self.bad, self.models)
 
     def weighted(self) -> DataFrame:
         return candidates.gate(self.flags()).withColumn("w", matching.weights())
 
     def candidates(self) -> DataFrame:
-        return candidates.candidate_schemas(self.bad, self.models, self.cfg, 1)
+        return candidates.candidate_schemas(self.bad, self.models, self.cfg)
 
 
 # --- panels, injection ------------------------------------------------------------------------------------------
@@ -240,7 +240,7 @@ def _flags_frozen(family: str) -> None:
     @query(f"flags_frozen_{family}", oracle.with_(oracle.example(), f"SELECT n, count(*) AS abnormal FROM bad JOIN models USING (m) WHERE {_support_sql(family)} < {theta} GROUP BY n"))
     def flags(spark, sf_dir):
         e = Example(spark, sf_dir)
-        got = detect.flag(e.bad, e.models, theta, family, 1)
+        got = detect.flag(e.bad, e.models, theta, family)
         return got.select("n", F.size("abnormal").cast("long").alias("abnormal")).filter("abnormal > 0")
 
 
@@ -257,7 +257,7 @@ cells AS (SELECT n, p.m, CASE WHEN x < lo OR x > hi THEN 0 ELSE coalesce(mass, 0
 @query("flags_frozen_empirical", oracle.with_(_EMPIRICAL, "SELECT n, CAST(count(*) AS INTEGER) AS abnormal FROM cells WHERE p < 0.02 GROUP BY n"))
 def flags_frozen_empirical(spark, sf_dir):
     models = model.fit_hist(panels.calibrated_panel(spark, sf_dir, history=True))
-    got = detect.flag(panels.calibrated_panel(spark, sf_dir), models, 0.02, "empirical", 1)
+    got = detect.flag(panels.calibrated_panel(spark, sf_dir), models, 0.02, "empirical")
     return got.select("n", F.size("abnormal").alias("abnormal")).filter("abnormal > 0")
 
 
@@ -405,14 +405,48 @@ def candidate_cells(spark, sf_dir):
 @query("escalations", oracle.with_(f"{oracle.example()}, {oracle.FLAGS}", "SELECT n, a AS size FROM sets WHERE a > 3"))
 def escalations(spark, sf_dir):
     e = Example(spark, sf_dir)
-    got = candidates.candidate_schemas(e.bad, e.models, e.cfg.with_(epsilon=3), 1)
+    got = candidates.candidate_schemas(e.bad, e.models, e.cfg.with_(epsilon=3))
     return candidates.escalations(got).select("n", F.col("size").cast("long").alias("size"))
 
 
+@query("escalation_sink", oracle.with_(f"{oracle.example()}, {oracle.FLAGS}", "SELECT n, a AS size FROM sets WHERE a > 3 UNION ALL SELECT n, a FROM sets WHERE a > 4"))
+def escalation_sink(spark, sf_dir):
+    """What people must look at, appended to a table by two runs and read back."""
+    e, path = Example(spark, sf_dir), scratch_path(spark, "escalations")
+    for epsilon in (3, 4):
+        write_escalations(candidates.candidate_schemas(e.bad, e.models, e.cfg.with_(epsilon=epsilon)), path)
+    return spark.read.parquet(path).select("n", F.col("size").cast("long").alias("size"))
+
+
+@query("candidates_empirical")
+def candidates_empirical(spark, sf_dir):
+    """Step A with learned histograms in the place of moments."""
+    e = Example(spark, sf_dir)
+    got = candidates.candidate_schemas(e.bad, model.fit_hist(e.history), RepairConfig(family="empirical", theta_m=0.02))
+    return got.select("n", "status", perm.cycles_key(F.col("cycles")).alias("phi"))
+
+
+@query("candidates_detector", oracle.with_(f"{oracle.example()}, {_ROBUST}, flags AS (SELECT n, bad.m, x FROM bad JOIN mid USING (m) WHERE NOT x BETWEEN q1 - (q3 - q1) * 1.5 AND q3 + (q3 - q1) * 1.5), sets AS (SELECT n, list(m ORDER BY m) AS ab, count(*) AS a FROM flags GROUP BY n), {oracle.WEIGHTS}, {oracle.MATCH}", "SELECT n, array_to_string(src, '>') AS src, array_to_string(dst, '>') AS dst FROM matched"))
+def candidates_detector(spark, sf_dir):
+    """Step A with a plug-in detector (fences around the quartiles) in the place of its own test."""
+    e = Example(spark, sf_dir)
+    got = candidates.candidate_schemas(e.bad, e.models, RepairConfig(detector="iqr"), history=e.history).filter("status = 'repaired'")
+    return got.select("n", perm.cycle_key(F.col("src")).alias("src"), perm.cycle_key(F.col("dst")).alias("dst"))
+
+
+@query("repair_by_regime")
+def repair_by_regime(spark, sf_dir):
+    """The whole method with a model for each working condition."""
+    clean = stored(panels.native_panel(spark, sf_dir), "native")
+    bad = stored(inject.inject(clean, inject.plan(inject.extent(clean), 6, 9)), "bad")
+    got = methods.repair(bad, stored(model.fit_moments(clean, regime=True), "models"), RepairConfig(regime=True, len1=5, len2=5))
+    return got.schemas.select("l", "r", perm.cycles_key(F.col("phi")).alias("phi"))
+
+
 @query("candidates_calibrated")
 def candidates_calibrated(spark, sf_dir):
     b = workloads.Workbench(spark, sf_dir, g=3.0)
-    got = candidates.candidate_schemas(b.panel, b.models, RepairConfig(), 1)
+    got = candidates.candidate_schemas(b.panel, b.models, RepairConfig())
     return got.filter("status = 'repaired'").select("n", perm.cycles_key(F.col("cycles")).alias("phi"), "size")
 
 
@@ -552,7 +586,7 @@ def overlay_final(spark, sf_dir):
 @query("repaired_cells", oracle.with_(f"{oracle.FULL}, pairs AS (SELECT l, r, CAST(string_split(sigma, '>') AS INTEGER[]) AS c FROM intervals), moves AS (SELECT l, r, unnest(c) AS u, unnest(list_append(c[2:], c[1])) AS v FROM pairs)", "SELECT n, v AS m, round(x, 6) AS x FROM moves JOIN bad ON n BETWEEN l AND r AND m = u"))
 def repaired_cells(spark, sf_dir):
     e = Example(spark, sf_dir)
-    result = methods.repair(e.bad, e.models, e.cfg, 1)
+    result = methods.repair(e.bad, e.models, e.cfg)
     both = panels.to_long(result.repaired).select("n", "m", "x").join(panels.to_long(e.bad).select("n", "m", F.col("x").alias("was")), ["n", "m"])
     return both.filter("x <> was").select("n", "m", r6("x"))
 
@@ -564,7 +598,7 @@ def _method(name: str, cfg: RepairConfig) -> None:
     @query(f"method_{name}")
     def method(spark, sf_dir):
         b = workloads.Workbench(spark, sf_dir)
-        got = methods.repair(b.panel, b.models, cfg, 1).schemas
+        got = methods.repair(b.panel, b.models, cfg).schemas
         return got.select("eq_id", "l", "r", perm.cycles_key(F.col("phi")).alias("phi"))
 
 
@@ -580,7 +614,7 @@ def _example_method(name: str, cfg: RepairConfig) -> None:
     @query(f"example_{name}", oracle.with_(oracle.METHODS[name], "SELECT l, r, phi FROM final"))
     def method(spark, sf_dir):
         e = Example(spark, sf_dir)
-        return methods.repair(e.bad, e.models, cfg, 1).schemas.select("l", "r", perm.cycles_key(F.col("phi")).alias("phi"))
+        return methods.repair(e.bad, e.models, cfg).schemas.select("l", "r", perm.cycles_key(F.col("phi")).alias("phi"))
 
 
 _EXAMPLE = {
@@ -597,7 +631,7 @@ def example_scores(spark, sf_dir):
     e = Example(spark, sf_dir)
     out = None
     for name, cfg in _EXAMPLE.items():
-        row = methods.evaluated(methods.repair(e.bad, e.models, cfg, 1), e.truth, cfg).select(F.lit(name).alias("method"), "*")
+        row = methods.evaluated(methods.repair(e.bad, e.models, cfg), e.truth, cfg).select(F.lit(name).alias("method"), "*")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -605,7 +639,7 @@ def example_scores(spark, sf_dir):
 @query("method_pointwise", oracle.with_(f"{oracle.example()}, {oracle.FLAGS}", "SELECT n, flags.m, round(mu, 6) AS x FROM flags JOIN models USING (m)"))
 def method_pointwise(spark, sf_dir):
     e = Example(spark, sf_dir)
-    fixed = methods.repair(e.bad, e.models, RepairConfig(method="pointwise"), 1).repaired
+    fixed = methods.repair(e.bad, e.models, RepairConfig(method="pointwise")).repaired
     both = panels.to_long(fixed).select("n", "m", "x").join(panels.to_long(e.bad).select("n", "m", F.col("x").alias("was")), ["n", "m"])
     return both.filter("x <> was").select("n", "m", r6("x"))
 
@@ -678,7 +712,7 @@ def bit_confusion_smoothed(spark, sf_dir):
 @query("escalation_rate", oracle.with_(f"{oracle.example()}, {oracle.FLAGS}", "SELECT count(*) AS n_escalated, any_value(last) AS n_points, count(*) / any_value(last) AS rate FROM sets, span WHERE a > 3"))
 def escalation_rate(spark, sf_dir):
     e = Example(spark, sf_dir)
-    return metrics.escalation_rate(candidates.candidate_schemas(e.bad, e.models, e.cfg.with_(epsilon=3), 1), e.last)
+    return metrics.escalation_rate(candidates.candidate_schemas(e.bad, e.models, e.cfg.with_(epsilon=3)), e.last)
 
 
 _MOVED = f"{oracle.FULL}, pairs AS (SELECT l, r, CAST(string_split(sigma, '>') AS INTEGER[]) AS c FROM intervals), moves AS (SELECT l, r, unnest(c) AS u, unnest(list_append(c[2:], c[1])) AS v FROM pairs)"
@@ -692,7 +726,7 @@ cells AS (SELECT c.x AS t, b.x AS d, coalesce(f.y, b.x) AS y FROM clean c JOIN b
 )
 def cell_scores(spark, sf_dir):
     e = Example(spark, sf_dir)
-    got = metrics.cell_scores(e.clean, e.bad, methods.repair(e.bad, e.models, e.cfg, 1).repaired)
+    got = metrics.cell_scores(e.clean, e.bad, methods.repair(e.bad, e.models, e.cfg).repaired)
     return got.select("n_misplaced", "n_restored", "n_damaged", *[F.round(c, 9).alias(c) for c in ("restored_share", "rmse")])
 
 

@@ -45,7 +45,7 @@ class Workbench:
     def run(self, workload: str, method: str, x: float, cfg: RepairConfig | None = None) -> tuple:
         cfg = (cfg or RepairConfig()).with_(method=method)
         began = time.time()
-        result = repair(self.panel, self.models, cfg, 1)
+        result = repair(self.panel, self.models, cfg, history=self.history)
         row = evaluated(result, self.truth, cfg).first()
         result.repaired.write.format("noop").mode("overwrite").save()
         return (workload, method, float(x), *row, time.time() - began)
@@ -56,11 +56,13 @@ def _rows(spark: SparkSession, rows: list[tuple]) -> DataFrame:
 
 
 def overall(spark: SparkSession, sf_dir: str, methods: Iterable[str] = METHODS) -> DataFrame:
-    """W3: all methods on 90 % of the 48-sensor panel and 80 % of the 150-sensor panel."""
+    """W3: all methods on 90 % of the 48-sensor panel and 80 % of the 150-sensor panel, with frozen models and with models
+    that follow the repaired readings."""
     out = []
     for sensors, percent in ((48, 90), (150, 80)):
         bench = Workbench(spark, sf_dir, 12, sensors, percent=percent)
         out += [bench.run("overall", m, sensors) for m in methods]
+        out += [bench.run("overall, models follow", m, sensors, RepairConfig(mode="feedback")) for m in methods if m != "block"]
     return _rows(spark, out)
 
 
@@ -126,7 +128,7 @@ def ablations(spark: SparkSession, sf_dir: str, drift: float = 0.0) -> DataFrame
 
 def quality_of(workbench: Workbench, cfg: RepairConfig) -> DataFrame:
     """All measures of one run in long form: measure, value."""
-    result = repair(workbench.panel, workbench.models, cfg, 1)
+    result = repair(workbench.panel, workbench.models, cfg)
     schemas = stored(result.schemas, "found")
     parts = [evaluated(result, workbench.truth, cfg), metrics.bound_error(schemas, workbench.truth), metrics.cell_scores(workbench.clean, workbench.panel, result.repaired)]
     if result.candidates is not None:

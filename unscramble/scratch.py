@@ -8,7 +8,7 @@ import zipfile
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
-
+from pyspark.sql import functions as F
 
 _shipped: set[str] = set()
 
@@ -50,3 +50,13 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     path = scratch_path(df.sparkSession, name)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+#: A table of models and the like is broadcast up to so many rows; beyond, it is joined by shuffle.
+FEW_ROWS = 200_000
+
+
+def few(df: DataFrame, name: str) -> DataFrame:
+    """df, stored and counted, and marked for broadcast if it has FEW_ROWS rows at most."""
+    kept = stored(df, name)
+    return F.broadcast(kept) if kept.limit(FEW_ROWS + 1).count() <= FEW_ROWS else kept

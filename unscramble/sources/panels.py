@@ -28,6 +28,21 @@ def to_long(panel: DataFrame) -> DataFrame:
     return panel.select("eq_id", "n", "ts", "regime", F.posexplode("x").alias("m", "x"))
 
 
+STRETCH = 1 << 16
+
+
+def stretches(long: DataFrame, before: int, after: int = 0, length: int | None = None) -> DataFrame:
+    """Long rows cut in stretches of time (_s) that also hold so many points before and after them (_lead is true there).
+
+    A window over (eq_id, m, _s) then sees what one over the whole series sees, and no task holds a series. Ordinals of
+    a series are dense, as those of a panel are.
+    """
+    length = length or STRETCH
+    own = F.floor(F.col("n") / length)
+    held = F.sequence(F.floor((F.col("n") - after) / length), F.floor((F.col("n") + before) / length))
+    return long.withColumn("_s", F.explode(held)).withColumn("_lead", F.col("_s") != own)
+
+
 def calibrated_panel(spark: SparkSession, sf_dir: str, g: float = 2.0, sensors: int = 48, history: bool = False, equipments: int = 1, drift: float = 0.0) -> DataFrame:
     """lineitem as readings of many sensors, whose means are g standard deviations apart and swing slowly.
 
