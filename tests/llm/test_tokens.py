@@ -50,6 +50,20 @@ def test_pieces_are_the_librarys_and_come_back():
         assert [b.decode() for b in pieces.decode_blocks(model, ids, ends)] == [x.replace("▁", " ") for x in block.to_pylist()]
 
 
+@pytest.mark.parametrize("rule", ["nmt_nfkc", "nfkc", "nmt_nfkc_cf", "nfkc_cf"])
+def test_character_maps_give_the_librarys_normal_text(rule):
+    lib = sentencepiece.SentencePieceNormalizer(rule_name=rule)
+    spec = dict(pieces._fields(next(v for f, v in pieces._fields(lib.serialized_model_proto()) if f == 3)))
+    normal = pieces.Normaliser(spec[2], bool(spec.get(4, 1)))
+    g = random.Random(5)
+    alphabet = "ab AB  ﬁ①ｆ　éé가각ÅΩ²½…'“\t\n\u200b\ufeff🙂ㅏ㎏Ⅷ"
+    texts = ODD + random_texts(100) + ["".join(g.choice(alphabet) for _ in range(g.randint(0, 40))) for _ in range(400)]
+    for t in texts:
+        want = lib.normalize(t).replace("▁", " ")
+        assert normal(t).replace("▁", " ") == want.removeprefix(" " if spec.get(3, 1) else ""), t
+    assert pieces.Normaliser(b"", True)("  a   b ") == "a b" and pieces.Normaliser(b"", False)("  a ") == "  a "
+
+
 def test_shortest_path_of_a_unigram_model():
     t = pieces.Transducer.__new__(pieces.Transducer)
     t.kind, t.bytes, t.unknown, t.prefix = 1, {}, 0, False

@@ -1,6 +1,6 @@
 """SentencePiece encoding and decoding with weighted finite-state transducers.
 
-The model file is compiled to three transducers: the normaliser (dummy prefix, spaces to the space mark), the pieces
+The model file is compiled to three transducers: the normaliser (character map, spaces, dummy prefix), the pieces
 with byte fallback (a trie whose accepting states give piece ids), and, for BPE models, an automaton over neighbouring
 pieces that gives weight 0 to pairs which BPE itself would leave side by side and no path to all others. An input is
 composed with them position by position and the tropical shortest path is taken. For a unigram model arcs weigh minus
@@ -13,6 +13,7 @@ Null text is the empty text, which has no pieces.
 from __future__ import annotations
 
 import math
+import re
 import struct
 import zlib
 from collections.abc import Iterable, Iterator
@@ -64,6 +65,49 @@ def _fields(data: bytes) -> Iterator[tuple[int, int | bytes]]:
                 raise ValueError(f"wire type {kind}")
 
 
+class Normaliser:
+    """A transducer from text to normal text: the longest key of the character map at each place, else one character.
+
+    The map is a trie in the form of a double array of 32-bit units, and the strings that keys stand for. squeeze: runs of
+    spaces become one and those at the ends go, after the map has been applied.
+    """
+
+    def __init__(self, charsmap: bytes, squeeze: bool):
+        size = struct.unpack_from("<I", charsmap)[0] if charsmap else 0
+        self.units = np.frombuffer(charsmap, "<u4", size // 4, 4).tolist() if charsmap else []
+        self.strings, self.squeeze = charsmap[4 + size :], squeeze
+
+    def longest(self, data: bytes, at: int) -> tuple[int, int]:
+        """Length of the longest key that starts here (0 if none) and where its string starts."""
+        units, length, found = self.units, 0, 0
+        if not units:
+            return 0, 0
+        node = units[0] >> 10 << ((units[0] & 512) >> 6)
+        for i in range(at, len(data)):
+            node ^= data[i]
+            unit = units[node]
+            if unit & 0x800000FF != data[i]:
+                break
+            node ^= unit >> 10 << ((unit & 512) >> 6)
+            if unit >> 8 & 1:
+                length, found = i - at + 1, units[node] & 0x7FFFFFFF
+        return length, found
+
+    def __call__(self, text: str) -> str:
+        data, out, at = text.encode("utf-8", "replace"), [], 0
+        while at < len(data):
+            n, found = self.longest(data, at)
+            if n:
+                out.append(self.strings[found : self.strings.index(0, found)])
+            else:
+                head = data[at]
+                n = 1 if head < 0x80 else 2 if head < 0xE0 else 3 if head < 0xF0 else 4
+                out.append(data[at : at + n])
+            at += n
+        normal = b"".join(out).decode("utf-8", "replace")
+        return re.sub(" +", " ", normal).strip(" ") if self.squeeze else normal
+
+
 def _states(ids: dict[str, int]) -> dict[str, int]:
     """States of the trie of pieces: each beginning of a piece, with the piece's id or -1 if it isn't one."""
     return {p[:i]: ids.get(p[:i], -1) for p in ids for i in range(1, len(p) + 1)}
@@ -101,8 +145,7 @@ class Transducer:
             elif field == 3:
                 spec = dict(_fields(value))
                 charsmap, self.prefix, squeeze = spec.get(2, b""), bool(spec.get(3, 1)), bool(spec.get(4, 1))
-        if charsmap or squeeze:
-            raise ValueError("only identity normalisers that keep white space are compiled")
+        self.normal = Normaliser(charsmap, squeeze) if charsmap or squeeze else None
         if self.kind not in (1, 2):
             raise ValueError("the model must be unigram or BPE")
         self.longest = max(map(len, self.ids))
@@ -255,9 +298,11 @@ def compiled(path: str) -> tuple[Transducer, Memo, Memo]:
 def encode_blocks(texts: pa.Array | list[str], path: str) -> Iterator[tuple[np.ndarray, np.ndarray, pa.Array]]:
     """Blocks of consecutive texts: all their ids, where each text's ids start and, last, their number, and the texts.
 
-    A text's first chunk has the dummy prefix before it.
+    A text's first chunk has the dummy prefix before it. The texts that come out are normalised.
     """
     model, rest, first = compiled(path)
+    if model.normal:
+        texts = [model.normal(t) for t in (texts if isinstance(texts, list) else texts.to_pylist())]
     for chunks, starts, block in parts_of(texts, model.cut):
         coded = chunks.dictionary_encode()
         said, which = coded.dictionary.to_pylist(), np.asarray(coded.indices).astype(np.int64)
