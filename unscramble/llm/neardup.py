@@ -9,9 +9,13 @@ because of the copies) weigh next to nothing against the few that differ.
 
 Candidates. Equal word sequences fall together first. Of the rest SAMPLES consistent weighted samples are taken and cut
 in BANDS; documents with an equal band are candidates. In each bucket the most central member is the anchor and every
-other member is compared with it. Members that end outside the anchor's class are then compared with the whole bucket
-in blocks, inside tasks, over inverted indexes. After that every candidate pair has been verified or lies within one
-class, and pairs were never rows: each member is sent once to each block of open members of its bucket.
+other member is compared with it. Members that end outside the anchor's class are open. Samples of open members and of
+their buckets are compared in blocks inside tasks; documents that look alike so, over all buckets, form groups, and the
+open ones of a group are compared with the whole group in blocks, over inverted indexes. After that every candidate
+pair has been verified or lies within one class, and pairs were never rows: a document is sent once to each block.
+
+Before texts are moved for a candidate pair, its samples must look alike: a pair at the threshold fails that with a
+probability of MISS at most (as samples estimate the similarity at every length). alike=0 verifies every candidate pair.
 
 Verification is the exact weighted Jaccard similarity of the two whole texts (0.8 or more). Classes are the connected
 components of verified pairs and carry their smallest doc_id.
@@ -23,8 +27,11 @@ the smallest of both); rows without doc_id get no class. An empty table gives no
 
 from __future__ import annotations
 
+import math
 import re
+import struct
 from collections.abc import Callable, Iterable, Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -32,8 +39,8 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unscramble.llm.chunks import blocks, focus
-from unscramble.llm.common import materialize, partitions, table, whole_text
+from unscramble.llm.chunks import Memo, before_spaces, focus, joined, parts_of
+from unscramble.llm.common import drop_scratch, materialize, may_hold, partitions, ship_package, table, whole_text
 
 SHINGLE, THRESHOLD = 5, 0.8
 SAMPLES, BANDS = 64, 16
@@ -44,26 +51,28 @@ _PRIME = [_U(x) for x in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E37
 
 
 
-class _Hashes(dict):
-    """White-space token -> hash of the word in it; 0 for tokens without letters and digits. Emptied when full."""
+def _hashes_in(chunk: str) -> bytes:
+    """Hashes of the words in a chunk of text: what white space parts, letters and digits only; tokens without have none."""
+    words = ["".join(WORDS.findall(token.lower())) for token in chunk.split()]
+    return b"".join([_PACK(xxhash.xxh3_64_intdigest(w) or 1) for w in words if w])
+
 
-    def __missing__(self, token: str) -> int:
-        if len(self) >= 700_000:
-            self.clear()
-        word = "".join(WORDS.findall(token.lower()))
-        self[token] = h = xxhash.xxh3_64_intdigest(word) if word else 0
-        return h
+_PACK = struct.Struct("<Q").pack
+_hashes = Memo(_hashes_in, 96 << 20)
 
 
-_hashes = _Hashes()
+def word_hashes_of(texts: pa.Array | list[str]) -> Iterator[np.ndarray]:
+    """For each text the hashes of its words, in order."""
+    focus("word hashes", _hashes.clear)
+    for chunks, starts, _ in parts_of(texts, before_spaces):
+        data, ends = joined(chunks, starts, _hashes.__getitem__)
+        data = data.view(_U)
+        for a, b in zip((ends[:-1] // 8).tolist(), (ends[1:] // 8).tolist(), strict=True):
+            yield data[a:b]
 
 
 def word_hashes(text: str) -> np.ndarray:
-    """Hashes of the words of a text, in order."""
-    focus("word hashes", _hashes.clear)
-    tokens = text.split()
-    h = np.fromiter(map(_hashes.__getitem__, tokens), _U, len(tokens))
-    return h[h != 0]
+    return next(word_hashes_of([text]))
 
 
 def _mixed(x: np.ndarray) -> np.ndarray:
@@ -221,8 +230,8 @@ def _digest() -> Column:
     return F.xxhash64(whole_text())
 
 
-def counted(texts: DataFrame, cells_of: Callable[[str], np.ndarray]) -> tuple[np.ndarray, int]:
-    """How many texts have each of COUNTERS cells, and the number of texts. cells_of: a text's distinct cells.
+def counted(texts: DataFrame, cells_of: Callable[[pa.Array], Iterator[np.ndarray]]) -> tuple[np.ndarray, int]:
+    """How many texts have each of COUNTERS cells, and the number of texts. cells_of: the distinct cells of each text.
 
     Tasks send their counters in rows of a fixed size, which are summed in two rounds; 8 MB reach the driver.
     """
@@ -230,9 +239,10 @@ def counted(texts: DataFrame, cells_of: Callable[[str], np.ndarray]) -> tuple[np
     def count(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total, n = np.zeros(COUNTERS, np.int64), 0
         for b in batches:
-            for block in blocks(b.column("text").to_pylist(), 1 << 20):
-                n += len(block)
-                total += np.bincount(np.concatenate([cells_of(text) for text in block]), minlength=COUNTERS)
+            cells = cells_of(b.column("text"))
+            while some := list(islice(cells, 512)):
+                n += len(some)
+                total += np.bincount(np.concatenate(some), minlength=COUNTERS)
         if n:
             yield blob(range(COUNTERS // PER_ROW), total.reshape(-1, PER_ROW), n)
 
@@ -263,8 +273,8 @@ def counted(texts: DataFrame, cells_of: Callable[[str], np.ndarray]) -> tuple[np
     return out.ravel(), n
 
 
-def _word_cells(text: str) -> np.ndarray:
-    return np.unique((word_hashes(text) >> _U(44)).astype(np.int32))
+def _word_cells(texts: pa.Array) -> Iterator[np.ndarray]:
+    return (np.unique((h >> _U(44)).astype(np.int32)) for h in word_hashes_of(texts))
 
 
 def document_frequencies(docs: DataFrame) -> tuple[np.ndarray, int]:
@@ -281,9 +291,10 @@ def sketches(docs: DataFrame, weights) -> DataFrame:
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             keys, cuts, short = [], [], []
-            for block in blocks(b.column("text").to_pylist()):  # step by step, as each step has tables of its own to keep at hand
-                words = [word_hashes(text) for text in block]
-                keys += [xxhash.xxh3_128_hexdigest(w.tobytes()) if len(w) else "-" + xxhash.xxh3_128_hexdigest(text) for w, text in zip(words, block, strict=True)]
+            texts = b.column("text")
+            words_of = word_hashes_of(texts)
+            while words := list(islice(words_of, 64)):  # step by step, as each step has tables of its own to keep at hand
+                keys += [xxhash.xxh3_128_hexdigest(w.tobytes()) if len(w) else "-" + xxhash.xxh3_128_hexdigest(texts[len(keys) + i].as_py()) for i, w in enumerate(words)]
                 sets = [weights.value.of_words(w) for w in words]
                 chosen = [samples(*x) if len(x[0]) else None for x in sets]
                 cuts += [np.zeros(0, np.int64) if c is None else bands(c) for c in chosen]
@@ -299,18 +310,14 @@ def verified(pairs: DataFrame, texts: DataFrame, weights, threshold: float) -> D
     """The pairs (a, b) whose texts are similar enough. texts: doc_id, text; one row for each id."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[int, tuple] = {}
-
-        def vector(i: int, text: str) -> tuple:
-            if i not in held:
-                if len(held) >= 16:
-                    del held[next(iter(held))]
-                held[i] = weights.value.shingles(text)
-            return held[i]
-
         for rb in batches:
-            keep = [(a, b) for a, ta, b, tb in zip(*(rb.column(c).to_pylist() for c in ("a", "ta", "b", "tb")), strict=True) if weighted_jaccard(weights.value.shingles(ta), vector(b, tb)) >= threshold]
-            yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in keep], pa.int64()) for k in (0, 1)], ["a", "b"])
+            if not rb.num_rows:
+                continue
+            both = rb.column("tb").dictionary_encode()  # anchors occur many times
+            anchors = [weights.value.of_words(w) for w in word_hashes_of(both.dictionary)]
+            which = both.indices.to_pylist()
+            keep = pa.array([weighted_jaccard(weights.value.of_words(w), anchors[k]) >= threshold for w, k in zip(word_hashes_of(rb.column("ta")), which, strict=True)])
+            yield pa.RecordBatch.from_arrays([rb.column("a").filter(keep), rb.column("b").filter(keep)], ["a", "b"])
 
     left = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("ta"))
     right = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("tb"))
@@ -318,7 +325,7 @@ def verified(pairs: DataFrame, texts: DataFrame, weights, threshold: float) -> D
 
 
 #: Up to so many links (of a spanning forest) components are finished by one task; beyond, by rounds over tables.
-ONE_TASK = 2_000_000
+ONE_TASK = 250_000
 
 
 def _forest(batches: Iterable[pa.RecordBatch], labels: bool) -> Iterator[pa.RecordBatch]:
@@ -373,17 +380,22 @@ def spread_components(edges: DataFrame) -> DataFrame:
         labels = materialize(hop.join(jump, "label", "left").select("node", F.coalesce("further", "label").alias("label")), "labels")
 
 
-def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """doc_id, class_id, n_links (verified links of its text to other texts) of every document that has an id."""
-    return _classed(docs, threshold).select("doc_id", F.col("head.doc_id").alias("class_id"), "n_links")
+def near_duplicates(docs: DataFrame, threshold: float = THRESHOLD, alike: int | None = None) -> DataFrame:
+    """doc_id, class_id, n_links (verified links of its text to other texts) of every document that has an id.
 
+    alike: so many of SAMPLES samples must be equal before a candidate pair is verified; None derives it from threshold.
+    """
+    return _classed(docs, threshold, alike).select("doc_id", F.col("head.doc_id").alias("class_id"), "n_links")
 
-def _classed(docs: DataFrame, threshold: float) -> DataFrame:
+
+def _classed(docs: DataFrame, threshold: float, alike: int | None) -> DataFrame:
     """doc_id, digest, head (doc_id and digest of the class's first row), n_links of every row that has an id.
 
     Inside, each content is a node with a number of its own; the columns doc_id of members and texts hold that number.
     """
     spark = docs.sparkSession
+    ship_package(spark)
+    least = least_equal(threshold) if alike is None else alike
     counts, n = document_frequencies(docs)
     weights = spark.sparkContext.broadcast(Weights(counts, n))
     signs = materialize(sketches(docs, weights), "sketches")
@@ -391,17 +403,20 @@ def _classed(docs: DataFrame, threshold: float) -> DataFrame:
     reps = materialize(contents.withColumn("node", F.monotonically_increasing_id()), "contents")
     members = _with_anchors(reps.select(F.col("node").alias("doc_id"), F.explode("bands").alias("bucket")))
 
-    wanted = reps.join(members.select(F.col("doc_id").alias("node")).distinct(), "node", "left_semi").select("row.doc_id", "row.digest", "node")
-    found = _texts(docs).join(wanted, ["doc_id", "digest"]).dropDuplicates(["doc_id", "digest"])
+    named = members.select(F.col("doc_id").alias("node")).distinct()
+    wanted = materialize(reps.join(named, "node", "left_semi").select("row.doc_id", "row.digest", "node", F.xxhash64("row.doc_id", "row.digest").alias("k")), "wanted")
+    near = may_hold(wanted, "k", _texts(docs), F.xxhash64("doc_id", "digest")).filter("_may").drop("_may")
+    found = near.join(wanted.drop("k"), ["doc_id", "digest"]).dropDuplicates(["doc_id", "digest"])
     texts = materialize(found.select(F.col("node").alias("doc_id"), "text"), "texts")
     star = members.filter("doc_id <> anchor").select(F.col("doc_id").alias("a"), F.col("anchor").alias("b")).distinct()
-    signs_of = reps.select(F.col("node").alias("doc_id"), "sample")
-    edges = materialize(verified(alike(star, signs_of), texts, weights, threshold), "links")
+    signs_of = materialize(reps.join(named, "node", "left_semi").select(F.col("node").alias("doc_id"), "sample"), "signs")
+    edges = materialize(verified(look_alike(star, signs_of, least), texts, weights, threshold), "links")
     labels = components(edges)
-    more = left_over(members, signs_of, texts, weights, threshold, labels)
+    more = left_over(members, signs_of, texts, weights, threshold, labels, least)
     if not more.isEmpty():
         edges = edges.union(more)
         labels = components(edges)
+    drop_scratch(members, wanted, texts, signs_of)
 
     linked = F.array(F.struct(F.col("a").alias("x"), F.col("b").alias("y")), F.struct(F.col("b").alias("x"), F.col("a").alias("y")))
     degree = edges.select(F.explode(linked).alias("e")).distinct().groupBy(F.col("e.x").alias("node")).agg(F.count("*").alias("n_links"))
@@ -421,93 +436,123 @@ def _with_anchors(keyed: DataFrame) -> DataFrame:
     shared = keyed.join(sizes, "bucket").groupBy("doc_id").agg(F.sum("n").alias("c"), F.collect_list("bucket").alias("buckets"))
     ranked = materialize(shared.select("doc_id", F.explode("buckets").alias("bucket"), "c"), "shared")
     best = ranked.groupBy("bucket").agg(F.max(F.struct("c", (-F.col("doc_id")).alias("i"))).alias("k")).select("bucket", (-F.col("k.i")).alias("anchor"))
-    return materialize(ranked.join(best, "bucket").select("bucket", "doc_id", "anchor"), "members")
+    out = materialize(ranked.join(best, "bucket").select("bucket", "doc_id", "anchor"), "members")
+    drop_scratch(ranked)
+    return out
+
 
+BLOCK = 1024  # open members of a bucket or group that one task compares with others of it
+LANE = 16_384  # so many others meet a block in one task
+MISS = 5e-6
 
-BLOCK = 1024  # open members of a bucket that one task compares with the bucket
 
+def least_equal(threshold: float) -> int:
+    """So many of SAMPLES a pair at the threshold has equal but for a probability of MISS, by the binomial law."""
+    below, k = 0.0, 0
+    while k < SAMPLES:
+        below += math.comb(SAMPLES, k) * threshold**k * (1 - threshold) ** (SAMPLES - k)
+        if below > MISS:
+            break
+        k += 1
+    return k
 
-#: A pair goes on to exact weights if so many of its SAMPLES are equal. A pair at 0.8 has fewer with a probability of
-#: 0.000004 (binomial, as samples estimate the similarity at every length) and no equal band with one of 0.0002.
-ALIKE = 36
 
+#: 36 at a similarity of 0.8; such a pair has no equal band with a probability of 0.0002.
+ALIKE = least_equal(THRESHOLD)
 
-def alike(pairs: DataFrame, signs: DataFrame) -> DataFrame:
-    """The pairs (a, b) with at least ALIKE equal samples, so that no texts are moved for chance candidates."""
+
+def look_alike(pairs: DataFrame, signs: DataFrame, least: int) -> DataFrame:
+    """The pairs (a, b) with at least so many equal samples, so that no texts are moved for chance candidates."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             if not b.num_rows:
                 continue
             x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), "<u2").reshape(b.num_rows, -1) for c in ("sa", "sb"))
-            keep = pa.array((x == y).sum(1) >= ALIKE)
+            keep = pa.array((x == y).sum(1) >= least)
             yield pa.RecordBatch.from_arrays([b.column("a").filter(keep), b.column("b").filter(keep)], ["a", "b"])
 
     left, right = (signs.select(F.col("doc_id").alias(c), F.col("sample").alias(f"s{c}")) for c in "ab")
     return pairs.join(left, "a").join(right, "b").select("a", "b", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
-def left_over(members: DataFrame, signs: DataFrame, texts: DataFrame, weights, threshold: float, labels: DataFrame) -> DataFrame:
+def _laid_out(rows: DataFrame, key: str) -> DataFrame:
+    """rows (key, doc_id, open, ...) by (key, block, lane) for comparing open ones with all: open ones first (turn 0).
+
+    Open ones are dealt to blocks and all are dealt to lanes, both of bounded size: a task sees the open ones of one
+    block and the rows of one lane.
+    """
+    sizes = rows.groupBy(key).agg(F.ceil(F.count_if("open") / BLOCK).cast("int").alias("blocks"), F.ceil(F.count("*") / LANE).cast("int").alias("lanes")).filter("blocks > 0")
+    spread = rows.join(sizes, key)
+    own = lambda n, seed: F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.col(n)).cast("int")
+    place = lambda block, lane, turn: F.struct(block.alias("block"), lane.alias("lane"), F.lit(turn).alias("turn"))
+    asks = F.transform(F.sequence(F.lit(0), F.col("lanes") - 1), lambda lane: place(own("blocks", 1), lane, 0))
+    meets = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda block: place(block, own("lanes", 2), 1))
+    places = F.concat(F.when(F.col("open"), asks).otherwise(F.filter(asks, lambda _: F.lit(False))), meets)
+    return spread.withColumn("p", F.explode(places)).select(*rows.columns, "p.block", "p.lane", "p.turn")
+
+
+def left_over(members: DataFrame, signs: DataFrame, texts: DataFrame, weights, threshold: float, labels: DataFrame, least: int) -> DataFrame:
     """Links (a, b) of the candidate pairs that the anchors leave open: one side is not in its anchor's class.
 
-    Such open members are cut in blocks; a block meets all members of its bucket in one task, which is one row for each
-    member and block. First they meet as samples, which leaves the members that look like one of another class; those
-    meet as weighted shingles. Common weights come from an inverted index of the block, so pairs exist only as counters
-    inside the task, and only links come out.
+    Open members first meet their buckets as samples, which leaves the members that look like one of another class.
+    Members that are left in a common bucket form groups, in which each text stands once; outside the commonest class
+    of a group all are open, and meet the group as weighted shingles. Common weights come from an inverted index of the
+    block, so pairs exist only as counters inside the task, and only links come out.
     """
     found = labels.select(F.col("node").alias("doc_id"), F.col("label").alias("own"))
     main = labels.select(F.col("node").alias("anchor"), F.col("label").alias("main"))
     named = members.join(found, "doc_id", "left").withColumn("own", F.coalesce("own", "doc_id")).join(main, "anchor", "left").withColumn("main", F.coalesce("main", "anchor"))
-    open_ = F.col("own") != F.col("main")
-    blocks = named.groupBy("bucket").agg(F.ceil(F.count_if(open_) / BLOCK).cast("int").alias("blocks")).filter("blocks > 0")
-    named = named.join(blocks, "bucket").select("bucket", "doc_id", "own", open_.alias("open"), "blocks")
+    named = named.select("bucket", "doc_id", "own", (F.col("own") != F.col("main")).alias("open"))
     many = partitions(texts.sparkSession)
 
-    def laid_out(rows: DataFrame, values: DataFrame) -> DataFrame:
-        """Rows by (bucket, block), open members of the block first (turn 0), then all members."""
-        mine = F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int")
-        places = F.array_union(F.when(F.col("open"), F.array(F.struct(mine.alias("block"), F.lit(0).alias("turn")))).otherwise(F.expr("array()")), F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda k: F.struct(k.alias("block"), F.lit(1).alias("turn"))))
-        spread = rows.withColumn("p", F.explode(places)).select("doc_id", "bucket", "own", "p.block", "p.turn").join(values, "doc_id")
-        return spread.repartition(many, "bucket", "block").sortWithinPartitions("bucket", "block", "turn")
-
     def look(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, asks, table, classes = None, [], None, None
         for rb in batches:
             out = set()
-            for bucket, block, turn, doc, own, sample in zip(*(rb.column(c).to_pylist() for c in ("bucket", "block", "turn", "doc_id", "own", "sample")), strict=True):
-                if (bucket, block) != key:
-                    key, asks, table = (bucket, block), [], None
+            for bucket, block, lane, turn, doc, own, sample in zip(*(rb.column(c).to_pylist() for c in ("bucket", "block", "lane", "turn", "doc_id", "own", "sample")), strict=True):
+                if (bucket, block, lane) != key:
+                    key, asks, table = (bucket, block, lane), [], None
                 if turn == 0:
                     asks.append((doc, own, sample))
                 elif asks:
                     if table is None:
                         table, classes = np.stack([np.frombuffer(x[2], "<u2") for x in asks]), np.array([x[1] for x in asks])
-                    hit = np.flatnonzero(((table == np.frombuffer(sample, "<u2")).sum(1) >= ALIKE) & (classes != own))
+                    hit = np.flatnonzero(((table == np.frombuffer(sample, "<u2")).sum(1) >= least) & (classes != own))
                     if len(hit):
                         out.add((bucket, doc))
                         out.update((bucket, asks[i][0]) for i in hit)
             yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in out], pa.int64()) for k in (0, 1)], ["bucket", "doc_id"])
 
-    alive = laid_out(named, signs).select("bucket", "block", "turn", "doc_id", "own", "sample").mapInArrow(look, "bucket long, doc_id long").distinct()
-    named = materialize(named.join(alive, ["bucket", "doc_id"], "left_semi"), "open")
-    if named.isEmpty():
-        return named.select(F.col("doc_id").alias("a"), F.col("doc_id").alias("b"))
+    laid = _laid_out(named, "bucket").join(signs, "doc_id").repartition(many, "bucket", "block", "lane").sortWithinPartitions("bucket", "block", "lane", "turn")
+    alive = laid.select("bucket", "block", "lane", "turn", "doc_id", "own", "sample").mapInArrow(look, "bucket long, doc_id long").distinct()
+    alive = materialize(alive, "alive")
+    none = texts.sparkSession.createDataFrame([], "a long, b long")
+    if alive.isEmpty():
+        return none
+
+    first = alive.groupBy("bucket").agg(F.min("doc_id").alias("b"))
+    together = components(alive.join(first, "bucket").select(F.col("doc_id").alias("a"), "b"))
+    grouped = together.select(F.col("node").alias("doc_id"), F.col("label").alias("grp")).join(found, "doc_id", "left").withColumn("own", F.coalesce("own", "doc_id"))
+    grouped = materialize(grouped, "grouped")
+    commonest = grouped.groupBy("grp", "own").agg(F.count("*").alias("n")).groupBy("grp").agg(F.max_by("own", F.struct("n", "own")).alias("main"))
+    grouped = grouped.join(commonest, "grp").select("grp", "doc_id", "own", (F.col("own") != F.col("main")).alias("open"))
 
     def vectors(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            got = [weights.value.shingles(t) for t in b.column("text").to_pylist()]
+            got = [weights.value.of_words(w) for w in word_hashes_of(b.column("text"))]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([s.tobytes() for s, _ in got], pa.binary()), pa.array([w.tobytes() for _, w in got], pa.binary())], ["doc_id", "s", "w"])
 
-    used = texts.join(named.select("doc_id").distinct(), "doc_id", "left_semi").select("doc_id", "text").mapInArrow(vectors, "doc_id long, s binary, w binary")
-    laid = laid_out(named, used).select("bucket", "block", "turn", "doc_id", "own", "s", "w")
+    used = texts.join(grouped.select("doc_id"), "doc_id", "left_semi").select("doc_id", "text").mapInArrow(vectors, "doc_id long, s binary, w binary")
+    laid = _laid_out(grouped, "grp").join(used, "doc_id").repartition(many, "grp", "block", "lane").sortWithinPartitions("grp", "block", "lane", "turn")
 
     def solve(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, asks, index = None, [], None
         for rb in batches:
             out = []
-            for bucket, block, turn, doc, own, s, w in zip(*(rb.column(c).to_pylist() for c in ("bucket", "block", "turn", "doc_id", "own", "s", "w")), strict=True):
-                if (bucket, block) != key:
-                    key, asks, index = (bucket, block), [], None
+            for grp, block, lane, turn, doc, own, s, w in zip(*(rb.column(c).to_pylist() for c in ("grp", "block", "lane", "turn", "doc_id", "own", "s", "w")), strict=True):
+                if (grp, block, lane) != key:
+                    key, asks, index = (grp, block, lane), [], None
                 s, w = np.frombuffer(s, _U), np.frombuffer(w, np.float32)
                 if turn == 0:
                     asks.append((doc, own, s, w))
@@ -518,7 +563,9 @@ def left_over(members: DataFrame, signs: DataFrame, texts: DataFrame, weights, t
                 out += [(max(doc, x), min(doc, x)) for x in index.like(doc, own, s, w, threshold)]
             yield pa.RecordBatch.from_arrays([pa.array([x[k] for x in out], pa.int64()) for k in (0, 1)], ["a", "b"])
 
-    return materialize(laid.mapInArrow(solve, "a long, b long").distinct(), "links")
+    links = materialize(laid.select("grp", "block", "lane", "turn", "doc_id", "own", "s", "w").mapInArrow(solve, "a long, b long").distinct(), "links")
+    drop_scratch(alive, grouped)
+    return links
 
 
 class _Index:
@@ -542,16 +589,20 @@ class _Index:
         return self.docs[good].tolist()
 
 
-def one_of_each_class(docs: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """The first row of each class (smallest doc_id, then digest), once, and rows without doc_id."""
-    classes = materialize(_classed(docs, threshold), "classes")
-    keep = classes.filter("doc_id = head.doc_id AND digest = head.digest").select("doc_id", "digest")
-    repeated = keep.groupBy("doc_id", "digest").agg(F.count("*").alias("n")).filter("n > 1").limit(1).count() > 0
-    named = docs.withColumn("_digest", _digest())
-    first = named.join(keep.select("doc_id", F.col("digest").alias("_digest")).distinct(), ["doc_id", "_digest"], "left_semi")
-    if repeated:
-        first = first.dropDuplicates(["doc_id", "_digest"])
-    return first.select(*docs.columns).unionByName(docs.filter("doc_id IS NULL"))
+def one_of_each_class(docs: DataFrame, threshold: float = THRESHOLD, alike: int | None = None) -> DataFrame:
+    """The first row of each class (smallest doc_id, then digest), once, and rows without doc_id.
+
+    Only rows that go, or that occur several times, are shuffled (and those that the bit map takes for such).
+    """
+    classes = materialize(_classed(docs, threshold, alike), "classes")
+    first = F.max((F.col("doc_id") == F.col("head.doc_id")) & (F.col("digest") == F.col("head.digest"))).alias("first")
+    looked_at = classes.groupBy("doc_id", "digest").agg(F.count("*").alias("n"), first).filter("n > 1 OR NOT first")
+    looked_at = materialize(looked_at.select("doc_id", F.col("digest").alias("_digest"), "first", F.xxhash64("doc_id", "digest").alias("k")), "looked_at")
+    named = docs.filter("doc_id IS NOT NULL").withColumn("_digest", _digest())
+    split = may_hold(looked_at, "k", named, F.xxhash64(F.col("doc_id").cast("long"), "_digest"))
+    gone = looked_at.filter("NOT first").select("doc_id", "_digest")
+    rest = split.filter("_may").drop("_may").join(gone, ["doc_id", "_digest"], "left_anti").dropDuplicates(["doc_id", "_digest"])
+    return split.filter("NOT _may").select(*docs.columns).unionByName(rest.select(*docs.columns)).unionByName(docs.filter("doc_id IS NULL"))
 
 
 def op3_weighted_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
