@@ -9,7 +9,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unscramble.llm.common import materialize, ship_package, table
+from unscramble.llm.common import drop_scratch, materialize, ship_package, table
 from unscramble.llm.neardup import one_of_each_class
 from unscramble.llm.packing import pack_documents
 from unscramble.llm.personal import redact
@@ -20,7 +20,8 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier doesn't reject. It is fitted to labelled documents among docs."""
     ship_package(spark)
     model = fit(docs, table(spark, sf_dir, "labels"))
-    return with_scores(docs, model).filter(F.col("score") >= CUT).drop("score")
+    name = "_".join(["score", *docs.columns])  # no column of docs has it
+    return with_scores(docs, model, name).filter(F.col(name) >= CUT).drop(name)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -47,7 +48,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over the table documents. What a stage has written goes when the next one has written its own."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for name, stage in STAGES[:-1]:
-        docs = materialize(stage(spark, docs, sf_dir), name)
+        made = materialize(stage(spark, docs, sf_dir), name)
+        drop_scratch(docs)
+        docs = made
     return STAGES[-1][1](spark, docs, sf_dir)

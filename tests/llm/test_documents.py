@@ -1,6 +1,7 @@
 import hashlib
 import random
 import re
+import zlib
 
 import numpy as np
 import pytest
@@ -9,6 +10,7 @@ from pyspark.sql import functions as F
 from unscramble.llm import fingerprints as fp
 from unscramble.llm import neardup as nd
 from unscramble.llm import personal, quality
+from unscramble.llm.common import may_hold
 
 
 def test_fingerprints_against_plain_edits(spark, odd, none):
@@ -129,6 +131,30 @@ def test_near_duplicate_classes_against_brute_force(spark, odd):
     assert got[12] == (0, 0) and got[1][0] == 0 and got[5] == (4, 0) and got[6][0] == 6 and got[7][0] == 7 and got[8] == (8, 0)
 
 
+def test_open_members_in_small_blocks_and_lanes(spark, monkeypatch):
+    df = copies(spark)
+    want = {r["doc_id"]: r["class_id"] for r in nd.near_duplicates(df).collect()}
+    assert {r["doc_id"]: r["class_id"] for r in nd.near_duplicates(df, alike=0).collect()} == want  # every candidate pair verified
+    monkeypatch.setattr(nd, "BLOCK", 3)
+    monkeypatch.setattr(nd, "LANE", 7)
+    assert {r["doc_id"]: r["class_id"] for r in nd.near_duplicates(df).collect()} == want
+
+
+def test_samples_that_must_be_equal_follow_the_threshold():
+    assert nd.ALIKE == 36 and [nd.least_equal(t) for t in (0.5, 0.7, 0.9, 1.0)] == [15, 28, 45, 64]
+
+
+def test_bit_map_loses_no_key(spark):
+    rows = spark.range(3000).withColumn("h", F.xxhash64("id"))
+    keys = rows.filter("id % 10 = 3").select(F.col("h").alias("k"))
+    for most in (1 << 29, 1 << 15, 64):
+        got = may_hold(keys, "k", rows, F.col("h"), most).collect()
+        assert len(got) == 3000 and all(r["_may"] for r in got if r["id"] % 10 == 3)
+        others = sum(r["_may"] for r in got if r["id"] % 10 != 3)
+        assert others < (150 if most > 1 << 14 else 2701)
+    assert not any(r["_may"] for r in may_hold(keys.limit(0), "k", rows, F.col("h")).collect())
+
+
 def test_one_document_of_each_class_stays(spark, none):
     df = copies(spark, 60).withColumn("lang", F.lit("x"))
     both = df.unionByName(df.filter("doc_id < 5")).unionByName(spark.createDataFrame([(None, "no id", "x")], df.schema))
@@ -192,6 +218,31 @@ def test_trees_add_spelled_out_data_and_leave_prose_alone(spark):
     assert out[0] == "contact: [EMAIL] today" and out[1] == "phone [PHONE] please" and out[4] == rows[4][1]
 
 
+def test_probabilities_are_calibrated_and_overlaps_are_settled(spark):
+    model = personal.fitted(spark)
+    assert model.curve[0] > 0 and all(0.5 <= x <= 1 for x in model.limits.values())
+    g = np.random.default_rng(0)
+    score = g.normal(0, 2, 4000)
+    y = (g.random(4000) < 1 / (1 + np.exp(-(0.7 * score - 0.4)))).astype(float)
+    assert np.allclose(personal.calibrate(score, y), (0.7, -0.4), atol=0.12)
+    rows = [(0, "phone 415-555-0134 415-555-0135, call 0044 123 456 789"), (1, "mail me at a@b.co [at] example [dot] org"), (2, "visa 4111.1111.1111.1111 4111-1111-1111-1111")]
+    for r in personal.find_spans(spark.createDataFrame(rows, "doc_id long, text string")).collect():
+        spans = sorted((s["start"], s["end"]) for s in r["added_spans"])
+        assert all(a[1] <= b[0] for a, b in zip(spans, spans[1:]))
+        assert not any(s["start"] < b["end"] and b["start"] < s["end"] for s in r["added_spans"] for b in r["base_spans"])
+
+
+def test_clashing_names_in_redaction_and_scores(spark):
+    rows = [(1, "x@y.zz", 5, "a", "b", "c", 0.5, 3)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, n_chars long, base_spans string, _m0 string, _pii_whole string, score double, added_spans int")
+    assert personal.redact(df).collect()[0] == (1, "[EMAIL]", 7, "a", "b", "c", 0.5, 3)
+    found = personal.find_spans(df)
+    assert found.columns == ["doc_id", "text", "n_chars", "_m0", "_pii_whole", "score", "base_spans", "added_spans"]
+    labels = spark.createDataFrame([(1, 1)], "doc_id long, quality int")
+    scored = quality.with_scores(df, quality.fit(df, labels))
+    assert scored.columns == [c for c in df.columns if c != "score"] + ["score"] and scored.count() == 1
+
+
 def test_redaction_keeps_columns_and_updates_length(spark, odd, none):
     out = personal.redact(odd)
     assert out.columns == odd.columns and personal.redact(none).count() == 0
@@ -219,3 +270,34 @@ def test_quality_of_odd_documents(spark, odd, none):
     assert len(rows) == 13 and rows[0] == rows[1] == pytest.approx(model.prior) and all(0 <= s <= 1 for s in rows.values())
     empty = quality.fit(none, labels)
     assert quality.with_scores(odd, empty).count() == 13 and quality.with_scores(none, model).count() == 0
+
+
+def test_votes_against_brute_force(spark, sf):
+    docs, labels = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "labels"))
+    model = quality.fit(docs, labels)
+    got = {r["doc_id"]: r["score"] for r in quality.with_scores(docs, model).collect()}
+    wanted = {r["doc_id"]: r["quality"] for r in labels.collect() if r["quality"] is not None and zlib.crc32(str(r["doc_id"]).encode()) % 5}
+    texts = {r["doc_id"]: r["text"] or "" for r in docs.collect()}
+    place = {}
+    for i in sorted(k for k in wanted if k in texts):
+        at, value = quality.terms(texts[i])
+        v = (value * model.idf[at]) @ model.axes[at] if len(at) else np.zeros(model.axes.shape[1])
+        place[i] = v / max(float(np.linalg.norm(v)), 1e-9)
+    assert len(place) == len(model.labels)
+    for i, t in list(texts.items())[::3]:
+        at, value = quality.terms(t)
+        if not len(at):
+            assert got[i] == pytest.approx(model.prior)
+            continue
+        v = (value * model.idf[at]) @ model.axes[at]
+        near = sorted(((float(np.dot(v, u) / np.linalg.norm(v)), k) for k, u in place.items()), key=lambda x: -x[0])[: quality.NEIGHBOURS]
+        weight = sum(max(c, 0) ** 4 for c, _ in near)
+        vote = sum(max(c, 0) ** 4 * wanted[k] for c, k in near)
+        assert got[i] == pytest.approx((vote + quality.PRIOR_WEIGHT * model.prior) / (weight + quality.PRIOR_WEIGHT), abs=2e-3)
+
+
+def test_near_duplicates_of_the_table_against_all_pairs(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    counts, n = nd.document_frequencies(docs)
+    want = brute_classes(docs.select("doc_id", "text").collect(), nd.Weights(counts, n))
+    assert {r["doc_id"]: r["class_id"] for r in nd.near_duplicates(docs).collect()} == want

@@ -1,9 +1,11 @@
 """Chat formatting in windows of a token budget.
 
 A conversation's turns, in order of turn, become training examples: windows of whole turns. Prefix sums of the turns'
-token counts choose each window's span: as many new turns as fit beside the system turn, which every window keeps, and
-a limited history of the turns just before, which is repeated. The loss mask covers assistant texts of new turns only,
-so every assistant text is a target exactly once. A turn that alone exceeds the budget gets a window of its own.
+token counts choose each window's span: as many new turns as fit beside the system turn, which windows keep, and a
+limited history of the turns just before, which is repeated. The loss mask covers assistant texts of new turns only, so
+every assistant text is a target exactly once. Token counts are those of whole formatted turns. The budget comes first:
+where a turn leaves no room for the system turn it stands without, and only a turn that alone exceeds the budget makes
+a window that does, in which it is alone.
 
 The template writes ``<|im_start|>role`` + line end + text + ``<|im_end|>`` + line end. Control strings inside texts
 are broken up by a backslash behind their first character and backslashes are doubled, so that no text can hold a
@@ -25,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from unscramble.llm import chunks
-from unscramble.llm.common import partitions, table
+from unscramble.llm.common import partitions, ship_package, table
 
 BUDGET, HISTORY = 1024, 256
 OPEN, CLOSE = "<|im_start|>", "<|im_end|>"
@@ -86,7 +88,8 @@ class Windows:
     def begin(self, tokens: int) -> None:
         """Repeat the system turn and as much history as leaves room for the next turn."""
         self.before = []
-        self.sum = self.system[2] if self.system and self.number else 0
+        keeps = bool(self.system and self.number and self.system[2] + tokens <= self.budget)
+        self.sum = self.system[2] if keeps else 0
         room = min(self.history, self.budget - self.sum - tokens)
         for turn in reversed(self.recent):
             if turn[2] > room:
@@ -94,7 +97,7 @@ class Windows:
             room -= turn[2]
             self.sum += turn[2]
             self.before.insert(0, turn)
-        if self.system and self.number:
+        if keeps:
             self.before.insert(0, self.system)
 
     def close(self) -> dict:
@@ -106,16 +109,28 @@ class Windows:
             parts.append(part)
             at += len(part)
         out = {"window": self.number, "text": "".join(parts), "loss": spans, "n_repeated": len(self.before), "n_new": len(self.new), "n_tokens": self.sum}
-        self.recent = [t for t in (self.recent + self.new)[-64:] if t is not self.system]
+        self.recent = self._last([t for t in self.recent + self.new if t is not self.system])
         self.new, self.number = [], self.number + 1
         return out
 
 
+    def _last(self, turns: list[tuple]) -> list[tuple]:
+        """The last turns that together are no longer than the history."""
+        room, n = self.history, 0
+        for turn in reversed(turns):
+            room -= turn[2]
+            if room < 0:
+                break
+            n += 1
+        return turns[len(turns) - n :]
+
+
 WINDOW = "conv_id long, window int, text string, loss array<struct<start: int, end: int>>, n_repeated int, n_new int, n_tokens long"
 
 
 def format_conversations(turns: DataFrame, tokenizer_path: str, budget: int = BUDGET, history: int = HISTORY) -> DataFrame:
     """Windows of all conversations, those of one conversation next to each other and in order."""
+    ship_package(turns.sparkSession)
     arrow = pa.schema([("conv_id", pa.int64()), ("window", pa.int32()), ("text", pa.string()), ("loss", pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))), ("n_repeated", pa.int32()), ("n_new", pa.int32()), ("n_tokens", pa.int64())])
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -2,7 +2,9 @@
 
 Generators are regular expressions; their matches may overlap. Base generators (email, ip, card, phone) have fixed
 rules, and what meets the rules is always a span. All other candidates are scored by boosted trees, which are written
-out as SQL expressions, and become spans when their calibrated probability reaches the threshold of their kind.
+out as SQL expressions; a logistic curve, fitted to examples that the trees have not seen, makes the score a
+probability, and a candidate whose probability reaches the threshold of its kind may become a span. Of candidates that
+overlap the likeliest stays (then the first, then the longest), and none stays that overlaps a base span.
 
 The main path has only built-in expressions: matches come from regexp_extract_all, their places from the lengths of
 what split leaves between them. Trees are fitted on the driver to a fixed number of made-up examples whose features
@@ -116,7 +118,7 @@ def features(generator: int, m: Column, before: Column, after: Column) -> list[C
 # --- boosted trees ----------------------------------------------------------------------------------------------
 
 
-def made_up_examples(n: int = 60) -> list[tuple[int, str, str, str, int]]:
+def made_up_examples(n: int = 120) -> list[tuple[int, str, str, str, int]]:
     """(generator, before, m, after, label), a fixed number for each generator that is not base."""
     g = np.random.Generator(np.random.PCG64(7))
     pick = lambda xs: xs[g.integers(len(xs))]
@@ -204,11 +206,42 @@ class Trees:
         return out
 
 
-_fitted: list[tuple[Trees, dict[str, float]]] = []
+def calibrate(score: np.ndarray, y: np.ndarray, rounds: int = 50) -> tuple[float, float]:
+    """a and b so that 1 / (1 + exp(-(a score + b))) is the probability of label 1, by Newton's method.
 
+    Targets are drawn in a little from 0 and 1 by the numbers of examples, so that a clean split keeps finite slopes.
+    """
+    up, down = y.sum(), (1 - y).sum()
+    target = np.where(y > 0, (up + 1) / (up + 2), 1 / (down + 2))
+    x = np.stack([score, np.ones_like(score)], 1)
+    w = np.zeros(2)
+    for _ in range(rounds):
+        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
+        w += np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + 1e-6 * np.eye(2), x.T @ (target - p))
+    return float(w[0]), float(w[1])
 
-def fitted(spark: SparkSession) -> tuple[Trees, dict[str, float]]:
-    """Trees, and for each kind the least score at which nothing of the calibration half is wrong by more than 1 %."""
+
+class Model:
+    """Trees, the curve from scores to probabilities, and for each kind the least probability of a span."""
+
+    def __init__(self, trees: Trees, curve: tuple[float, float], limits: dict[str, float]):
+        self.trees, self.curve, self.limits = trees, curve, limits
+
+    def probability(self, x: Column) -> Column:
+        return 1 / (1 + F.exp(-(self.trees.column(x) * self.curve[0] + self.curve[1])))
+
+    def probabilities(self, x: np.ndarray) -> np.ndarray:
+        return 1 / (1 + np.exp(-(self.trees.score(x) * self.curve[0] + self.curve[1])))
+
+
+_fitted: list[Model] = []
+
+
+def fitted(spark: SparkSession) -> Model:
+    """The model, fitted once: trees on two thirds of the examples, curve and thresholds on the rest.
+
+    A kind's threshold is the least probability, one half or more, from which on 99 % of the rest are right.
+    """
     if not _fitted:
         rows = made_up_examples()
         quote = lambda s: "'" + s.replace("\\", "\\\\").replace("'", "\\'") + "'"
@@ -223,12 +256,14 @@ def fitted(spark: SparkSession) -> tuple[Trees, dict[str, float]]:
         fit = np.arange(len(rows)) % 3 > 0
         trees = Trees(x[fit], y[fit])
         score = trees.score(x)
+        a, c = calibrate(score[~fit], y[~fit])
+        p = 1 / (1 + np.exp(-(a * score + c)))
         limits = {}
         for k in KINDS:
             mine = ~fit & (kind == k)
-            cuts = [c for c in np.unique(score[mine]) if y[mine][score[mine] >= c].mean() >= 0.99]
-            limits[k] = max(float(min(cuts, default=np.inf)), 0.0)
-        _fitted.append((trees, limits))
+            cuts = [c for c in np.unique(p[mine]) if y[mine][p[mine] >= c].mean() >= 0.99]
+            limits[k] = max(float(min(cuts, default=np.inf)), 0.5)
+        _fitted.append(Model(trees, (a, c), limits))
     return _fitted[0]
 
 
@@ -243,13 +278,28 @@ def _meets(kind: str) -> Callable[[Column], Column]:
     return lambda c: holds(kind, c["m"])
 
 
-def _scored(generator: int, whole: Column, trees: Trees, limit: float) -> Callable[[Column], Column]:
-    def keep(c: Column) -> Column:
+def _scored(generator: int, kind_no: int, whole: Column, model: Model) -> Callable[[Column], Column]:
+    def of(c: Column) -> Column:
         before = F.substring(whole, F.greatest(c["start"] - CONTEXT, F.lit(0)) + 1, F.least(c["start"], F.lit(CONTEXT)))
         vector = F.array(*features(generator, c["m"], before, F.substring(whole, c["end"] + 1, F.lit(4))))
-        return F.exists(F.array(vector), lambda x: trees.column(x) >= limit)  # binds the vector once
+        p = F.transform(F.array(vector), model.probability)[0]  # binds the vector once
+        return F.struct((-p).alias("cost"), c["start"].alias("start"), (-c["end"]).alias("back"), F.lit(kind_no).alias("kind_no"), c["end"].alias("end"))
+
+    return of
+
+
+def _chosen(base: Column, scored: Column) -> Column:
+    """Spans (kind_no, start, end) of scored candidates in order of likelihood, each if nothing before it overlaps it."""
+    none = F.expr("cast(array() as array<struct<kind_no: int, start: int, end: int>>)")
 
-    return keep
+    def meets(s: Column) -> Callable[[Column], Column]:
+        return lambda t: (t["start"] < s["end"]) & (s["start"] < t["end"])
+
+    def add(acc: Column, s: Column) -> Column:
+        one = F.struct(s["kind_no"].alias("kind_no"), s["start"].alias("start"), s["end"].alias("end"))
+        return F.when(F.exists(acc, meets(s)) | F.exists(base, meets(s)), acc).otherwise(F.array_append(acc, one))
+
+    return F.array_sort(F.aggregate(F.array_sort(scored), none, add))
 
 
 def _of_kind(kind_no: int) -> Callable[[Column], Column]:
@@ -257,27 +307,56 @@ def _of_kind(kind_no: int) -> Callable[[Column], Column]:
 
 
 def find_spans(docs: DataFrame, text: str = "text") -> DataFrame:
-    """docs with columns base_spans and added_spans: arrays of (kind_no, start, end) in order. Nothing is shuffled."""
+    """docs with columns base_spans and added_spans: arrays of (kind_no, start, end) in order. Nothing is shuffled.
+
+    Columns of docs with these two names give way; all others stay as they are, whatever their names.
+    """
     spark = docs.sparkSession
-    trees, limits = fitted(spark)
+    model = fitted(spark)
+    own = _Names(docs)
     whole = F.coalesce(F.col(text).cast("string"), F.lit(""))
-    step = docs.withColumn("_whole", whole)
-    whole = F.col("_whole")
-    step = step.withColumns({f"_m{i}": located(whole, g[3], g[4]) for i, g in enumerate(GENERATORS)})
-    step = step.withColumns({f"_p{i}": placed(whole, F.col(f"_m{i}"), g[3]) for i, g in enumerate(GENERATORS)})
+    step = docs.withColumn(own("whole"), whole)
+    whole = F.col(own("whole"))
+    step = step.withColumns({own(f"m{i}"): located(whole, g[3], g[4]) for i, g in enumerate(GENERATORS)})
+    step = step.withColumns({own(f"p{i}"): placed(whole, F.col(own(f"m{i}")), g[3]) for i, g in enumerate(GENERATORS)})
     base, added = [], []
     for i, (_, kind, is_base, _, _) in enumerate(GENERATORS):
-        keep = _meets(kind) if is_base else _scored(i, whole, trees, limits[kind])
-        (base if is_base else added).append(F.transform(F.filter(f"_p{i}", keep), _span(KINDS.index(kind))))
-    step = step.withColumn("base_spans", F.array_sort(F.concat(*base))).withColumn("added_spans", F.array_sort(F.array_except(F.concat(*added), F.col("base_spans"))))
-    return step.drop("_whole", *[f"_{x}{i}" for i in range(len(GENERATORS)) for x in "mp"])
+        no = KINDS.index(kind)
+        if is_base:
+            base.append(F.transform(F.filter(own(f"p{i}"), _meets(kind)), _span(no)))
+        else:
+            scored = F.transform(own(f"p{i}"), _scored(i, no, whole, model))
+            added.append(F.filter(scored, _likely(model.limits[kind])))
+    step = step.withColumn(BASE, F.array_sort(F.concat(*base))).withColumn(own("scored"), F.concat(*added))
+    step = step.withColumn(ADDED, F.when(F.size(own("scored")) > 0, _chosen(F.col(BASE), F.col(own("scored")))).otherwise(F.filter(BASE, lambda _: F.lit(False))))
+    return step.select(*[x for x in docs.columns if x not in (BASE, ADDED)], BASE, ADDED)
+
+
+BASE, ADDED = "base_spans", "added_spans"
+
+
+def _likely(limit: float) -> Callable[[Column], Column]:
+    return lambda s: -s["cost"] >= limit
+
+
+class _Names:
+    """Names of columns that docs doesn't have."""
+
+    def __init__(self, docs: DataFrame):
+        self.lead = "_"
+        while any(c.lower().startswith(f"{self.lead}pii_") for c in docs.columns):
+            self.lead += "_"
+
+    def __call__(self, name: str) -> str:
+        return f"{self.lead}pii_{name}"
 
 
 def redact(docs: DataFrame) -> DataFrame:
-    """docs with every span of text replaced by its kind in brackets, and n_chars brought up to date."""
-    found = find_spans(docs)
+    """docs with every span of text replaced by its kind in brackets, and n_chars brought up to date. All columns stay."""
     labels = F.array(*[F.lit(f"[{k.upper()}]") for k in KINDS])
-    spans = F.array_sort(F.transform(F.concat("base_spans", "added_spans"), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind_no"].alias("kind_no"))))
+    held = {c: f"_kept{i}" for i, c in enumerate(docs.columns) if c not in ("text", "n_chars")}
+    found = find_spans(docs.withColumnsRenamed(held))
+    spans = F.array_sort(F.transform(F.concat(BASE, ADDED), lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind_no"].alias("kind_no"))))
 
     def add(acc: Column, s: Column) -> Column:
         fresh = s["start"] >= acc["at"]
@@ -285,10 +364,10 @@ def redact(docs: DataFrame) -> DataFrame:
         return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), F.when(fresh, F.concat(acc["out"], piece)).otherwise(acc["out"]).alias("out"))
 
     text = F.aggregate(spans, F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), add, lambda acc: F.concat(acc["out"], F.substring(F.col("text"), acc["at"] + 1, F.length("text"))))
-    out = found.withColumn("text", F.when(F.size("base_spans") + F.size("added_spans") > 0, text).otherwise(F.col("text")))
+    out = found.withColumn("text", F.when(F.size(BASE) + F.size(ADDED) > 0, text).otherwise(F.col("text")))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType))
-    return out.select(*docs.columns)
+    return out.drop(BASE, ADDED).withColumnsRenamed({v: k for k, v in held.items()}).select(*docs.columns)
 
 
 def op7_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -14,7 +14,9 @@ smaller place in the sample. Null and empty texts have no terms and get the samp
 from __future__ import annotations
 
 import re
+import struct
 from collections.abc import Iterable, Iterator
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -22,8 +24,8 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from unscramble.llm.chunks import focus
-from unscramble.llm.common import table, whole_text
+from unscramble.llm.chunks import Memo, before_spaces, focus, joined, parts_of
+from unscramble.llm.common import ship_package, table, whole_text
 
 SAMPLE, RANK, NEIGHBOURS = 4096, 48, 15
 WORD_COLUMNS, SHAPE_COLUMNS = 3072, 1024
@@ -31,7 +33,6 @@ COLUMNS = WORD_COLUMNS + SHAPE_COLUMNS
 WORD_WEIGHT, PRIOR_WEIGHT, CUT = 0.35, 0.1, 0.3
 
 _LETTERS = re.compile(r"[^\W\d_]+")
-_known: dict[str, tuple[int, int]] = {}
 
 
 def _columns(token: str) -> tuple[int, int]:
@@ -44,30 +45,44 @@ def _columns(token: str) -> tuple[int, int]:
     return h(word.lower()) % WORD_COLUMNS, WORD_COLUMNS + h(f"{case} {around}", 1) % SHAPE_COLUMNS
 
 
-def terms(text: str) -> tuple[np.ndarray, np.ndarray]:
-    """Columns of a text's terms and their damped frequencies."""
+_TOKEN = np.dtype([("token", "<u8"), ("columns", "<i4", 2)])
+_PACK = struct.Struct("<Qii").pack
+
+
+def _tokens_in(chunk: str) -> bytes:
+    """Hash and columns of each token in a chunk of text."""
+    return b"".join([_PACK(xxhash.xxh3_64_intdigest(t), *_columns(t)) for t in chunk.split()])
+
+
+_known = Memo(_tokens_in, 96 << 20)
+
+
+def terms_of(texts: pa.Array | list[str]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """For each text the columns of its terms and their damped frequencies."""
     focus("terms", _known.clear)
-    tokens = text.split()
-    if not tokens:
-        return np.zeros(0, np.int64), np.zeros(0, np.float32)
-    distinct = set(tokens)
-    new = [t for t in distinct if t not in _known]
-    if new:
-        if len(_known) + len(new) > 300_000:
-            _known.clear()
-            new = distinct
-        _known.update((t, _columns(t)) for t in new)
-    pairs = np.fromiter((x for t in tokens for x in _known[t]), np.int64, 2 * len(tokens))
-    n = len(tokens)
-    again = sum(map(str.__eq__, tokens, tokens[1:])) / n
-    lines = text.split("\n")
-    extra = [f"again {min(9, round(10 * again))}", f"distinct {round(10 * len(distinct) / n) if n >= 50 else -1}", f"lines {round(4 * len(set(lines)) / len(lines))}"]
-    counts = np.bincount(pairs, minlength=COLUMNS)
-    at = np.flatnonzero(counts)
-    value = (counts[at] / n).astype(np.float32)
-    value = np.sqrt(value) * np.where(at < WORD_COLUMNS, np.float32(WORD_WEIGHT), np.float32(1))
-    own = np.array([WORD_COLUMNS + xxhash.xxh3_64_intdigest(e, 2) % SHAPE_COLUMNS for e in extra])
-    return np.concatenate([at, own]), np.concatenate([value, np.full(len(own), 0.5, np.float32)])
+    for chunks, starts, block in parts_of(texts, before_spaces):
+        data, ends = joined(chunks, starts, _known.__getitem__)
+        data = data.view(_TOKEN)
+        for text, a, b in zip(block.to_pylist(), (ends[:-1] // _TOKEN.itemsize).tolist(), (ends[1:] // _TOKEN.itemsize).tolist(), strict=True):
+            n = b - a
+            if not n:
+                yield np.zeros(0, np.int64), np.zeros(0, np.float32)
+                continue
+            token = data["token"][a:b]
+            distinct = len(np.unique(token))
+            again = np.count_nonzero(token[1:] == token[:-1]) / n
+            lines = text.split("\n")
+            extra = [f"again {min(9, round(10 * again))}", f"distinct {round(10 * distinct / n) if n >= 50 else -1}", f"lines {round(4 * len(set(lines)) / len(lines))}"]
+            counts = np.bincount(data["columns"][a:b].ravel(), minlength=COLUMNS)
+            at = np.flatnonzero(counts)
+            value = (counts[at] / n).astype(np.float32)
+            value = np.sqrt(value) * np.where(at < WORD_COLUMNS, np.float32(WORD_WEIGHT), np.float32(1))
+            own = np.array([WORD_COLUMNS + xxhash.xxh3_64_intdigest(e, 2) % SHAPE_COLUMNS for e in extra])
+            yield np.concatenate([at, own]), np.concatenate([value, np.full(len(own), 0.5, np.float32)])
+
+
+def terms(text: str) -> tuple[np.ndarray, np.ndarray]:
+    return next(terms_of([text]))
 
 
 class Neighbours:
@@ -96,20 +111,21 @@ class Neighbours:
     def _unit(x: np.ndarray) -> np.ndarray:
         return x / np.maximum(np.linalg.norm(x, axis=1, keepdims=True), 1e-9)
 
-    def project(self, texts: list[str]) -> np.ndarray:
-        out = np.zeros((len(texts), self.axes.shape[1]), np.float32)
-        for i, t in enumerate(texts):
-            at, value = terms(t)
+    def project(self, found: list[tuple[np.ndarray, np.ndarray]]) -> np.ndarray:
+        """Unit vectors of the latent space (or zeros) from texts' terms."""
+        out = np.zeros((len(found), self.axes.shape[1]), np.float32)
+        for i, (at, value) in enumerate(found):
             if len(at):
                 out[i] = (value * self.idf[at]) @ self.axes[at]
         return self._unit(out)
 
-    def score(self, texts: list[str], block: int = 256) -> np.ndarray:
+    def score(self, texts: pa.Array | list[str], block: int = 256) -> np.ndarray:
         """Shares of label 1 among the nearest neighbours, weighted by similarity and drawn to the prior a little."""
         out = np.full(len(texts), self.prior)
         k = min(NEIGHBOURS, len(self.labels))
+        found = terms_of(texts)
         for at in range(0, len(texts) if k else 0, block):
-            x = self.project(texts[at : at + block])
+            x = self.project(list(islice(found, block)))
             cosines = x @ self.vectors.T
             near = np.argpartition(-cosines, k - 1, axis=1)[:, :k] if k < cosines.shape[1] else np.tile(np.arange(k), (len(x), 1))
             w = np.maximum(np.take_along_axis(cosines, near, 1), 0) ** 4
@@ -131,7 +147,7 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Neighbours:
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            got = [terms(t) for t in b.column("text").to_pylist()]
+            got = list(terms_of(b.column("text")))
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("quality"), pa.array([a.astype("<i4").tobytes() for a, _ in got], pa.binary()), pa.array([v.astype("<f4").tobytes() for _, v in got], pa.binary())], ["doc_id", "quality", "at", "value"])
 
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text"))
@@ -140,15 +156,17 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Neighbours:
     return Neighbours([(np.frombuffer(r["at"], "<i4").astype(np.int64), np.frombuffer(r["value"], "<f4")) for r in rows], np.array([r["quality"] for r in rows], np.float64))
 
 
-def with_scores(docs: DataFrame, model: Neighbours) -> DataFrame:
-    """docs with a column score. Narrow: each document is read once and never moved."""
+def with_scores(docs: DataFrame, model: Neighbours, name: str = "score") -> DataFrame:
+    """docs with a column of scores, which takes the place of one of that name. Each document is read once, never moved."""
+    ship_package(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    schema = docs.withColumn("score", F.lit(0.0)).schema
+    docs = docs.drop(name)
+    schema = docs.withColumn(name, F.lit(0.0)).schema
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            texts = ["" if t is None else t for t in b.column(b.schema.get_field_index("text")).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(shared.value.score(texts), pa.float64())], [*b.schema.names, "score"])
+            texts = b.column(b.schema.get_field_index("text")).fill_null("")
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(shared.value.score(texts), pa.float64())], [*b.schema.names, name])
 
     return docs.mapInArrow(run, schema)
 

@@ -8,8 +8,9 @@ scores that its K first rows are sure to reach, hence for each group a bound tha
 that may reach the bound are copied to a group; groups and the rows sent to them are cut in lanes, solved with blocked
 products, and the K best of all lanes are kept. All bounds are rounded outward, products are exact in whole numbers.
 
-Vectors that are null or hold null, NaN or infinite components, or of another length than the first pivot's, take no
-part. Ties go to the smaller vec_id. Fewer than K candidates give fewer rows.
+Vectors that are null, empty, or hold null, NaN or infinite components take no part. Shorter vectors count as followed
+by zeros up to the greatest length. Ties go to the smaller vec_id. Fewer than K candidates give fewer rows. Rows that
+share a vec_id are candidates of their own, but not for each other; as queries their results are one list.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from unscramble.llm.common import materialize, partitions, table
+from unscramble.llm.common import materialize, partitions, ship_package, table
 
 K, SCALE = 5, 256
 PIVOTS, SAMPLE = 64, 2048
@@ -75,15 +76,16 @@ def best(q_ids: np.ndarray, q: np.ndarray, ids: np.ndarray, x: np.ndarray, k: in
 def top_k(rows: DataFrame, is_query, k: int = K) -> DataFrame:
     """query_id, rank, vec_id, score. rows: vec_id, embedding; is_query: a condition on vec_id."""
     spark = rows.sparkSession
+    ship_package(spark)
     out = "query_id long, vec_id long, score long"
     empty = spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
     data = usable(rows)
     sample = data.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).collect()
     if not sample:
         return empty
-    width = len(sample[0]["v"])
-    data = data.filter(F.size("v") == width)
-    seen = np.array([r["v"] for r in sample if len(r["v"]) == width], np.float64)
+    width = data.agg(F.max(F.size("v"))).first()[0]
+    data = data.withColumn("v", F.concat("v", F.array_repeat(F.lit(0).cast("long"), F.lit(width) - F.size("v"))))
+    seen = np.array([r["v"] + [0] * (width - len(r["v"])) for r in sample], np.float64)
     pivots = np.unique(seen, axis=0)
     if len(pivots) > PIVOTS:  # spread out: each next pivot is the one farthest from those before
         chosen, far = [0], np.full(len(pivots), np.inf)
@@ -163,12 +165,12 @@ def top_k(rows: DataFrame, is_query, k: int = K) -> DataFrame:
 
     needs = q.mapInArrow(reach, "grp int, cell int, need double").groupBy("grp", "cell").agg(F.min("need").alias("need")).filter(F.col("need") < float("inf"))
     needs = materialize(needs, "needs")
-    counts = cells.select("cell", "dist").join(F.broadcast(needs), "cell") if n_groups * len(pivots) <= 200_000 else cells.select("cell", "dist").join(needs, "cell")
-    load = {r["grp"]: r["count"] for r in counts.filter("dist >= need").groupBy("grp").count().collect()} if n_groups <= 100_000 else {}
-    lanes = max(1, max((-(-n // LANE) for n in load.values()), default=1))
     table_of = F.broadcast(needs) if n_groups * len(pivots) <= 200_000 else needs
-    sent = cells.join(table_of, "cell").filter("dist >= need").select("grp", F.pmod(F.xxhash64("vec_id"), F.lit(lanes)).cast("int").alias("lane"), F.lit(False).alias("asks"), "vec_id", "v")
-    asked = q.select("grp", F.explode(F.sequence(F.lit(0), F.lit(lanes - 1))).alias("lane"), F.lit(True).alias("asks"), "vec_id", "v")
+    sent = cells.join(table_of, "cell").filter("dist >= need")
+    lanes = materialize(sent.groupBy("grp").agg(F.ceil(F.count("*") / LANE).cast("int").alias("lanes")), "lanes")
+    lanes_of = F.broadcast(lanes) if n_groups <= 200_000 else lanes
+    sent = sent.join(lanes_of, "grp").select("grp", F.pmod(F.xxhash64("vec_id"), "lanes").cast("int").alias("lane"), F.lit(False).alias("asks"), "vec_id", "v")
+    asked = q.join(lanes_of, "grp").select("grp", F.explode(F.sequence(F.lit(0), F.col("lanes") - 1)).alias("lane"), F.lit(True).alias("asks"), "vec_id", "v")
 
     def solve(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Rows come by (group, lane), queries first; a block of rows at a time is held."""
