@@ -1,3 +1,4 @@
+import random
 from itertools import permutations
 
 import numpy as np
@@ -60,3 +61,27 @@ def test_greedy_can_be_worse_and_zero_weights_still_match(spark):
     df = spark.createDataFrame([(w.tolist(),), (zero.tolist(),)], "w array<array<double>>")
     got = df.select(matching.matched(F.col("w"), "greedy").alias("g"), matching.matched(F.col("w"), "enum").alias("e"), matching.matched(F.col("w"), "auto").alias("a")).collect()
     assert [list(r) for r in got] == [[[0, 1, 2], [1, 0, 2], [1, 0, 2]], [[0, 1, 2]] * 3]
+
+
+def test_composition_of_permutations(spark):
+    g = random.Random(11)
+
+    def cycles_of(to):
+        out, seen = [], set()
+        for s in sorted(to):
+            walk = [s]
+            while s not in seen and to[walk[-1]] != s:
+                walk.append(to[walk[-1]])
+            if s not in seen and len(walk) > 1:
+                out.append(walk)
+            seen.update(walk)
+        return out
+
+    rows = []
+    for _ in range(40):
+        a, b = (dict(zip(k, g.sample(k, len(k)), strict=True)) for k in (g.sample(range(9), g.randint(0, 7)) for _ in range(2)))
+        both = {u: b.get(a.get(u, u), a.get(u, u)) for u in {*a, *b}}
+        rows.append((cycles_of(a), cycles_of(b), cycles_of(both)))
+    df = spark.createDataFrame(rows, f"a {perm.CYCLES}, b {perm.CYCLES}, want {perm.CYCLES}")
+    got = df.select(perm.compose(F.col("a"), F.col("b")).alias("got"), "want", perm.compose(F.col("a"), perm.inverse(F.col("a"))).alias("none")).collect()
+    assert all(r["got"] == r["want"] and r["none"] == [] for r in got)

@@ -148,6 +148,26 @@ def test_stream_gives_the_batch_recursion(spark, sf):
     got = _drain(stream_repair(stream_source(spark, path, spaced.schema), mu, sigma, cfg, "1 hour")).filter("kind = 'candidate'").select("n").distinct().collect()
     seen = {r["n"] for r in got}
     assert seen and seen <= {w[0] for w in want}  # the rest waits for the watermark
+    two = spaced.unionByName(spaced.withColumn("eq_id", F.lit(1).cast("long")).withColumn("x", F.transform("x", lambda v: v + 1000)))
+    other = scratch_path(spark, "tuples")
+    for k in range(3):
+        two.filter(F.floor(F.unix_seconds("ts") / 60 / 200) == k).coalesce(1).write.mode("append").parquet(other)
+    both = e.models.unionByName(e.models.withColumn("eq_id", F.lit(1).cast("long")).withColumn("mu", F.col("mu") + 1000))
+    got = _drain(stream_repair(stream_source(spark, other, two.schema), None, None, cfg, "1 hour", models=both)).filter("kind = 'candidate'").select("eq_id", "n").distinct().collect()
+    assert all({r["n"] for r in got if r["eq_id"] == k} == seen for k in (0, 1))  # each by its own models
+
+
+def test_streamed_intervals_wait_for_the_end_or_for_the_longest_run(spark, sf):
+    e = Example(spark, sf)
+    m = {r["m"]: r for r in e.models.collect()}
+    rows = sorted((r["n"], r["x"]) for r in e.bad.collect())
+    found = {}
+    for most in (None, 10_000, 200):
+        live = Online([m[i]["mu"] for i in range(5)], [m[i]["sigma"] for i in range(5)], RepairConfig(mode="feedback", window=40, len2=5), most)
+        for n, x in rows:
+            live.arrive(n, x)
+        found[most] = sorted(r[2:5] for r in live.finish() if r[0] == "interval")
+    assert found[None] and found[None] == found[10_000]
 
 
 NAMES = [

@@ -65,6 +65,18 @@ def inverse(cs: Column) -> Column:
     return canonical(F.transform(cs, F.reverse))
 
 
+def compose(first: Column, then: Column) -> Column:
+    """The cycles of following first and then the other; both are sets of cycles."""
+
+    def of(p: Column) -> Column:
+        move = lambda u: follow(p["c"], p["d"], follow(p["a"], p["b"], u))
+        return let(F.struct(p["m"].alias("m"), F.transform(p["m"], move).alias("to")), lambda q: cycles(q["m"], q["to"]))
+
+    members = F.array_distinct(F.concat(F.flatten(first), F.flatten(then)))
+    pairs = F.struct(members.alias("m"), sources(first).alias("a"), targets(first).alias("b"), sources(then).alias("c"), targets(then).alias("d"))
+    return let(pairs, of)
+
+
 def disjoint(a: Column, b: Column) -> Column:
     return ~F.arrays_overlap(F.flatten(a), F.flatten(b))
 

@@ -30,6 +30,16 @@ def fit_moments(panel: DataFrame, regime: bool = False) -> DataFrame:
     return _known(panel).groupBy(*keys).agg(*aggs)
 
 
+def models_from_table(given: DataFrame) -> DataFrame:
+    """Models that are known beforehand (eq_id, m, mu, sigma; cnt, lo, hi and hist where there are any)."""
+    if missing := {*KEYS, "mu", "sigma"} - set(given.columns):
+        raise ValueError(f"given models lack {', '.join(sorted(missing))}")
+    more = {"cnt": "long", "lo": "double", "hi": "double"}
+    rest = [(F.col(c) if c in given.columns else F.lit(None)).cast(kind).alias(c) for c, kind in more.items()]
+    hist = [F.col("hist").cast("array<double>").alias("hist")] if "hist" in given.columns else []
+    return given.select(F.col("eq_id").cast("long").alias("eq_id"), F.col("m").cast("int").alias("m"), *[F.col(c).cast("double").alias(c) for c in ("mu", "sigma")], *rest, *hist)
+
+
 def fit_robust(panel: DataFrame, approximate: bool = False) -> DataFrame:
     """Median and scaled median absolute deviation in the place of mean and deviation; quartiles beside them.
 

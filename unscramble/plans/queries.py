@@ -248,6 +248,14 @@ for _family in ("chebyshev", "kernel", "tail"):
     _flags_frozen(_family)
 
 
+@query("flags_given_models", oracle.with_(oracle.example(), f"SELECT n, string_agg(m, '>' ORDER BY m) AS abnormal FROM bad WHERE {oracle.chebyshev('x', '(3.0 * m)', '1.5')} < 0.12 GROUP BY n"))
+def flags_given_models(spark, sf_dir):
+    """Models from prior knowledge in the place of learned ones."""
+    given = model.models_from_table(spark.range(5).select(F.lit(0).alias("eq_id"), F.col("id").alias("m"), (F.col("id") * 3).alias("mu"), F.lit(1.5).alias("sigma")))
+    got = detect.flag(Example(spark, sf_dir).bad, given)
+    return got.filter(F.size("abnormal") > 0).select("n", perm.cycle_key(F.col("abnormal")).alias("abnormal"))
+
+
 _EMPIRICAL = f"""{_HIST}, {oracle.panel("p", 2.0)}, {oracle.models()},
 bins AS (SELECT m, bin, count(*) / any_value(cnt) AS share FROM (SELECT m, cnt, least(CAST(floor((x - lo) / (hi - lo) * 20) AS INTEGER), 19) AS bin FROM hist JOIN models USING (m)) GROUP BY m, bin),
 mass AS (SELECT a.m, a.bin, (SELECT sum(b.share) FROM bins b WHERE b.m = a.m AND b.share <= a.share) AS mass FROM bins a),

@@ -21,6 +21,8 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from unscramble.config import RepairConfig
 from unscramble.operators.candidates import Feedback
+from unscramble.operators.model import packed
+from unscramble.scratch import few
 
 OUTPUT = "eq_id long, kind string, n long, l long, r long, sigma string, status string, n_late long"
 STATE = "blob binary"
@@ -88,21 +90,27 @@ class Online:
         return self.advance(1 << 62) + [row for c in list(self.open) for row in self.close(c)]
 
 
-def stream_repair(panel: DataFrame, mu: list[float], sigma: list[float], cfg: RepairConfig, late: str = "1 day", idle: str | None = None, max_run: int | None = 200) -> DataFrame:
+def stream_repair(
+    panel: DataFrame, mu: list[float] | None, sigma: list[float] | None, cfg: RepairConfig, late: str = "1 day", idle: str | None = None, max_run: int | None = 200, models: DataFrame | None = None
+) -> DataFrame:
     """Candidates and intervals of a stream of tuples (eq_id, ts, x). All tuples are scored in order of ts.
 
+    models: a model table, for equipments with models of their own; without it mu and sigma hold for all equipments.
     An equipment is finished when the watermark passes its last reading by the time idle, in milliseconds. max_run: the
-    longest run that intervals may wait for (see above); None waits for the end.
+    longest run that intervals may wait for (see above); None waits for the end. How often a cycle occurs in all isn't
+    known while readings arrive, so the stream has neither the frequency cut nor claims of larger units on smaller ones.
     """
     wait = int(idle or 86_400_000)
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        live: Online = pickle.loads(state.get[0]) if state.exists else Online(mu, sigma, cfg, max_run)
+        live: Online | None = pickle.loads(state.get[0]) if state.exists else None
         if state.hasTimedOut:
             out = live.finish()
             state.remove()
         else:
             for pdf in batches:
+                if live is None and len(pdf):
+                    live = Online(list(pdf["mu"].iloc[0]), list(pdf["sigma"].iloc[0]), cfg, max_run)
                 for ts, x in zip(pdf["us"], pdf["x"], strict=True):
                     live.arrive(int(ts), list(x))
             out = live.advance(state.getCurrentWatermarkMs() * 1000)
@@ -113,5 +121,9 @@ def stream_repair(panel: DataFrame, mu: list[float], sigma: list[float], cfg: Re
         frame = pd.DataFrame(rows, columns=[c.split()[0] for c in OUTPUT.split(", ")])
         yield frame.astype({c: "Int64" for c in ("n", "l", "r", "n_late")})
 
-    timed = panel.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).withColumn("us", F.unix_micros("ts"))
-    return timed.select("eq_id", "ts", "us", "x").groupBy("eq_id").applyInPandasWithState(step, OUTPUT, STATE, "append", GroupStateTimeout.EventTimeTimeout)
+    if models is None:
+        fitted = panel.withColumn("mu", F.lit(list(map(float, mu)))).withColumn("sigma", F.lit(list(map(float, sigma))))
+    else:
+        fitted = panel.join(few(packed(models), "models"), "eq_id")
+    timed = fitted.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).withColumn("us", F.unix_micros("ts"))
+    return timed.select("eq_id", "ts", "us", "x", "mu", "sigma").groupBy("eq_id").applyInPandasWithState(step, OUTPUT, STATE, "append", GroupStateTimeout.EventTimeTimeout)
