@@ -156,8 +156,8 @@ def test_bit_map_loses_no_key(spark):
 
 
 def test_one_document_of_each_class_stays(spark, none):
-    df = copies(spark, 60).withColumn("lang", F.lit("x"))
-    both = df.unionByName(df.filter("doc_id < 5")).unionByName(spark.createDataFrame([(None, "no id", "x")], df.schema))
+    df = copies(spark, 60).withColumns({c: F.lit("x") for c in ("lang", "_digest", "_may", "_row", "head", "k", "first")})
+    both = df.unionByName(df.filter("doc_id < 5")).unionByName(spark.createDataFrame([(None, "no id", *["x"] * 7)], df.schema))
     kept = nd.one_of_each_class(both).collect()
     classes = {r["class_id"] for r in nd.near_duplicates(df).collect()}
     assert sorted(r["doc_id"] for r in kept if r["doc_id"] is not None) == sorted(classes) and sum(r["doc_id"] is None for r in kept) == 1

@@ -23,7 +23,7 @@ import pyarrow as pa
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 KEEP_CHARS, KEEP_CHUNKS = 48, 600_000
-ROOM = 160 << 20  # bytes that a memo may hold, about
+ROOM = 96 << 20  # bytes that a memo may hold, about
 BLOCK = 8 << 20  # bytes of text that are cut together, about
 #: What an entry of a memo takes beside its characters, about: objects of key and value, and their place in the table.
 ENTRY = 200

@@ -32,7 +32,7 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
 def drop_scratch(*tables: DataFrame) -> None:
     """Delete tables that materialize wrote and nothing reads any more, through Spark's own file systems."""
     for df in tables:
-        if path := getattr(df, "_scratch", None):
+        if path := vars(df).get("_scratch"):
             spark = df.sparkSession
             p = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
             p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)

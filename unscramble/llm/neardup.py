@@ -598,11 +598,12 @@ def one_of_each_class(docs: DataFrame, threshold: float = THRESHOLD, alike: int
     first = F.max((F.col("doc_id") == F.col("head.doc_id")) & (F.col("digest") == F.col("head.digest"))).alias("first")
     looked_at = classes.groupBy("doc_id", "digest").agg(F.count("*").alias("n"), first).filter("n > 1 OR NOT first")
     looked_at = materialize(looked_at.select("doc_id", F.col("digest").alias("_digest"), "first", F.xxhash64("doc_id", "digest").alias("k")), "looked_at")
-    named = docs.filter("doc_id IS NOT NULL").withColumn("_digest", _digest())
-    split = may_hold(looked_at, "k", named, F.xxhash64(F.col("doc_id").cast("long"), "_digest"))
+    # whole rows travel in one column, so that no name of theirs meets one of ours
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("doc_id"), _digest().alias("_digest"))
+    split = may_hold(looked_at, "k", packed.filter("doc_id IS NOT NULL"), F.xxhash64("doc_id", "_digest"))
     gone = looked_at.filter("NOT first").select("doc_id", "_digest")
-    rest = split.filter("_may").drop("_may").join(gone, ["doc_id", "_digest"], "left_anti").dropDuplicates(["doc_id", "_digest"])
-    return split.filter("NOT _may").select(*docs.columns).unionByName(rest.select(*docs.columns)).unionByName(docs.filter("doc_id IS NULL"))
+    rest = split.filter("_may").join(gone, ["doc_id", "_digest"], "left_anti").dropDuplicates(["doc_id", "_digest"])
+    return split.filter("NOT _may").select("row.*").unionByName(rest.select("row.*")).unionByName(packed.filter("doc_id IS NULL").select("row.*"))
 
 
 def op3_weighted_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -54,7 +54,7 @@ def _tokens_in(chunk: str) -> bytes:
     return b"".join([_PACK(xxhash.xxh3_64_intdigest(t), *_columns(t)) for t in chunk.split()])
 
 
-_known = Memo(_tokens_in, 96 << 20)
+_known = Memo(_tokens_in, 64 << 20)
 
 
 def terms_of(texts: pa.Array | list[str]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
