@@ -227,3 +227,13 @@ def test_registered_sweeps_have_all_points(spark, sf, monkeypatch, name, points)
 
 def test_every_sql_text_has_its_query():
     assert set(catalog.oracle_sql()) <= set(catalog.queries())
+
+
+FROM_PARTS = ["bound_error_hand", "cycle_scores_hand", "cycle_text", "interval_overlap", "score_outer", "scores_hand", "scores_hand_alt"]
+
+
+@pytest.mark.parametrize("name", FROM_PARTS)
+def test_queries_of_parts_read_the_table(spark, sf, name):
+    df = catalog.queries()[name](spark, sf)
+    assert any(f.endswith("/part.parquet") for f in df.inputFiles())
+    test_query_and_sql_agree(spark, sf, name)
