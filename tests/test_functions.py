@@ -5,8 +5,9 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from unscramble.functions import perm
-from unscramble.operators import matching
+from unscramble.functions import perm, support
+from unscramble.operators import matching, model, quantiles
+from unscramble.sources import panels
 
 
 def test_cycles_of_every_permutation_of_four(spark):
@@ -85,3 +86,36 @@ def test_composition_of_permutations(spark):
     df = spark.createDataFrame(rows, f"a {perm.CYCLES}, b {perm.CYCLES}, want {perm.CYCLES}")
     got = df.select(perm.compose(F.col("a"), F.col("b")).alias("got"), "want", perm.compose(F.col("a"), perm.inverse(F.col("a"))).alias("none")).collect()
     assert all(r["got"] == r["want"] and r["none"] == [] for r in got)
+
+
+@pytest.mark.parametrize(("bins", "short"), [(4, 3), (16, 40), (1024, 1 << 15)])
+def test_quantiles_are_exact_for_odd_readings(spark, bins, short):
+    g = np.random.default_rng(3)
+    groups = [g.normal(5, 2, 301), np.full(200, 7.0), np.repeat([1.0, 2.0, 9.0], [5, 90, 6]), np.array([1e308, -1e308, 3.0, 4.0, 1e-300, 5.0]), np.array([42.0])]
+    rows = spark.createDataFrame([(0, m, float(x)) for m, xs in enumerate(groups) for x in xs], "eq_id long, m int, x double")
+    ends = rows.groupBy("eq_id", "m").agg(F.count("*").alias("cnt"), F.min("x").alias("lo"), F.max("x").alias("hi"))
+    wanted = {"q1": 0.25, "mid": 0.5, "q9": 0.9}
+    want = rows.groupBy("m").agg(*[F.percentile("x", p).alias(name) for name, p in wanted.items()])
+    cols = ["m", *wanted]
+    got = quantiles.quantiles(rows, ends, wanted, bins, short).select(*cols)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.select(*cols).collect()))
+
+
+def test_robust_models_shuffle_counts_and_not_readings(spark, monkeypatch):
+    panel = spark.createDataFrame([(0, n, None, None, [float(n * n % 997), None if n % 9 else 1.0, float("nan")]) for n in range(400)], panels.PANEL)
+    called = []
+    monkeypatch.setattr(model, "quantiles", lambda *args: called.append(args[2]) or quantiles.quantiles(*args, 8, 20))
+    got = {r["m"]: r for r in model.fit_robust(panel).collect()}
+    xs = np.array([n * n % 997 for n in range(400)], float)
+    assert called == [{"q1": 0.25, "mu": 0.5, "q3": 0.75}, {"gap": 0.5}] and set(got) == {0, 1}
+    assert (got[0]["q1"], got[0]["mu"], got[0]["q3"]) == tuple(np.quantile(xs, [0.25, 0.5, 0.75])) and got[1]["sigma"] == 0
+    assert got[0]["sigma"] == pytest.approx(1.4826 * np.median(np.abs(xs - np.median(xs))))
+
+
+def test_masses_are_worked_out_once_for_each_model(spark):
+    df = spark.sql("SELECT 0L AS eq_id, 0 AS m, 0.0D AS lo, 4.0D AS hi, array(0.4D, 0.1D, 0.2D, 0.3D) AS hist")
+    mass = model.packed(df, ("lo", "hi", "mass")).first()["mass"][0]
+    assert mass == pytest.approx([1.0, 0.1, 0.3, 0.6])
+    xs = spark.createDataFrame([(x,) for x in (0.5, 1.5, 4.0, 4.1, None)], "x double").crossJoin(model.packed(df, ("lo", "hi", "mass")))
+    got = [r["p"] for r in xs.select(support.empirical(F.col("x"), F.col("lo")[0], F.col("hi")[0], F.col("mass")[0]).alias("p")).collect()]
+    assert got == [pytest.approx(1.0), pytest.approx(0.1), pytest.approx(0.6), support.FLOOR, None]
