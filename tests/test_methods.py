@@ -237,3 +237,26 @@ def test_queries_of_parts_read_the_table(spark, sf, name):
     df = catalog.queries()[name](spark, sf)
     assert any(f.endswith("/part.parquet") for f in df.inputFiles())
     test_query_and_sql_agree(spark, sf, name)
+
+
+def test_sweeps_build_their_panel_once(spark, sf, monkeypatch):
+    built, real = [], panels.calibrated_panel
+    monkeypatch.setattr(panels, "calibrated_panel", lambda *a, **k: built.append(k) or real(*a, **k))
+    monkeypatch.setattr(Workbench, "run", lambda self, workload, method, x: (workload, method, float(x), *[0] * 4, *[0.0] * 7))
+    workloads.by_volume(spark, sf, ["full"], [40, 100])
+    workloads.by_attributes(spark, sf, ["full"], [3, 6])
+    assert len(built) == 4  # readings and history of each sweep
+    one, two = Workbench(spark, sf, 6, percent=90), Workbench(spark, sf, 6, source=workloads.Source(spark, sf, percent=90))
+    for a, b in ((one.panel, two.panel), (one.truth, two.truth), (one.history, two.history)):
+        assert a.exceptAll(b).isEmpty() and b.exceptAll(a).isEmpty()
+
+
+def test_waiting_readings_are_taken_in_one_cut():
+    class Counted(list):
+        def pop(self, *at):
+            raise AssertionError("moves all that wait")
+
+    live = Online([0.0, 9.0], [1.0, 1.0], RepairConfig(mode="feedback", len2=1), None)
+    live.waiting = Counted([(t, [9.0, 0.0] if t in (3, 4) else [0.0, 9.0]) for t in (5, 3, 1, 2, 4, 6)])
+    got = live.advance(5)
+    assert [r[1] for r in got if r[0] == "candidate"] == [3, 4] and live.done == 5 and [t for t, _ in live.waiting] == [6]

@@ -11,6 +11,7 @@ the last repaired tuples, and the open runs of every cycle. Readings behind the
 from __future__ import annotations
 
 import pickle
+from bisect import bisect_right
 from collections.abc import Iterator
 
 import numpy as np
@@ -61,8 +62,9 @@ class Online:
         """Score what can't be preceded by anything any more; closed intervals come out with the candidates."""
         out = []
         self.waiting.sort()
-        while self.waiting and self.waiting[0][0] <= watermark:
-            self.done, x = self.waiting.pop(0)
+        due = bisect_right(self.waiting, watermark, key=lambda w: w[0])
+        ready, self.waiting = self.waiting[:due], self.waiting[due:]
+        for self.done, x in ready:
             self.n += 1
             ab, dst, status = self.feedback.step(np.array([np.nan if v is None else v for v in x], float))
             if len(ab):
