@@ -74,3 +74,43 @@ def test_waves_give_the_strict_order(spark):
         for _, _, phi in schemas:
             sensors = [s for c in phi for s in c]
             assert len(sensors) == len(set(sensors))  # no cell is repaired twice
+
+
+@pytest.mark.parametrize("merge, mode, theta", [("two_pass", "guarded", 0.3), ("snapshot", "guarded", 0.4), ("progressive", "symmetric", 0.4)])
+def test_one_task_and_waves_agree_and_one_task_stores_no_wave(spark, monkeypatch, merge, mode, theta):
+    g = random.Random(11)
+    cycles = [[0, 1], [1, 2], [0, 2, 3], [3, 4], [2, 4]]
+    rows = []
+    for eq, last in ((0, 300), (1, 260)):
+        on = [[False] * (last + 2) for _ in cycles]
+        for mine in on:
+            for _ in range(3):
+                at, n = g.randint(1, last - 50), g.randint(10, 50)
+                for p in range(at, at + n):
+                    mine[p] = g.random() > 0.15
+        rows += [(eq, n, [c for c, mine in zip(cycles, on, strict=True) if mine[n]]) for n in range(1, last + 1)]
+    found = spark.createDataFrame(rows, "eq_id long, n long, cycles array<array<int>>").filter(F.size("cycles") > 0).cache()
+    last = spark.createDataFrame([(0, 300), (1, 260)], "eq_id long, last long")
+    cfg = RepairConfig(len1=10, len2=5, theta_tau=theta, merge=merge, tau_mode=mode)
+    by_wave = determine.determine(found, last, cfg, held=0)
+    names, stored = [], determine.stored
+    monkeypatch.setattr(determine, "stored", lambda df, name: names.append(name) or stored(df, name))
+    at_once = determine.determine(found, last, cfg)
+    assert by_wave.waves > 1 and at_once.waves == 0 and "wave" not in names
+    rows_of = lambda df: sorted(tuple(map(str, r)) for r in df.collect())
+    assert rows_of(at_once.intervals) and rows_of(at_once.intervals) == rows_of(by_wave.intervals)
+    assert rows_of(at_once.schemas) == rows_of(by_wave.schemas) and rows_of(at_once.units) == rows_of(by_wave.units)
+
+
+def test_plans_of_waves_do_not_grow(spark, monkeypatch):
+    sizes, evaluate = [], determine.evaluate_intervals
+
+    def seen(points, last, cfg, claims=None):
+        if claims is not None:
+            sizes.append(claims._jdf.queryExecution().analyzed().toString().count("Relation"))
+        return evaluate(points, last, cfg, claims)
+
+    monkeypatch.setattr(determine, "evaluate_intervals", seen)
+    found = spark.createDataFrame([(0, n, [[k, k + 1]]) for k in range(4) for n in range(1 + k, 100, 1 + k // 2)], "eq_id long, n long, cycles array<array<int>>")
+    done = determine.determine(found, spark.createDataFrame([(0, 100)], "eq_id long, last long"), RepairConfig(len1=1, len2=1, merge="progressive"), held=0)
+    assert done.waves > 2 and set(sizes) == {1}
