@@ -260,3 +260,17 @@ def test_waiting_readings_are_taken_in_one_cut():
     live.waiting = Counted([(t, [9.0, 0.0] if t in (3, 4) else [0.0, 9.0]) for t in (5, 3, 1, 2, 4, 6)])
     got = live.advance(5)
     assert [r[1] for r in got if r[0] == "candidate"] == [3, 4] and live.done == 5 and [t for t, _ in live.waiting] == [6]
+
+
+def test_detectors_are_counted_one_by_one_without_joining_cells(spark, sf, monkeypatch):
+    names, stored = [], workloads.stored
+    monkeypatch.setattr(workloads, "stored", lambda df, name: names.append(name) or stored(df, name))
+    some = ["ksigma", "jump", "features"]
+    rows = {r["detector"]: r for r in workloads.detectors(spark, sf, some).collect()}
+    assert names.count("detector") == 3 and "cells" not in names
+    b = Workbench(spark, sf)
+    cells = {(r["n"], m): u != v for r in b.panel.join(b.clean.select("n", F.col("x").alias("t")), "n").collect() for m, (u, v) in enumerate(zip(r["x"], r["t"], strict=True))}
+    for name in some:
+        flags = [(cells[r["n"], r["m"]], r["flag"]) for r in detect.DETECTORS[name](b.panel, b.history).select("n", "m", "flag").collect()]
+        hit, bad, flagged = sum(c and f for c, f in flags), sum(c for c, _ in flags), sum(f for _, f in flags)
+        assert bad and tuple(rows[name]) == (name, bad, hit, flagged - hit, hit / bad, hit / flagged if flagged else None)
