@@ -274,3 +274,22 @@ def test_detectors_are_counted_one_by_one_without_joining_cells(spark, sf, monke
         flags = [(cells[r["n"], r["m"]], r["flag"]) for r in detect.DETECTORS[name](b.panel, b.history).select("n", "m", "flag").collect()]
         hit, bad, flagged = sum(c and f for c, f in flags), sum(c for c, _ in flags), sum(f for _, f in flags)
         assert bad and tuple(rows[name]) == (name, bad, hit, flagged - hit, hit / bad, hit / flagged if flagged else None)
+
+
+def test_runs_on_one_workbench_share_candidates(spark, sf, monkeypatch):
+    made, make = [], candidates.candidate_schemas
+    monkeypatch.setattr(candidates, "candidate_schemas", lambda panel, models, cfg, *a, **k: made.append(cfg) or make(panel, models, cfg, *a, **k))
+    b = Workbench(spark, sf)
+    few = {"full": RepairConfig(), "greedy": RepairConfig(), "candidate": RepairConfig(), "kernel": RepairConfig(family="kernel", theta_m=0.02), "cut": RepairConfig(len1=0, merge="snapshot", tau_mode="symmetric", len2=1)}
+    got = {k: b.run("w", k if k in methods.METHODS else "full", 0, v) for k, v in few.items()}
+    assert len(made) == 3
+    for k in ("greedy", "cut"):
+        cfg = few[k].with_(method=got[k][1])
+        assert got[k][3:-1] == tuple(methods.evaluated(methods.repair(b.panel, b.models, cfg), b.truth, cfg).first())
+
+
+def test_overall_orders_the_items_once(spark, sf, monkeypatch):
+    orders, place = [], panels.with_ordinal
+    monkeypatch.setattr(panels, "with_ordinal", lambda df, order, *a: orders.append(order) or place(df, order, *a))
+    assert [r["x"] for r in workloads.overall(spark, sf, ("block",)).collect()] == [48.0, 150.0]
+    assert sorted(orders) == sorted([panels.ROW_ORDER, panels.HISTORY_ORDER])
