@@ -2,6 +2,7 @@ import random
 from itertools import permutations
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -119,3 +120,25 @@ def test_masses_are_worked_out_once_for_each_model(spark):
     xs = spark.createDataFrame([(x,) for x in (0.5, 1.5, 4.0, 4.1, None)], "x double").crossJoin(model.packed(df, ("lo", "hi", "mass")))
     got = [r["p"] for r in xs.select(support.empirical(F.col("x"), F.col("lo")[0], F.col("hi")[0], F.col("mass")[0]).alias("p")).collect()]
     assert got == [pytest.approx(1.0), pytest.approx(0.1), pytest.approx(0.6), support.FLOOR, None]
+
+
+def test_matchings_of_batches_are_those_of_single_points(spark):
+    rng = np.random.default_rng(11)
+    clear = lambda a: np.log(np.eye(a)[rng.permutation(a)] * 0.9 + rng.random((a, a)) * 0.02 + 1e-9)
+    all_w = [w for a in (1, 2, 3, 5, 8, 12) for _ in range(20) for w in (rng.random((a, a)), np.round(rng.random((a, a)), 1), np.ones((a, a)), clear(a))]
+    rng.shuffle(all_w := [w.tolist() for w in all_w])
+    rows = pa.array([*all_w, []], pa.list_(pa.list_(pa.float64())))
+    for name, one in matching.MATCHERS.items():
+        many = matching._batched(name)(rows).to_pylist()
+        assert many == [one(np.array(w)).tolist() for w in all_w] + [[]]
+    src = [sorted(rng.choice(48, a, replace=False).tolist()) for a in (0, 1, 2, 3, 5, 8, 12) for _ in range(20)]
+    df = spark.createDataFrame([(s, rng.permutation(s).tolist()) for s in src], "src array<int>, dst array<int>").repartition(3)
+    for r in df.select(perm.cycles(F.col("src"), F.col("dst")).alias("want"), matching.cycles(F.col("src"), F.col("dst")).alias("got")).collect():
+        assert r["got"] == r["want"]
+
+
+def test_only_points_whose_choices_clash_are_matched_one_by_one(monkeypatch):
+    w = np.stack([np.eye(6)[::-1] + 0.01 * np.arange(6)] * 50 + [np.ones((6, 6))])
+    asked = []
+    to = matching.exact_many(w, lambda one: asked.append(one) or matching.assign(one))
+    assert len(asked) == 1 and (to[:50] == np.arange(6)[::-1]).all() and (to[50] == np.arange(6)).all()
