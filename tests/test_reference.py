@@ -130,3 +130,59 @@ def test_alignment_and_filling_across_ranges(spark):
     for fill, want in (("forward", s.ffill()), ("linear", s.interpolate()), ("none", s)):
         out = regularise(few, "1 minute", ["v"], fill).orderBy("ts").toPandas()
         assert np.allclose(out["v"], want, equal_nan=True) and out["filled"].sum() == 397
+
+
+ODD = 260  # points of each equipment of odd_panel
+
+
+def odd_panel(spark, seed):
+    """Two equipments of three sensors, with NULL and NaN among the readings."""
+    rng, rows = np.random.default_rng(seed), []
+    for eq in (0, 4):
+        x = rng.normal([0.0, 5.0, 9.0], 1.0, (ODD, 3)) + (rng.random((ODD, 3)) < 0.04) * 6
+        for n, v in enumerate(x.tolist(), 1):
+            odd = [None if rng.random() < 0.05 else float("nan") if rng.random() < 0.004 else u for u in v]
+            rows.append((eq, n, None, None, odd))
+    return spark.createDataFrame(rows, "eq_id long, n long, ts timestamp, regime string, x array<double>").repartition(3)
+
+
+@pytest.mark.parametrize("name", ["ewma", "hampel"])
+def test_windows_see_what_is_known(spark, monkeypatch, name):
+    monkeypatch.setattr(panels, "STRETCH", 40)
+    panel, history = odd_panel(spark, 1).cache(), odd_panel(spark, 2).cache()
+    fit = {(r["eq_id"], r["m"]): (r["mu"], r["sigma"]) for r in model.fit_moments(history).collect()}
+    series = {}
+    for r in panel.orderBy("n").collect():
+        for m, v in enumerate(r["x"]):
+            series.setdefault((r["eq_id"], m), []).append(v)
+    want = {}
+    above = lambda a, b: (a > b) or (a != a and b == b)
+    middle = lambda a: ((s := sorted(a, key=lambda v: (v != v, v)))[(len(s) + 1) // 2 - 1] + s[len(s) // 2]) / 2
+    for (eq, m), xs in series.items():
+        mu, sigma = fit[eq, m]
+        for i, x in enumerate(xs):
+            near = [v for v in (xs[max(0, i - 30) : i] if name == "ewma" else xs[max(0, i - 7) : i + 8]) if v is not None]
+            if name == "ewma":
+                mid, far = mu, 2.5 * sigma
+                for v in near:
+                    mid = mid + 0.2 * (v - mid)
+            else:
+                mid = middle(near)
+                far = 3.0 * (middle([abs(v - mid) for v in near]) * 1.4826)
+            want[eq, i + 1, m] = None if x is None else above(abs(x - mid), far)
+    more = {"memory": 30} if name == "ewma" else {}
+    got = {(r["eq_id"], r["n"], r["m"]): r["flag"] for r in detect.DETECTORS[name](panel, history, **more).collect()}
+    assert got == want and set(want.values()) == {True, False, None}
+
+
+@pytest.mark.parametrize("name", ["ewma", "hampel", "features", "distance"])
+def test_windows_run_over_points_not_readings(spark, name):
+    plan = detect.DETECTORS[name](odd_panel(spark, 3), odd_panel(spark, 4))._jdf.queryExecution().optimizedPlan().toString()
+    assert "Window [" not in plan and plan.index("Generate posexplode") < plan.index("InArrow")  # cells come last
+
+
+def test_a_sensor_without_a_model_is_left_out(spark):
+    panel = odd_panel(spark, 5)
+    history = odd_panel(spark, 6).withColumn("x", F.transform("x", lambda v, m: F.when(m != 1, v))).filter("eq_id = 4")
+    for name in ("ewma", "features", "distance"):
+        assert {(r["eq_id"], r["m"]) for r in detect.DETECTORS[name](panel, history).select("eq_id", "m").distinct().collect()} == {(4, 0), (4, 2)}
