@@ -1,3 +1,5 @@
+import pickle
+
 import duckdb
 import numpy as np
 import pytest
@@ -293,3 +295,53 @@ def test_overall_orders_the_items_once(spark, sf, monkeypatch):
     monkeypatch.setattr(panels, "with_ordinal", lambda df, order, *a: orders.append(order) or place(df, order, *a))
     assert [r["x"] for r in workloads.overall(spark, sf, ("block",)).collect()] == [48.0, 150.0]
     assert sorted(orders) == sorted([panels.ROW_ORDER, panels.HISTORY_ORDER])
+
+
+def _one_by_one(xs, mu, sigma, cfg, window):
+    state, want = candidates.Feedback(mu, sigma, cfg, window), []
+    for i, x in enumerate(xs):
+        ab, dst, status = state.step(x)
+        if len(ab):
+            want.append((i, ab.tolist(), dst.tolist(), status))
+    return state, want
+
+
+@pytest.mark.parametrize(
+    "more",
+    [{}, {"update": "cumulative"}, {"update_policy": "guarded"}, {"family": "kernel", "theta_m": 0.02}, {"family": "tail", "theta_m": 0.005}, {"size_mode": "moved", "epsilon": 2}, {"objective": "log"}, {"method": "greedy"}, {"epsilon": 2}, {"window": 3}],
+)
+def test_blocks_of_feedback_are_steps(more):
+    rng = np.random.default_rng(8)
+    mu, sigma, cfg = np.arange(6) * 4.0, np.full(6, 1.2), RepairConfig(mode="feedback").with_(**{"window": 40, **more})
+    xs = rng.normal(mu, 1.2, (900, 6)) + np.linspace(0, 3, 900)[:, None]
+    xs[200:420] = xs[200:420][:, [1, 0, 2, 4, 5, 3]]
+    xs[600:640] = xs[600:640, ::-1]
+    xs[rng.random(xs.shape) < 0.01] += 9.0
+    xs[rng.random(xs.shape) < 0.01] = np.nan
+    start = rng.normal(mu, 1.2, (min(25, cfg.window), 6))
+    one, want = _one_by_one(xs, mu, sigma, cfg, start)
+    many = candidates.Feedback(mu, sigma, cfg, start)
+    got = [(i, ab, dst if status == "repaired" or dst else [], status) for i, ab, dst, status in many.steps(xs[:333])]
+    got += [(i + 333, *f) for i, *f in many.steps(xs[333:])]
+    assert got == want and {f[-1] for f in got} >= {"single", "repaired"}
+    assert (np.array(one.rows) == np.array(many.rows)).all() and (one.s == many.s).all() and (one.ss == many.ss).all() and one.k == many.k
+
+
+def test_feedback_takes_points_in_blocks(monkeypatch):
+    calls, real = [], candidates.Feedback._block
+    monkeypatch.setattr(candidates.Feedback, "_block", lambda self, x, guess: calls.append(len(x)) or real(self, x, guess))
+    mu, sigma, cfg = np.arange(5) * 9.0, np.ones(5), RepairConfig(mode="feedback", theta_m=0.05)
+    xs = np.random.default_rng(3).normal(mu, 1.0, (20_000, 5))
+    xs[8000:12000] = xs[8000:12000][:, [1, 0, 4, 3, 2]]
+    candidates.run_feedback(np.arange(20_000), xs, mu, sigma, cfg, np.zeros((0, 5)))
+    assert len(calls) < 1000
+
+
+def test_state_of_a_stream_keeps_what_waits():
+    live = Online([0.0, 9.0], [1.0, 1.0], RepairConfig(), None)
+    for t in range(2000):
+        live.arrive(t, [0.1 * t, None if t == 5 else 9.0])
+    blob = pickle.dumps(live)
+    back = pickle.loads(blob)
+    assert len(blob) < 2000 * 25 and back.waiting[:5] == live.waiting[:5] and len(back.waiting) == 2000
+    assert back.finish() == live.finish()

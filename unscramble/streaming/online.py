@@ -52,6 +52,15 @@ class Online:
         self.n, self.late, self.done = 0, 0, -1
         self.open: dict[str, list[int]] = {}  # cycle -> [first, last] of its run, short gaps filled
 
+    def __getstate__(self) -> dict:
+        """Readings that wait go along as two arrays, not one by one."""
+        ts = np.array([t for t, _ in self.waiting], np.int64)
+        return self.__dict__ | {"waiting": (ts, np.array([x for _, x in self.waiting], float))}
+
+    def __setstate__(self, kept: dict) -> None:
+        ts, xs = kept["waiting"]
+        self.__dict__.update(kept, waiting=list(zip(ts.tolist(), xs.tolist(), strict=True)))
+
     def arrive(self, ts: int, x: list[float]) -> None:
         if ts <= self.done:
             self.late += 1
@@ -64,11 +73,13 @@ class Online:
         self.waiting.sort()
         due = bisect_right(self.waiting, watermark, key=lambda w: w[0])
         ready, self.waiting = self.waiting[:due], self.waiting[due:]
-        for self.done, x in ready:
+        xs = np.array([x for _, x in ready], float).reshape(len(ready), len(self.feedback.mu))  # None becomes NaN
+        scored = {i: rest for i, *rest in self.feedback.steps(xs)}
+        for i, (self.done, _) in enumerate(ready):
             self.n += 1
-            ab, dst, status = self.feedback.step(np.array([np.nan if v is None else v for v in x], float))
-            if len(ab):
-                found = _cycles(ab.tolist(), dst.tolist()) if status == "repaired" else []
+            if i in scored:
+                ab, dst, status = scored[i]
+                found = _cycles(ab, dst) if status == "repaired" else []
                 out += [("candidate", self.n, None, None, c, status) for c in found] or [("candidate", self.n, None, None, None, status)]
                 for c in found:
                     run = self.open.get(c)
@@ -113,8 +124,8 @@ def stream_repair(
             for pdf in batches:
                 if live is None and len(pdf):
                     live = Online(list(pdf["mu"].iloc[0]), list(pdf["sigma"].iloc[0]), cfg, max_run)
-                for ts, x in zip(pdf["us"], pdf["x"], strict=True):
-                    live.arrive(int(ts), list(x))
+                for ts, x in zip(pdf["us"].tolist(), pdf["x"], strict=True):
+                    live.arrive(ts, x.tolist())
             out = live.advance(state.getCurrentWatermarkMs() * 1000)
             state.update((pickle.dumps(live),))
             latest = max([t for t, _ in live.waiting], default=live.done)
