@@ -186,3 +186,11 @@ def test_a_sensor_without_a_model_is_left_out(spark):
     history = odd_panel(spark, 6).withColumn("x", F.transform("x", lambda v, m: F.when(m != 1, v))).filter("eq_id = 4")
     for name in ("ewma", "features", "distance"):
         assert {(r["eq_id"], r["m"]) for r in detect.DETECTORS[name](panel, history).select("eq_id", "m").distinct().collect()} == {(4, 0), (4, 2)}
+
+
+def test_rolling_models_are_columns_not_expressions(spark):
+    history = odd_panel(spark, 8).withColumn("x", F.transform("x", lambda v, m: F.when(m != 1, v)))
+    rows = detect.rolling(odd_panel(spark, 7), model.fit_moments(history), 30)
+    plan = rows._jdf.queryExecution().optimizedPlan().toString()
+    assert "arrays_zip" not in plan and "Window [" not in plan
+    assert {(len(r["x"]), len(r["mu"]), len(r["sigma"])) for r in rows.collect()} == {(2, 2, 2)}
